@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from kinetrace.functions.timeparts import daytype_of, epoch_of, hour_of, micros
 from kinetrace.operators import phone, places
 from kinetrace.oracles.base import ep
+from kinetrace.plans.bouts import ordered
 from kinetrace.sources import views as V
 
 E = V.events
@@ -120,7 +121,6 @@ def _udaf(s, d):
     return E(s, d).groupBy("person_id").agg(spread("value").alias("spread"))
 
 
-W = Window.partitionBy("person_id").orderBy("us")
 COLS = "person_id:b us:b "
 QUERIES = [
     ("op_scan_filter_project", "event_id:b k:b value:d", lambda s, d: _cells(s, d).where("epoch = 'morning' and value between 20 and 80").select("event_id", "k", "value"), f"SELECT event_id, k, value FROM ev WHERE {ep('us')} = 'morning' AND value BETWEEN 20 AND 80"),
@@ -149,10 +149,10 @@ QUERIES = [
     ("op_pivot", "person_id:b night:b morning:b afternoon:b evening:b", lambda s, d: _cells(s, d).groupBy("person_id").pivot("epoch", ["night", "morning", "afternoon", "evening"]).count().fillna(0), "SELECT person_id, " + ", ".join(f"count(*) FILTER ({ep('us')} = '{e}') AS {e}" for e in ("night", "morning", "afternoon", "evening")) + " FROM ev GROUP BY ALL"),
     ("op_unpivot", "c_custkey:b field:s v:s", lambda s, d: V.table(s, d, "customer").select("c_custkey", "c_name", "c_mktsegment").unpivot("c_custkey", ["c_name", "c_mktsegment"], "field", "v"), "SELECT c_custkey, 'c_name' AS field, c_name AS v FROM customer UNION ALL SELECT c_custkey, 'c_mktsegment', c_mktsegment FROM customer"),
     ("op_win_rank", COLS + "r:b dr:b", lambda s, d: E(s, d).select("person_id", "us", F.rank().over(Window.partitionBy("person_id").orderBy("k")).alias("r"), F.dense_rank().over(Window.partitionBy("person_id").orderBy("k")).alias("dr")), "SELECT person_id, us, rank() OVER w AS r, dense_rank() OVER w AS dr FROM ev WINDOW w AS (PARTITION BY person_id ORDER BY k)"),
-    ("op_win_analytic", COLS + "before:d after:d first:d", lambda s, d: E(s, d).select("person_id", "us", F.lag("value").over(W).alias("before"), F.lead("value").over(W).alias("after"), F.first("value").over(W).alias("first")), "SELECT person_id, us, lag(value) OVER w AS before, lead(value) OVER w AS after, first_value(value) OVER w AS first FROM ev WINDOW w AS (PARTITION BY person_id ORDER BY us)"),
-    ("op_win_rows", COLS + "moving:d running:d", lambda s, d: E(s, d).select("person_id", "us", F.avg("value").over(W.rowsBetween(-2, 0)).alias("moving"), F.sum("value").over(W.rowsBetween(Window.unboundedPreceding, 0)).alias("running")), "SELECT person_id, us, avg(value) OVER (PARTITION BY person_id ORDER BY us ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS moving, sum(value) OVER (PARTITION BY person_id ORDER BY us ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS running FROM ev"),
-    ("op_win_range", COLS + "day_total:d", lambda s, d: E(s, d).select("person_id", "us", F.sum("value").over(W.rangeBetween(-86_400_000_000, 0)).alias("day_total")), "SELECT person_id, us, sum(value) OVER (PARTITION BY person_id ORDER BY us RANGE BETWEEN 86400000000 PRECEDING AND CURRENT ROW) AS day_total FROM ev"),
-    ("op_win_ntile", COLS + "q:b pr:d", lambda s, d: E(s, d).select("person_id", "us", F.ntile(4).over(W).alias("q"), F.percent_rank().over(W).alias("pr")), "SELECT person_id, us, ntile(4) OVER w AS q, percent_rank() OVER w AS pr FROM ev WINDOW w AS (PARTITION BY person_id ORDER BY us)"),
+    ("op_win_analytic", COLS + "before:d after:d first:d", lambda s, d: E(s, d).select("person_id", "us", F.lag("value").over(ordered()).alias("before"), F.lead("value").over(ordered()).alias("after"), F.first("value").over(ordered()).alias("first")), "SELECT person_id, us, lag(value) OVER w AS before, lead(value) OVER w AS after, first_value(value) OVER w AS first FROM ev WINDOW w AS (PARTITION BY person_id ORDER BY us)"),
+    ("op_win_rows", COLS + "moving:d running:d", lambda s, d: E(s, d).select("person_id", "us", F.avg("value").over(ordered().rowsBetween(-2, 0)).alias("moving"), F.sum("value").over(ordered().rowsBetween(Window.unboundedPreceding, 0)).alias("running")), "SELECT person_id, us, avg(value) OVER (PARTITION BY person_id ORDER BY us ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS moving, sum(value) OVER (PARTITION BY person_id ORDER BY us ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS running FROM ev"),
+    ("op_win_range", COLS + "day_total:d", lambda s, d: E(s, d).select("person_id", "us", F.sum("value").over(ordered().rangeBetween(-86_400_000_000, 0)).alias("day_total")), "SELECT person_id, us, sum(value) OVER (PARTITION BY person_id ORDER BY us RANGE BETWEEN 86400000000 PRECEDING AND CURRENT ROW) AS day_total FROM ev"),
+    ("op_win_ntile", COLS + "q:b pr:d", lambda s, d: E(s, d).select("person_id", "us", F.ntile(4).over(ordered()).alias("q"), F.percent_rank().over(ordered()).alias("pr")), "SELECT person_id, us, ntile(4) OVER w AS q, percent_rank() OVER w AS pr FROM ev WINDOW w AS (PARTITION BY person_id ORDER BY us)"),
     ("op_topk_global", "l_orderkey:b l_linenumber:b l_extendedprice:d", lambda s, d: V.table(s, d, "lineitem").orderBy(F.desc("l_extendedprice"), "l_orderkey", "l_linenumber", "l_partkey").limit(50), "SELECT * FROM lineitem ORDER BY l_extendedprice DESC, l_orderkey, l_linenumber, l_partkey LIMIT 50"),
     ("op_topk_group", "person_id:b event_id:b r:b", lambda s, d: E(s, d).withColumn("r", F.row_number().over(Window.partitionBy("person_id").orderBy(F.desc("value"), "event_id"))).where("r <= 3"), "SELECT person_id, event_id, row_number() OVER (PARTITION BY person_id ORDER BY value DESC, event_id) AS r FROM ev QUALIFY r <= 3"),
     ("op_set_union", "person_id:b", lambda s, d: E(s, d).select("person_id").union(V.call_orders(s, d).select("person_id")).distinct(), "SELECT person_id FROM ev UNION SELECT o_custkey FROM orders WHERE o_orderstatus IN ('O','F','P')"),
