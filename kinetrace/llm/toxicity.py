@@ -29,6 +29,7 @@ SLOTS = 1 << 18
 PREFIXES = (3, 5, 7)
 #: Bounds of the fit: confirmed toxic texts, unlabelled texts, characters of each.
 POSITIVES, UNLABELLED, SAMPLE_CHARS = 1500, 4500, 12_000
+RUN_CHARS = 500_000
 
 
 @dataclass
@@ -67,8 +68,16 @@ def vectors(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray, np.ndarray
 
 
 def scores(model: Scorer, texts: list[str | None]) -> np.ndarray:
-    doc, slot, value = vectors(texts)
-    return 1 / (1 + np.exp(-np.clip(np.bincount(doc, model.weights[slot] * value, len(texts)) + model.bias, -30, 30)))
+    """Score of each text; whole texts are scored in runs of about `RUN_CHARS` characters, so memory doesn't follow the batch."""
+    out, run, size = [np.zeros(0)], [], 0
+    for i, text in enumerate(texts):
+        run.append(text)
+        size += len(text or "")
+        if size >= RUN_CHARS or i == len(texts) - 1:
+            doc, slot, value = vectors(run)
+            out.append(1 / (1 + np.exp(-np.clip(np.bincount(doc, model.weights[slot] * value, len(run)) + model.bias, -30, 30))))
+            run, size = [], 0
+    return np.concatenate(out)
 
 
 def fit(positive: list[str], unlabelled: list[str], prior: float, epochs: int = 120, rate: float = 0.2, decay: float = 5e-4, least: int = 12, parts: int = 3, seed: int = 3) -> Scorer:
