@@ -53,16 +53,35 @@ def term_counts(texts: list[str | None]) -> Iterator[tuple[np.ndarray, np.ndarra
         yield (key >> np.uint64(18)).astype(np.int64), (key & np.uint64(SLOTS - 1)).astype(np.int64), count
 
 
+def _merged(texts: list[str | None]) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """`term_counts` by whole documents: what the last document of a group has waits for the next group."""
+    wait: tuple | None = None
+    for part in term_counts(texts):
+        if wait is not None:
+            if part[0][0] == wait[0][0]:
+                mine = np.searchsorted(part[0], wait[0][0], "right")
+                slot, back = np.unique(np.concatenate((wait[1], part[1][:mine])), return_inverse=True)
+                count = np.bincount(back, np.concatenate((wait[2], part[2][:mine]))).astype(np.int64)
+                wait, part = (np.full(len(slot), wait[0][0]), slot, count), tuple(x[mine:] for x in part)
+                if not len(part[0]):
+                    continue
+            yield wait
+        cut = np.searchsorted(part[0], part[0][-1])
+        if cut:
+            yield tuple(x[:cut] for x in part)
+        wait = tuple(x[cut:] for x in part)
+    if wait is not None:
+        yield wait
+
+
 def vectors(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(document, slot, value) of all texts."""
-    parts = [*term_counts(texts)]
+    """(document, slot, value) of all texts, in the order of documents and slots."""
+    parts = [tuple(x.astype(np.int32) for x in part) for part in _merged(texts)]
     if not parts:
-        none = np.zeros(0, np.int64)
+        none = np.zeros(0, np.int32)
         return none, none, np.zeros(0)
     doc, slot, count = (np.concatenate(x) for x in zip(*parts, strict=True))
-    if len(parts) > 1:
-        key, back = np.unique(doc << 18 | slot, return_inverse=True)
-        doc, slot, count = key >> 18, key & (SLOTS - 1), np.bincount(back, count)
+    del parts
     total = np.bincount(doc, count, len(texts))
     return doc, slot, (1 + np.log(count)) / np.sqrt(1 + np.log1p(total))[doc]
 
@@ -89,7 +108,11 @@ def fit(positive: list[str], unlabelled: list[str], prior: float, epochs: int =
     n = len(positive)
     common = (np.bincount(slot, minlength=SLOTS) >= least)[slot]  # rare terms would only be learned by heart
     doc, slot, value = doc[common], slot[common], value[common]
-    used, column = np.unique(slot, return_inverse=True)
+    used = np.flatnonzero(np.bincount(slot, minlength=SLOTS))
+    number = np.zeros(SLOTS, np.int32)
+    number[used] = np.arange(len(used))
+    column = number[slot]
+    del slot, common
     border = np.searchsorted(doc, np.arange(n + len(unlabelled) + 1))
     rng = np.random.default_rng(seed)
     w, b = np.zeros(len(used)), model.bias
