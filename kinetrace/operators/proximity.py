@@ -62,7 +62,8 @@ def best_split3(scores: DataFrame, keys: tuple[str, ...] = ("person_id",)) -> Da
 
 
 def choose_k(scores: DataFrame, keys: tuple[str, ...] = ("person_id",), rule: str = "sse") -> DataFrame:
-    """keys, sse2, sse3, k, low_cut, high_cut. rule: sse (two clusters only if strictly better), bic, fixed2, fixed3."""
+    """keys, sse2, sse3, k, low_cut, high_cut. rule: sse (two clusters only if strictly better), bic, gain (three if they take off
+    more than three quarters of the error of two), fixed2, fixed3."""
     two = best_split2(scores, keys).select(*keys, "cut", F.col("sse").alias("sse2"))
     three = best_split3(scores, keys).select(*keys, "cut1", "cut2", F.col("sse").alias("sse3"))
     joined = two.join(three, [*keys])
@@ -72,7 +73,7 @@ def choose_k(scores: DataFrame, keys: tuple[str, ...] = ("person_id",), rule: st
         bic = lambda sse, k: F.col("n") * F.log(F.greatest(F.col(sse) / F.col("n"), F.lit(1e-9))) + k * F.log("n")
         pick = bic("sse2", 2) < bic("sse3", 3)
     else:
-        pick = {"sse": F.col("sse2") < F.col("sse3"), "fixed2": F.lit(True), "fixed3": F.lit(False)}[rule]
+        pick = {"sse": F.col("sse2") < F.col("sse3"), "gain": F.col("sse2") - F.col("sse3") <= 0.75 * F.col("sse2"), "fixed2": F.lit(True), "fixed3": F.lit(False)}[rule]
     return joined.select(*keys, "sse2", "sse3", F.when(pick, 2).otherwise(3).alias("k"), F.when(~pick, F.col("cut1")).alias("low_cut"), F.when(pick, F.col("cut")).otherwise(F.col("cut2")).alias("high_cut"))
 
 

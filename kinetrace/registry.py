@@ -13,9 +13,9 @@ def _shaped(frame, spec: str):
 
 
 def _all() -> list:
-    from kinetrace.operators import feature_queries, relational, stream_queries
+    from kinetrace.operators import feature_queries, relational, stream_queries, variants
 
-    return [*feature_queries.QUERIES, *relational.QUERIES, *stream_queries.QUERIES]
+    return [*feature_queries.QUERIES, *variants.QUERIES, *relational.QUERIES, *stream_queries.QUERIES]
 
 
 def queries() -> dict:

@@ -150,3 +150,21 @@ def test_plans_have_few_exchanges(spark):
     assert plan("loc_motion").count("Exchange hashpartitioning") == 1
     for name in ("social_minutes", "step_features_daily", "bt_labels", "place_labels", "op_join_range"):
         assert "BroadcastNestedLoopJoin" not in plan(name) and "CartesianProduct" not in plan(name)
+
+
+def test_variants_against_exact_results(spark):
+    from kinetrace.operators import variants
+    from kinetrace.sources import views
+
+    row = registry.queries()["bt_lloyd_vs_exact"](spark, SF).first()
+    assert row.persons > 0 and row.better == 0
+    scans = views.scan_lines(spark, SF)
+    exact = {(r.person_id, r.epoch): r.n for r in proximity.attach(scans, SliceSpec()).groupBy("person_id", "epoch").agg(F.countDistinct("address").alias("n")).collect()}
+    got = {(r.person_id, r.epoch): r.devices for r in variants.sketched_devices(scans).collect()}
+    assert got.keys() == exact.keys() and all(abs(got[k] - n) <= 0.1 * n for k, n in exact.items())
+
+
+def test_gain_rule(spark):
+    values = {1: [0.0, 0.1, 5.0, 5.1, 9.0], 2: [0.0, 1.0, 2.0, 10.0, 11.0, 12.0]}
+    scores = spark.createDataFrame([(p, i, v) for p, vs in values.items() for i, v in enumerate(vs)], "person_id int, address int, score double")
+    assert {r.person_id: r.k for r in proximity.choose_k(scores, rule="gain").collect()} == {1: 3, 2: 2}
