@@ -1,11 +1,11 @@
 """Packing token sequences into windows: a configuration linear program on the histogram of lengths.
 
-A configuration is a multiset of lengths that fits one window. The fractional program "cover every
-length's count with as few configurations as possible" is solved by multiplicative weights: each
-round prices a length by its share of the window times a weight that decays with the part of its
-count that is covered already, finds the dearest configuration by a knapsack dynamic program, and
-takes it in a bounded step. The solution is rounded down and the rest of the histogram is packed by
-best fit decreasing, again on counts. Only the histogram (at most `capacity` rows) reaches the driver;
+A configuration is a multiset of lengths that fits one window. The program "cover every length's
+count with as few configurations as possible" is solved by multiplicative weights: each round
+prices a length by its share of the window times a weight that decays with the part of its count
+that is covered already, finds the dearest configurations by a knapsack dynamic program, and takes
+them in bounded steps of whole windows, until every row has its place. Best fit decreasing on the
+same counts is the bound from above: where it needs fewer windows, these are taken. Only the histogram (at most `capacity` rows) reaches the driver;
 rows learn their place from their rank among the rows of the same length.
 
 Contract: null text counts as empty (one end token); documents over the capacity are cut into full
@@ -16,6 +16,7 @@ empty result; columns other than doc_id and text are ignored.
 from __future__ import annotations
 
 import zlib
+from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
@@ -28,6 +29,8 @@ from kinetrace.llm import bpe
 from kinetrace.llm.storage import written
 
 END = 0
+#: How far below the dearest configuration's price others of the same round may lie, as a share of it.
+NEAR = 0.02
 #: Rows that one ranking group holds at most on average, and the least number of groups of a length.
 RANKED, GROUPS = 1 << 21, 64
 _ENCODERS: dict[str, bpe.Encoder] = {}
@@ -74,45 +77,70 @@ def token_pieces(docs: DataFrame, path: str, capacity: int = 2048) -> DataFrame:
     return kept.mapInArrow(run, f"doc_id {key}, piece int, start bigint, length bigint, ids_crc32 bigint")
 
 
-def _knapsack(sizes: np.ndarray, prices: np.ndarray, capacity: int) -> list[int]:
-    """Indices, with repeats, of the dearest multiset of sizes within the capacity."""
+def _worth(sizes: np.ndarray, prices: np.ndarray, capacity: int) -> tuple[np.ndarray, list[int]]:
+    """For each room up to the capacity the price of its dearest multiset and one size of it, -1 where a smaller room is as dear."""
+    least = int(sizes[0])
+    dense = np.full(capacity + 1, -np.inf)
+    dense[sizes] = prices
+    dense = dense[least:]
     best, pick = np.zeros(capacity + 1), np.full(capacity + 1, -1)
-    for c in range(int(sizes[0]), capacity + 1):
-        n = np.searchsorted(sizes, c, "right")
-        worth = prices[:n] + best[c - sizes[:n]]
+    for c in range(least, capacity + 1):
+        worth = dense[: c - least + 1] + best[: c - least + 1][::-1]
         j = int(worth.argmax())
-        best[c], pick[c] = worth[j], j
-        if best[c - 1] >= best[c]:
-            best[c], pick[c] = best[c - 1], -1
-    chosen, c = [], capacity
-    while c > 0:
-        if pick[c] < 0:
-            c -= 1
+        best[c] = best[c - 1]
+        if worth[j] > best[c]:
+            best[c], pick[c] = worth[j], j + least
+    return best, pick.tolist()
+
+
+def _traced(pick: list[int], room: int) -> list[int]:
+    """The sizes, with repeats, of the dearest multiset of a room."""
+    chosen = []
+    while room > 0:
+        if pick[room] < 0:
+            room -= 1
         else:
-            chosen.append(int(pick[c]))
-            c -= int(sizes[pick[c]])
+            chosen.append(pick[room])
+            room -= pick[room]
     return chosen
 
 
-def configurations(histogram: dict[int, int], capacity: int, rounds: int = 160, rate: float = 2.0, step: float = 0.5) -> list[tuple[dict[int, int], float]]:
-    """A fractional solution of the configuration program that exceeds no length's count."""
+def _knapsack(sizes: np.ndarray, prices: np.ndarray, capacity: int) -> list[int]:
+    """Indices, with repeats, of the dearest multiset of sizes within the capacity."""
+    return np.searchsorted(sizes, _traced(_worth(sizes, prices, capacity)[1], capacity)).tolist()
+
+
+def configurations(histogram: dict[int, int], capacity: int, rate: float = 2.0, step: float = 0.5) -> list[tuple[dict[int, int], int]]:
+    """A solution of the configuration program in whole windows that covers each length's count exactly.
+
+    Rounds go on until nothing is left: each takes half of a length or all of it, so they end. A round takes the
+    dearest configuration and those within NEAR of its price that have no length in common with one taken before.
+    """
     sizes = np.array(sorted(histogram), np.int64)
-    counts = np.array([histogram[s] for s in sizes.tolist()], float)
+    counts = np.array([histogram[s] for s in sizes.tolist()], np.int64)
     left, found = counts.copy(), {}
-    for _ in range(rounds):
-        live = np.flatnonzero(left >= 1)
-        if not len(live):
-            break
-        weights = np.exp(-rate * (1 - left[live] / counts[live]))
-        chosen, times = np.unique(_knapsack(sizes[live], sizes[live] / capacity * weights, capacity), return_counts=True)
-        rows = live[chosen]
-        amount = float((left[rows] / times).min())
-        amount = amount if amount <= 2 else max(1.0, amount * step)
-        times = np.minimum(times, np.ceil(left[rows])) if amount < 1 else times
-        amount = min(1.0, float((left[rows] / times).min())) if amount < 1 else amount
-        left[rows] -= amount * times
-        key = tuple(zip(sizes[rows].tolist(), times.astype(int).tolist(), strict=True))
-        found[key] = found.get(key, 0.0) + amount
+    index = {s: i for i, s in enumerate(sizes.tolist())}
+    while (left > 0).any():
+        live = np.flatnonzero(left > 0)
+        prices = sizes[live] / capacity * np.exp(-rate * (1 - left[live] / counts[live]))
+        best, pick = _worth(sizes[live], prices, capacity)
+        worth = prices + best[capacity - sizes[live]]
+        order = np.argsort(-worth, kind="stable")
+        touched: set[int] = set()
+        for size in sizes[live[order[worth[order] >= (1 - NEAR) * worth.max()]]].tolist():
+            if size in touched:
+                continue
+            chosen = [size, *_traced(pick, capacity - size)]
+            if not touched.isdisjoint(chosen):
+                continue
+            touched.update(chosen)
+            times = {index[x]: min(k, int(left[index[x]])) for x, k in Counter(chosen).items()}
+            amount = min(int(left[i]) // k for i, k in times.items())
+            amount = amount if amount <= 2 else max(1, int(amount * step))
+            for i, k in times.items():
+                left[i] -= amount * k
+            key = tuple(sorted((int(sizes[i]), k) for i, k in times.items()))
+            found[key] = found.get(key, 0) + amount
     return [(dict(k), x) for k, x in found.items()]
 
 
@@ -144,17 +172,8 @@ def best_fit_decreasing(histogram: dict[int, int], capacity: int) -> list[tuple[
 
 
 def windows(histogram: dict[int, int], capacity: int) -> list[tuple[dict[int, int], int]]:
-    """Rounded solution: whole configurations, then the rest by best fit; no worse than best fit alone."""
-    left, out = dict(histogram), []
-    for config, x in sorted(configurations(histogram, capacity), key=lambda c: -c[1]):
-        k = min([int(x + 1e-9), *(left[s] // n for s, n in config.items())])
-        if k > 0:
-            out.append((config, k))
-            for s, n in config.items():
-                left[s] -= k * n
-    out += best_fit_decreasing({s: n for s, n in left.items() if n}, capacity)
-    plain = best_fit_decreasing(histogram, capacity)
-    return min(out, plain, key=lambda w: sum(k for _, k in w))
+    """The program's windows, which hold every row; best fit decreasing's where these are fewer."""
+    return min(configurations(histogram, capacity), best_fit_decreasing(histogram, capacity), key=lambda w: sum(k for _, k in w))
 
 
 def places(found: list[tuple[dict[int, int], int]]) -> dict[int, tuple[np.ndarray, ...]]:
