@@ -12,5 +12,5 @@ QUERIES = [
     ("stream_dedup", "event_id:b person_id:b", lambda s, d: S.finished(S.deduplicated(S.stream_of(s, d))), "SELECT event_id, person_id FROM ev"),
     ("stream_static_join", "event_id:b person_id:b category:s", lambda s, d: S.finished(S.with_contacts(S.stream_of(s, d), V.contacts_of(V.call_events(s, d)))), "SELECT event_id, e.person_id, category FROM ev e LEFT JOIN contacts c ON c.person_id = e.person_id AND c.correspondent = e.k WHERE event_type IN ('click', 'view', 'error')"),
     ("stream_stream_join", "person_id:b opened_us:b closed_us:b", lambda s, d: S.finished(S.unlock_to_close(S.stream_of(s, d))), "SELECT a.person_id, a.us AS opened_us, b.us AS closed_us FROM ev a JOIN ev b ON a.person_id = b.person_id AND a.event_type = 'click' AND b.event_type IN ('error', 'purchase') AND b.us > a.us AND b.us <= a.us + 21600000000"),
-    ("stream_screen_state", "person_id:b start_us:b end_us:b", lambda s, d: S.finished(S.screen_states(S.stream_of(s, d))), None),
+    ("stream_screen_state", "person_id:b start_us:b end_us:b", lambda s, d: S.finished(S.screen_states(S.stream_of(s, d, ends=True))), None),
 ]

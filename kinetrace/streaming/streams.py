@@ -11,14 +11,27 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 LATE = "48 hours"
+#: Event time of the row that ends a finite run, and a watermark that only this row brings about (ms).
+END, ENDED = "2200-01-01 00:00:00", 7_226_000_000_000
+HOUR_US = 3_600_000_000
 
 
-def stream_of(spark: SparkSession, sf_dir: str, late: str = LATE) -> DataFrame:
-    """Events as a stream with an event-time column of type timestamp."""
+def _end_row(spark: SparkSession, like: DataFrame) -> DataFrame:
+    """A stream of one row of nobody, which moves the watermark past all others when the run's only batch ends."""
+    base = (spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir")).rstrip("/")
+    path = f"{base}/kinetrace/end-{uuid.uuid4().hex}"
+    given = {"person_id": F.lit(-1), "at": F.lit(END), "event_type": F.lit("click")}
+    spark.range(1).select(*(given.get(f.name, F.lit(None)).cast(f.dataType).alias(f.name) for f in like.schema)).write.parquet(path)
+    return spark.readStream.schema(like.schema).parquet(path)
+
+
+def stream_of(spark: SparkSession, sf_dir: str, late: str = LATE, ends: bool = False) -> DataFrame:
+    """Events as a stream with an event-time column of type timestamp; `ends`: what a state holds is flushed after the last row."""
     schema = spark.read.parquet(f"{sf_dir}/events.parquet").schema
     rows = spark.readStream.schema(schema).option("pathGlobFilter", "*.parquet").option("recursiveFileLookup", "true").parquet(f"{sf_dir}/events.parquet*")
     k = F.get_json_object("props", "$.k").cast("int").alias("k")
-    return rows.select("event_id", F.col("user_id").alias("person_id"), F.col("ts").cast("timestamp").alias("at"), "event_type", "value", k).withWatermark("at", late)
+    rows = rows.select("event_id", F.col("user_id").alias("person_id"), F.col("ts").cast("timestamp").alias("at"), "event_type", "value", k)
+    return (rows.union(_end_row(spark, rows)) if ends else rows).withWatermark("at", late)
 
 
 def finished(stream: DataFrame, mode: str = "append") -> DataFrame:
@@ -64,13 +77,19 @@ def unlock_to_close(stream: DataFrame, hours: int = 6) -> DataFrame:
     return joined.select("person_id", F.unix_micros("opened").alias("opened_us"), F.unix_micros("closed").alias("closed_us"))
 
 
-def screen_states(stream: DataFrame, cap: str = "24 hours") -> DataFrame:
-    """Interaction bouts by a state machine: rows wait until the watermark has passed them and are then taken in order."""
+def screen_states(stream: DataFrame, cap_hours: int = 24) -> DataFrame:
+    """Interaction bouts by a state machine: rows wait until the watermark has passed them and are then taken in order.
+
+    A bout that nothing closes within `cap_hours` ends there, by the next row or by a timer. After the last row of a
+    stream that `ends`, an open bout ends with the person's last sample, if that is sooner.
+    """
     import pandas as pd
     from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+    cap, ended = cap_hours * HOUR_US, ENDED
+
     def step(key, batches, state: GroupState):
-        held, opened = state.get if state.exists else ([], -1)
+        held, opened, last = state.get if state.exists else ([], -1, -1)
         held = [tuple(x) for x in held]
         for p in batches:
             held += [(int(t), str(s)) for t, s in zip(p["us"], p["status"], strict=True)]
@@ -79,16 +98,27 @@ def screen_states(stream: DataFrame, cap: str = "24 hours") -> DataFrame:
         ready, held = [r for r in held if r[0] < mark], [r for r in held if r[0] >= mark]
         out = []
         for us, status in ready:
+            if opened >= 0 and us > opened + cap:
+                out.append((key[0], opened, opened + cap))
+                opened = -1
             if status == "unlock":
                 opened = us if opened < 0 else opened
             elif opened >= 0 and status in ("off", "lock"):
                 out.append((key[0], opened, us))
                 opened = -1
-        state.update(([(a, b) for a, b in held], opened))
-        if held:
-            state.setTimeoutTimestamp(max(held[0][0] // 1000 + 1, state.getCurrentWatermarkMs() + 1))
+            last = us
+        if opened >= 0 and mark >= ended * 1000:
+            out.append((key[0], opened, last))
+            opened = -1
+        elif opened >= 0 and mark > opened + cap:
+            out.append((key[0], opened, opened + cap))
+            opened = -1
+        state.update(([(a, b) for a, b in held], opened, last))
+        due = [us for us, _ in held[:1]] + [opened + cap] * (opened >= 0)
+        if due:
+            state.setTimeoutTimestamp(max(min(due) // 1000 + 1, state.getCurrentWatermarkMs() + 1))
         yield pd.DataFrame(out, columns=["person_id", "start_us", "end_us"])
 
     status = F.when(F.col("event_type") == "click", "unlock").when(F.col("event_type") == "view", "on").when(F.col("event_type") == "error", "off").when(F.col("event_type") == "purchase", "lock")
     rows = stream.select("person_id", "at", F.unix_micros("at").alias("us"), status.alias("status")).where("status is not null")
-    return rows.groupBy("person_id").applyInPandasWithState(step, "person_id bigint, start_us bigint, end_us bigint", "held array<struct<us:bigint,status:string>>, opened bigint", "append", GroupStateTimeout.EventTimeTimeout)
+    return rows.groupBy("person_id").applyInPandasWithState(step, "person_id bigint, start_us bigint, end_us bigint", "held array<struct<us:bigint,status:string>>, opened bigint, last bigint", "append", GroupStateTimeout.EventTimeTimeout)
