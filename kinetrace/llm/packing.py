@@ -1,12 +1,16 @@
 """Packing token sequences into windows: a configuration linear program on the histogram of lengths.
 
 A configuration is a multiset of lengths that fits one window. The program "cover every length's
-count with as few configurations as possible" is solved by multiplicative weights: each round
-prices a length by its share of the window times a weight that decays with the part of its count
-that is covered already, finds the dearest configurations by a knapsack dynamic program, and takes
-them in bounded steps of whole windows, until every row has its place. Best fit decreasing on the
-same counts is the bound from above: where it needs fewer windows, these are taken. Only the histogram (at most `capacity` rows) reaches the driver;
-rows learn their place from their rank among the rows of the same length.
+count with as few configurations as possible" is solved by multiplicative weights. Each round prices a
+length by its share of the window times its weight, finds the dearest configurations by a knapsack
+dynamic program, takes whole windows of them, and multiplies the weights of the lengths that these hold
+by a factor below one. Any prices give a lower bound, too: all rows' prices over the dearest
+configuration's. Windows are whole from the start, so rounding is only needed for the last RESIDUE of
+the rows: these go, longest first, into the least room that holds them, of the program's windows or of
+new ones. `solved` returns the windows with the bound; their ratio less one is the gap.
+
+Only the histogram (at most `capacity` rows) reaches the driver; rows learn their place from their rank
+among the rows of the same length.
 
 Contract: null text counts as empty (one end token); documents over the capacity are cut into full
 pieces of which the first may be shorter; repeated rows are packed each; an empty table gives an
@@ -29,8 +33,11 @@ from kinetrace.llm import bpe
 from kinetrace.llm.storage import written
 
 END = 0
-#: How far below the dearest configuration's price others of the same round may lie, as a share of it.
-NEAR = 0.02
+#: Price of a full window of one row above that of many (long rows are hard to place late), tried in turn until the gap
+#: is at most GAP; how far below the dearest
+#: configuration's price others of the same round may lie; decay of a weight when all of a length is covered; share of
+#: what a length has left that one round takes; share of the rows that is placed after the program.
+LONG, GAP, NEAR, RATE, STEP, RESIDUE = (0.3, 1.0, 4.0), 0.002, 0.005, 0.5, 0.5, 0.05
 #: Rows that one ranking group holds at most on average, and the least number of groups of a length.
 RANKED, GROUPS = 1 << 21, 64
 _ENCODERS: dict[str, bpe.Encoder] = {}
@@ -110,43 +117,62 @@ def _knapsack(sizes: np.ndarray, prices: np.ndarray, capacity: int) -> list[int]
     return np.searchsorted(sizes, _traced(_worth(sizes, prices, capacity)[1], capacity)).tolist()
 
 
-def configurations(histogram: dict[int, int], capacity: int, rate: float = 2.0, step: float = 0.5) -> list[tuple[dict[int, int], int]]:
-    """A solution of the configuration program in whole windows that covers each length's count exactly.
+def _within(chosen: list[int], sizes: np.ndarray, left: np.ndarray, touched: set[int], capacity: int) -> dict[int, int]:
+    """The configuration as far as rows are left of its lengths (indices to numbers); the longest others that fit make up for the rest."""
+    held = {i: min(k, int(left[i])) for i, k in Counter(np.searchsorted(sizes, chosen).tolist()).items()}
+    room = capacity - sum(int(sizes[i]) * k for i, k in held.items())
+    i = int(np.searchsorted(sizes, room, "right")) - 1
+    while i >= 0:
+        size, more = int(sizes[i]), 0
+        if i not in touched:
+            more = min(int(left[i]) - held.get(i, 0), room // size)
+        if more > 0:
+            held[i] = held.get(i, 0) + more
+            room -= more * size
+        i = min(i, int(np.searchsorted(sizes, room, "right"))) - 1
+    return held
+
 
-    Rounds go on until nothing is left: each takes half of a length or all of it, so they end. A round takes the
-    dearest configuration and those within NEAR of its price that have no length in common with one taken before.
-    """
+def configurations(histogram: dict[int, int], capacity: int, residue: float = RESIDUE, long: float = LONG[0]) -> tuple[list[tuple[dict[int, int], int]], dict[int, int], float]:
+    """The program's windows with their multiplicity, the rows that it leaves (at most the share `residue`), and its lower bound.
+
+    A round takes the dearest configuration and those near its price that have no length in common with one taken before."""
     sizes = np.array(sorted(histogram), np.int64)
     counts = np.array([histogram[s] for s in sizes.tolist()], np.int64)
-    left, found = counts.copy(), {}
-    index = {s: i for i, s in enumerate(sizes.tolist())}
-    while (left > 0).any():
+    left, weight, found = counts.copy(), np.ones(len(sizes)), {}
+    bound = float((sizes * counts).sum() / capacity)
+    while left.sum() > residue * counts.sum():
         live = np.flatnonzero(left > 0)
-        prices = sizes[live] / capacity * np.exp(-rate * (1 - left[live] / counts[live]))
+        share = sizes[live] / capacity
+        prices = share * weight[live] * (1 + long * share)
         best, pick = _worth(sizes[live], prices, capacity)
+        bound = max(bound, float((counts[live] * prices).sum() / best[capacity]))
         worth = prices + best[capacity - sizes[live]]
         order = np.argsort(-worth, kind="stable")
         touched: set[int] = set()
-        for size in sizes[live[order[worth[order] >= (1 - NEAR) * worth.max()]]].tolist():
-            if size in touched:
+        for i in live[order[worth[order] >= (1 - NEAR) * worth.max()]].tolist():
+            if i in touched:
                 continue
-            chosen = [size, *_traced(pick, capacity - size)]
-            if not touched.isdisjoint(chosen):
+            chosen = [int(sizes[i]), *_traced(pick, capacity - int(sizes[i]))]
+            if not touched.isdisjoint(np.searchsorted(sizes, chosen).tolist()):
                 continue
-            touched.update(chosen)
-            times = {index[x]: min(k, int(left[index[x]])) for x, k in Counter(chosen).items()}
-            amount = min(int(left[i]) // k for i, k in times.items())
-            amount = amount if amount <= 2 else max(1, int(amount * step))
-            for i, k in times.items():
-                left[i] -= amount * k
-            key = tuple(sorted((int(sizes[i]), k) for i, k in times.items()))
+            held = _within(chosen, sizes, left, touched, capacity)
+            touched.update(held)
+            amount = min(int(left[j]) // k for j, k in held.items())
+            amount = amount if amount <= 2 else max(1, int(amount * STEP))
+            for j, k in held.items():
+                left[j] -= amount * k
+                weight[j] *= np.exp(-RATE * amount * k / counts[j])
+            key = tuple(sorted((int(sizes[j]), k) for j, k in held.items()))
             found[key] = found.get(key, 0) + amount
-    return [(dict(k), x) for k, x in found.items()]
+    return [(dict(k), n) for k, n in found.items()], {int(sizes[i]): int(left[i]) for i in np.flatnonzero(left).tolist()}, bound
 
 
-def best_fit_decreasing(histogram: dict[int, int], capacity: int) -> list[tuple[dict[int, int], int]]:
-    """Windows with their multiplicity, packed on counts: equal windows move together."""
+def best_fit_decreasing(histogram: dict[int, int], capacity: int, begun: list[tuple[dict[int, int], int]] = ()) -> list[tuple[dict[int, int], int]]:
+    """Windows with their multiplicity, `begun` ones filled first; packed on counts: equal windows move together."""
     rooms: dict[int, list[tuple[tuple[tuple[int, int], ...], int]]] = {}
+    for config, k in begun:
+        rooms.setdefault(capacity - sum(s * n for s, n in config.items()), []).append((tuple(config.items()), k))
     for size in sorted(histogram, reverse=True):
         n = histogram[size]
         room = size
@@ -162,7 +188,7 @@ def best_fit_decreasing(histogram: dict[int, int], capacity: int) -> list[tuple[
                 taken, each = min(k, n // fit), fit
             if k > taken:
                 rooms[room].append((items, k - taken))
-            rooms.setdefault(room - each * size, []).append(((*items, (size, each)), taken))
+            rooms.setdefault(room - each * size, []).append((_with(items, size, each), taken))
             n -= taken * each
         fit = capacity // size
         for taken, each in ((n // fit, fit), (1, n % fit)):
@@ -171,9 +197,29 @@ def best_fit_decreasing(histogram: dict[int, int], capacity: int) -> list[tuple[
     return [(dict(items), k) for group in rooms.values() for items, k in group]
 
 
+def _with(items: tuple[tuple[int, int], ...], size: int, each: int) -> tuple[tuple[int, int], ...]:
+    """`items` and some more of a size, which they may hold already."""
+    had = dict(items)
+    had[size] = had.get(size, 0) + each
+    return tuple(had.items())
+
+
+def solved(histogram: dict[int, int], capacity: int) -> tuple[list[tuple[dict[int, int], int]], float]:
+    """Windows that hold every row, and the lower bound of the program on their number."""
+    best, least, bound = [], None, 0.0
+    for long in LONG:
+        found, rest, dual = configurations(histogram, capacity, long=long)
+        found, bound = best_fit_decreasing(rest, capacity, found), max(bound, dual)
+        used = sum(k for _, k in found)
+        if least is None or used < least:
+            best, least = found, used
+        if least <= max((1 + GAP) * bound, np.ceil(bound - 1e-9)):
+            break
+    return best, bound
+
+
 def windows(histogram: dict[int, int], capacity: int) -> list[tuple[dict[int, int], int]]:
-    """The program's windows, which hold every row; best fit decreasing's where these are fewer."""
-    return min(configurations(histogram, capacity), best_fit_decreasing(histogram, capacity), key=lambda w: sum(k for _, k in w))
+    return solved(histogram, capacity)[0]
 
 
 def places(found: list[tuple[dict[int, int], int]]) -> dict[int, tuple[np.ndarray, ...]]:

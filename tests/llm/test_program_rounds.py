@@ -1,20 +1,56 @@
-"""The packing program goes on until every row has its place."""
+"""The packing program: every row is placed, nearly all by its configurations, close to its own lower bound."""
 
 from collections import Counter
 
+import duckdb
 import numpy as np
 import pytest
+from test_operators import VOCABULARY
+from tokenizers import Tokenizer
 
 from kinetrace.llm import packing
 
 
-@pytest.mark.parametrize(("low", "high", "most"), [(400, 900, 1.01), (350, 1000, 1.02)])
-def test_program_places_every_row_near_the_volume_bound(low, high, most):
-    sizes = np.random.default_rng(0).integers(low, high + 1, 20_000)
-    histogram, placed = dict(Counter(sizes.tolist())), Counter()
-    for config, k in packing.configurations(histogram, 2048):
+def windows_of(found):
+    return sum(k for _, k in found)
+
+
+def check(histogram, capacity=2048):
+    """Share of rows that configurations place; windows; bound."""
+    program, rest, bound = packing.configurations(histogram, capacity)
+    placed = Counter()
+    for config, k in packing.solved(histogram, capacity)[0]:
+        assert sum(s * n for s, n in config.items()) <= capacity
         for s, n in config.items():
             placed[s] += n * k
     assert placed == histogram
-    found = packing.windows(histogram, 2048)
-    assert sum(k for _, k in found) <= most * (sizes.sum() / 2048)
+    rows = sum(histogram.values())
+    return 1 - sum(rest.values()) / rows, windows_of(packing.windows(histogram, capacity)), bound
+
+
+@pytest.mark.parametrize(("low", "high"), [(400, 900), (350, 1000)])
+def test_program_beats_best_fit_on_awkward_lengths(low, high):
+    histogram = dict(Counter(np.random.default_rng(0).integers(low, high + 1, 20_000).tolist()))
+    share, used, bound = check(histogram)
+    assert share >= 0.9 and used <= 1.01 * bound and used < 0.97 * windows_of(packing.best_fit_decreasing(histogram, 2048))
+
+
+@pytest.mark.parametrize("sf", ["0.001", "0.01", "0.1"])
+def test_program_on_documents(sf):
+    encode = Tokenizer.from_file(VOCABULARY).encode_batch_fast
+    texts = [r[0] or "" for r in duckdb.sql(f"SELECT text FROM '/root/testdata/sf{sf}/documents.parquet'").fetchall()]
+    histogram = Counter()
+    for e in encode(texts, add_special_tokens=False):
+        n = len(e.ids) + 1
+        histogram[2048] += n // 2048
+        histogram[n % 2048] += 1
+    del histogram[0]
+    histogram = {s: n for s, n in histogram.items() if n}
+    share, used, bound = check(histogram)
+    # the bound is reached but for a window or two; so it is by best fit here
+    assert share >= 0.9 and used <= max(np.ceil(bound) + 1, 1.001 * bound) and used <= windows_of(packing.best_fit_decreasing(histogram, 2048)) + 1
+
+
+def test_rows_of_more_than_half_a_window():
+    share, used, _ = check({1100: 7, 1500: 3, 600: 2, 10: 1})
+    assert used == 10
