@@ -3,14 +3,13 @@
 Words are the runs of anything but ASCII white space of the text with A-Z lower-cased; shingles of
 four words, repeats included, are hashed by XXH64 (seed 42) and vote on 64 bits.
 
-Two fingerprints within `budget` bits agree on one of `budget` + 1 blocks of bits. For each block the
-fingerprints, rotated so that the block leads, are dealt by its value; below each value stands a binary
-trie, which is a sorted array: a node is a range of rows with a common prefix. The join walks pairs of
-nodes together, skips to the first bit at which either branches, counts the differing bits of the two
-prefixes and drops the pair as soon as they exceed the budget; it also drops pairs whose rows are all
-known to belong together. A task returns a spanning forest of the links that it finds, so groups of
-thousands of copies never become all their pairs, and no link between groups is lost. A value with very
-many fingerprints is split further: its trie's pairs of subtrees at a fixed depth become tasks.
+The join deals the distinct fingerprints into groups that agree on a block of bits (`blocks`), and dense groups
+again by further blocks, so no group is large and no near pair is lost. In each group stands a binary trie, which
+is a sorted array: a node is a range of rows with a common prefix. The join walks pairs of nodes together, skips to
+the first bit at which either branches, counts the differing bits of the two prefixes and drops the pair as soon as
+they exceed the budget; it also drops pairs whose rows are all known to belong together. A task returns a spanning
+forest of the links that it finds, so groups of thousands of copies never become all their pairs, and no link
+between groups is lost.
 
 Contract: null or blank text has the fingerprint zero and is linked like any other; equal rows share
 their component; an empty table gives an empty result; long texts are hashed in bounded steps.
@@ -26,12 +25,13 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from kinetrace.llm import blocks
 from kinetrace.llm.components import components
 from kinetrace.llm.storage import written
 
 SHINGLE, SEED, BUDGET = 4, 42, 4
-#: Fingerprints under one block value above which its trie is split into pairs of subtrees of SPLIT bits.
-HOT, SPLIT = 50_000, 6
+#: Most fingerprints of a trie; larger groups are dealt again.
+HOT = 50_000
 LEAF, CHUNK, STEP = 24, 100_000, 1 << 16
 
 
@@ -101,11 +101,10 @@ class Forest:
         return self._breaks
 
 
-def trie_links(keys: np.ndarray, group: np.ndarray, budget: int, sides: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+def trie_links(keys: np.ndarray, group: np.ndarray, budget: int) -> tuple[np.ndarray, np.ndarray]:
     """A spanning forest, as two arrays of rows, of the pairs of `keys` within `budget` bits and one group.
 
-    keys: uint64, sorted within each group; groups are runs. sides: for groups that hold two subtrees,
-    0 or 1 by row, and only pairs between them count.
+    keys: uint64, sorted within each group; groups are runs.
     """
     n = len(keys)
     if n < 2:
@@ -113,12 +112,7 @@ def trie_links(keys: np.ndarray, group: np.ndarray, budget: int, sides: np.ndarr
     forest = Forest(n)
     first = np.flatnonzero(np.concatenate(([True], group[1:] != group[:-1])))
     lo, hi = first, np.append(first[1:], n)
-    if sides is None:
-        stack = [np.stack([lo, hi, lo, hi], 1)]
-    else:
-        mid = lo + np.add.reduceat(1 - sides, first)
-        whole, half = sides[np.minimum(hi, n) - 1] == 0, np.stack([lo, mid, mid, hi], 1)
-        stack = [np.where(whole[:, None], np.stack([lo, hi, lo, hi], 1), half)]
+    stack = [np.stack([lo, hi, lo, hi], 1)]
     ones = np.uint64(0xFFFFFFFFFFFFFFFF)
     while stack:
         pairs = stack.pop()
@@ -186,58 +180,18 @@ def trie_links(keys: np.ndarray, group: np.ndarray, budget: int, sides: np.ndarr
     return child, forest.parent[child]
 
 
-def _blocks(budget: int) -> list[tuple[int, int]]:
-    """(first bit from the top, width) of each block."""
-    edges = [round(64 * i / (budget + 1)) for i in range(budget + 2)]
-    return [(a, b - a) for a, b in zip(edges[:-1], edges[1:], strict=True)]
-
-
 def links(nodes: DataFrame, budget: int = BUDGET) -> DataFrame:
     """Edges (a, b) between the distinct fingerprints `fp` of `nodes` (written): together they connect what is
     connected by pairs within `budget` bits."""
-    blocks = _blocks(budget)
-    turned = [(F.shiftleft("fp", at).bitwiseOR(F.shiftrightunsigned("fp", 64 - at)) if at else F.col("fp")) for at, _ in blocks]
-    rows = nodes.select(
-        F.explode(
-            F.array(*(F.struct(F.lit(i).alias("block"), F.shiftrightunsigned(t, 64 - w).alias("value"), t.alias("key")) for i, (t, (_, w)) in enumerate(zip(turned, blocks, strict=True))))
-        ).alias("r")
-    ).select("r.*")
-    hot = written(rows.groupBy("block", "value").count().where(F.col("count") > HOT).select("block", "value", F.lit(True).alias("hot")), "hot")
-    if hot.isEmpty():
-        dealt = rows.withColumn("pair", F.lit(-1)).withColumn("side", F.lit(0))
-    else:
-        marked = rows.join(hot, ["block", "value"], "left")
-        width = F.element_at(F.array(*(F.lit(w) for _, w in blocks)), F.col("block") + 1)
-        under = F.expr(f"cast(shiftrightunsigned(shiftleft(key, w), {64 - SPLIT}) as int)")
-        near = F.expr(f"filter(sequence(0, {2**SPLIT - 1}), q -> bit_count(p ^ q) <= {budget})")
-        cold = marked.where("hot is null").select("block", "value", "key", F.lit(-1).alias("pair"), F.lit(0).alias("side"))
-        split = (
-            marked.where("hot").withColumn("w", width).withColumn("p", under).withColumn("q", F.explode(near))
-            .select("block", "value", "key", (F.least("p", "q") * 2**SPLIT + F.greatest("p", "q")).alias("pair"), (F.col("p") > F.col("q")).cast("int").alias("side"))
-        )
-        dealt = cold.union(split)
-    dealt = dealt.repartition("block", "value", "pair")
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held = list(batches)
-        if not held:
-            return
-        table = pa.Table.from_batches(held)
-        block, pair, side = (table.column(c).to_numpy().astype(np.int64) for c in ("block", "pair", "side"))
-        value, key = table.column("value").to_numpy(), table.column("key").to_numpy().view(np.uint64)
-        for split in (False, True):
-            mine = np.flatnonzero((pair >= 0) == split)
-            order = mine[np.lexsort((key[mine], side[mine], pair[mine], value[mine], block[mine]))]
-            if len(order) < 2:
-                continue
-            b, v, k, p = block[order], value[order], key[order], pair[order]
-            run_of = np.concatenate(([0], np.cumsum((b[1:] != b[:-1]) | (v[1:] != v[:-1]) | (p[1:] != p[:-1]))))
-            child, parent = trie_links(k, run_of, budget, side[order] if split else None)
-            at = np.array([a for a, _ in blocks])[b[child]].astype(np.uint64)
-            back = lambda x, at=at: np.where(at == 0, x, x >> at | x << ((np.uint64(64) - at) & np.uint64(63)))
-            yield pa.RecordBatch.from_arrays([pa.array(back(k[child]).view(np.int64)), pa.array(back(k[parent]).view(np.int64))], ["a", "b"])
-
-    return dealt.select("block", "value", "key", "pair", "side").mapInArrow(run, "a bigint, b bigint")
+    def run(table: pa.Table) -> pa.RecordBatch:
+        key, g = table.column("fp").to_numpy().view(np.uint64), table.column("g").to_numpy()
+        order = np.lexsort((key, g))
+        child, parent = trie_links(key[order], g[order], budget)
+        back = lambda x: pa.array(key[order[x]].view(np.int64))
+        return pa.RecordBatch.from_arrays([back(child), back(parent)], ["a", "b"])
+
+    return blocks.by_group(blocks.dealt(nodes, ["fp"], budget, HOT), run, "a bigint, b bigint")
 
 
 def near_duplicates(docs: DataFrame, budget: int = BUDGET) -> DataFrame:
