@@ -26,7 +26,7 @@ def queries() -> dict:
         "op5_maxscore_topk": lambda s, d: maxscore.sampled_queries(_table(s, d, "embeddings")),
         "op6_warc_chunks": lambda s, d: warc.round_trip(_table(s, d, "pages")),
         "op7_bpe_backtracking": lambda s, d: bpe.round_trip_digests(docs(s, d), _vocabulary()),
-        "op8_simhash_fingerprints": lambda s, d: simhash.with_edits(docs(s, d)),
+        "op8_simhash_fingerprints": lambda s, d: simhash.edit_rows(docs(s, d)),
         "op9_disclosure_spans": lambda s, d: pii.span_rows(docs(s, d)),
         "op10_toxicity_pu": lambda s, d: toxicity.predictions(docs(s, d), _table(s, d, "labels")),
     }

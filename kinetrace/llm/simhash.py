@@ -4,13 +4,14 @@ Terms are pairs of neighbouring words (one word where there is only one), words
 white space, lower-cased letter by letter. A term's 128-bit hash votes with the weight 1 + ln(times) on every
 bit; a bit is 1 where the signed vote is positive. Likeness is the cosine that the differing bits estimate.
 
-Search: the bits are cut into `radius` + `shared` blocks; two fingerprints within the radius agree on at
-least `shared` of them, so a table for each choice of `shared` blocks, keyed by them, brings every near pair
-together in some table. A task compares the rows of a key and returns a spanning forest of the near ones; keys
-with very many rows are keyed again by the remaining blocks.
+Search: the bits are cut into `radius` + 1 blocks; two fingerprints within the radius agree on one of them, so a
+table for each block, keyed by it (the block moved to the front, as it were), brings every near pair together. Keys
+with very many rows are keyed again by blocks of their other bits (`blocks`). A task compares the rows of a key and
+returns a spanning forest of the near ones.
 
 Contract: null counts as empty; a text without words has the fingerprint zero; equal texts have equal
-fingerprints; rows of the same id are ordered by a hash of their text; an only document is its own next one.
+fingerprints; terms of very long texts are counted in bounded steps, over the whole text; rows of the same id are
+ordered by a hash of their text; an only document is its own next one; the class of rows without an id is null.
 """
 
 from __future__ import annotations
@@ -18,7 +19,6 @@ from __future__ import annotations
 import hashlib
 import math
 from collections.abc import Iterator
-from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
@@ -26,18 +26,32 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from kinetrace.llm import blocks
 from kinetrace.llm import codes as C
 from kinetrace.llm.components import components
 from kinetrace.llm.storage import written
-from kinetrace.llm.trie_join import CHUNK, HOT, Forest
+from kinetrace.llm.trie_join import CHUNK, Forest
 
-BITS, RADIUS, SHARED, STEP = 128, 6, 2, 1 << 13
+BITS, RADIUS, STEP = 128, 3, 1 << 13
+#: Most fingerprints of a key, which are compared pair by pair; larger keys are dealt again.
+HOT = 4096
 
 
 def fingerprint_many(texts: list[str | None]) -> np.ndarray:
     """Texts x 2 unsigned 64-bit numbers."""
     out = np.zeros((len(texts), 2), np.uint64)
-    votes: dict[int, np.ndarray] = {}
+
+    def vote(d: int, terms: np.ndarray, counts: np.ndarray) -> None:
+        weight = (1 + np.log(counts)).astype(np.float32)
+        both = np.stack([C.mixed(terms), C.mixed(terms ^ np.uint64(0xA5A5A5A5A5A5A5A5))], 1)
+        total = np.zeros(BITS)
+        for a in range(0, len(terms), STEP):
+            part = both[a : a + STEP]
+            bits = np.unpackbits(part.view(np.uint8).reshape(len(part), 16), axis=1, bitorder="little").astype(np.float32)
+            total += 2 * (weight[a : a + STEP] @ bits).astype(float) - float(weight[a : a + STEP].sum(dtype=float))
+        out[d] = np.packbits(total > 0, bitorder="little").view(np.uint64)
+
+    open_: tuple | None = None  # the last document seen: its number, terms, counts, last word, and its word if it has only one
     for docs, pieces in C.grouped(texts):
         text = "\n" + "\n".join(pieces) + "\n"
         codes = C.code_points(text)
@@ -49,29 +63,30 @@ def fingerprint_many(texts: list[str | None]) -> np.ndarray:
         if not len(starts):
             continue
         border = np.cumsum([len(p) + 1 for p in pieces]) + 1
-        piece = np.searchsorted(border, starts, "right")
+        owner = np.asarray(docs, np.int64)[np.searchsorted(border, starts, "right")]
         h = C.span_hashes(codes, starts, ends)
-        pair = np.append(piece[1:] == piece[:-1], False)
+        if open_ and open_[0] == owner[0]:  # a text that goes on: its last word pairs with the next
+            h, owner = np.append(open_[3], h), np.append(owner[0], owner)
+        pair = owner[1:] == owner[:-1]
         with np.errstate(over="ignore"):
-            two = C.mixed(h * np.uint64(0x9E3779B97F4A7C15) + np.append(h[1:], np.uint64(0)))
-        alone = ~pair & np.append(True, ~pair[:-1])
-        keep = pair | alone
-        term, owner = np.where(alone, h, two)[keep], piece[keep]
-        order = np.lexsort((term, owner))
-        term, owner = term[order], owner[order]
-        first = np.flatnonzero(np.append(True, (term[1:] != term[:-1]) | (owner[1:] != owner[:-1])))
-        weight = (1 + np.log(np.diff(np.append(first, len(term))))).astype(np.float32)
-        term, owner = term[first], owner[first]
-        both = np.stack([C.mixed(term), C.mixed(term ^ np.uint64(0xA5A5A5A5A5A5A5A5))], 1)
-        cut = np.searchsorted(owner, np.arange(len(pieces) + 1))
-        for i, d in enumerate(docs):
-            for a in range(cut[i], cut[i + 1], STEP):
-                b = min(a + STEP, cut[i + 1])
-                bits = np.unpackbits(both[a:b].view(np.uint8).reshape(b - a, 16), axis=1, bitorder="little").astype(np.float32)
-                vote = 2 * (weight[a:b] @ bits).astype(float) - float(weight[a:b].sum(dtype=float))
-                votes[d] = votes[d] + vote if d in votes else vote
-    for d, vote in votes.items():
-        out[d] = np.packbits(vote > 0, bitorder="little").view(np.uint64)
+            two = C.mixed(h[:-1] * np.uint64(0x9E3779B97F4A7C15) + h[1:])[pair]
+        of = owner[:-1][pair]
+        order = np.lexsort((two, of))
+        two, of = two[order], of[order]
+        first = np.flatnonzero(np.append(True, (two[1:] != two[:-1]) | (of[1:] != of[:-1]))[: len(two)])
+        count, two, of = np.diff(np.append(first, len(two))), two[first], of[first]
+        last = np.append(np.flatnonzero(owner[1:] != owner[:-1]), len(owner) - 1)
+        for d, at, words in zip(owner[last].tolist(), last.tolist(), np.diff(np.append(-1, last)).tolist(), strict=True):
+            a, b = np.searchsorted(of, (d, d + 1))
+            terms, counts, only = two[a:b], count[a:b], h[at : at + 1] if words == 1 else None
+            if open_ and open_[0] == d:
+                terms, back = np.unique(np.concatenate((open_[1], terms)), return_inverse=True)
+                counts = np.bincount(back, np.concatenate((open_[2], counts))).astype(np.int64)
+            elif open_:
+                vote(open_[0], *((open_[4], np.ones(1)) if open_[4] is not None else open_[1:3]))
+            open_ = (d, terms, counts, h[at], only)
+    if open_:
+        vote(open_[0], *((open_[4], np.ones(1)) if open_[4] is not None else open_[1:3]))
     return out
 
 
@@ -102,12 +117,13 @@ def _digests(ids: pa.Array, texts: list[str], following: list[str]) -> pa.Record
         [
             ids, pa.array([len(x) for x in texts], pa.int64()), pa.array([hashlib.sha256(x.encode()).hexdigest() for x in changed], pa.string()),
             pa.array(as_text(own), pa.string()), pa.array(as_text(other), pa.string()), pa.array(likeness(own, other)), pa.array(likeness(own, after)),
+            pa.array(own[:, 0].view(np.int64)), pa.array(own[:, 1].view(np.int64)),
         ],
-        ["doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next"],
+        ["doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next", "high", "low"],
     )
 
 
-COLUMNS = "n_chars bigint, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
+COLUMNS = "n_chars bigint, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double, high bigint, low bigint"
 
 
 def with_edits(docs: DataFrame) -> DataFrame:
@@ -131,7 +147,7 @@ def with_edits(docs: DataFrame) -> DataFrame:
             return pa.RecordBatch.from_arrays([*batch.columns, *more], [*batch.schema.names, *names])
 
         def bare(ids: pa.Array) -> pa.RecordBatch:
-            kinds = [pa.int64(), pa.string(), pa.string(), pa.string(), pa.float64(), pa.float64()]
+            kinds = [pa.int64(), pa.string(), pa.string(), pa.string(), pa.float64(), pa.float64(), pa.int64(), pa.int64()]
             return pa.RecordBatch.from_arrays([ids, *(pa.nulls(len(ids), k) for k in kinds)], ["doc_id", *(c.split()[0] for c in COLUMNS.split(", "))])
 
         for batch in batches:
@@ -177,50 +193,27 @@ def fingerprints(docs: DataFrame) -> DataFrame:
     return kept.mapInArrow(run, f"doc_id {kept.schema['doc_id'].dataType.simpleString()}, high bigint, low bigint")
 
 
-def _bit_blocks(radius: int, shared: int) -> list[tuple[int, int]]:
-    edges = [round(BITS * i / (radius + shared)) for i in range(radius + shared + 1)]
-    return [*zip(edges[:-1], edges[1:], strict=True)]
-
-
-def _slice_of(a: int, b: int):
-    """Bits a to b (from the lowest of `high` on) as one number; blocks don't exceed 63 bits."""
-    parts = []
-    for column, base in (("high", 0), ("low", 64)):
-        lo, hi = max(a, base), min(b, base + 64)
-        if lo < hi:
-            bits = F.shiftrightunsigned(F.col(column), lo - base).bitwiseAND(F.lit((1 << (hi - lo)) - 1))
-            parts.append(F.shiftleft(bits, lo - a))
-    return parts[0] if len(parts) == 1 else parts[0].bitwiseOR(parts[1])
-
-
-def near_classes(found: DataFrame, radius: int = RADIUS, shared: int = SHARED) -> DataFrame:
+def near_classes(found: DataFrame, radius: int = RADIUS) -> DataFrame:
     """doc_id and class_id: fingerprints within `radius` bits, and what they reach, share the class of the least id.
 
     `found` (doc_id, high, low) should be written: it is read twice."""
-    blocks = _bit_blocks(radius, shared)
-    nodes = written(found.groupBy("high", "low").agg(F.min("doc_id").alias("least")), "nodes").withColumn("node", F.xxhash64("high", "low"))
-    tables = [*combinations(range(len(blocks)), shared)]
-    keys = F.array(*(F.struct(F.lit(i).alias("t"), F.xxhash64(*(_slice_of(*blocks[j]) for j in t)).alias("key")) for i, t in enumerate(tables)))
-    rows = nodes.select("high", "low", "least", F.explode(keys).alias("k")).select("high", "low", "least", "k.t", "k.key")
-    hot = written(rows.groupBy("t", "key").count().where(F.col("count") > HOT).select("t", "key", F.lit(True).alias("hot")), "hot")
-    marked = rows.join(hot, ["t", "key"], "left")
-    # under a hot key the blocks that it doesn't hold are tried one by one: near rows agree on one of them, too, or are few
-    again = F.when(F.col("hot"), F.array(*(F.xxhash64(F.lit(j), _slice_of(a, b)) for j, (a, b) in enumerate(_bit_blocks(radius, 1))))).otherwise(F.array(F.lit(0).cast("bigint")))
-    dealt = marked.select("least", "high", "low", "t", "key", F.explode(again).alias("sub")).repartition("t", "key", "sub")
+    return found.select("doc_id", "high", "low").join(_classes(found, radius), ["high", "low"]).select("doc_id", "class_id")
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = pa.Table.from_batches(list(batches)) if (batches := list(batches)) else None
-        if table is None or not len(table):
-            return
-        least, high, low, t, key, sub = (table.column(c).to_numpy() for c in ("least", "high", "low", "t", "key", "sub"))
-        order = np.lexsort((low, high, sub, key, t))
-        least, high, low, t, key, sub = (x[order] for x in (least, high, low, t, key, sub))
+
+def _classes(found: DataFrame, radius: int) -> DataFrame:
+    """high, low and class_id of every different fingerprint."""
+    nodes = written(found.groupBy("high", "low").agg(F.min("doc_id").alias("least")), "nodes")
+
+    def run(table: pa.Table) -> pa.RecordBatch:
+        high, low, g = (table.column(c).to_numpy() for c in ("high", "low", "g"))
+        order = np.lexsort((low, high, g))
+        high, low, g = high[order], low[order], g[order]
         x, y = high.view(np.uint64), low.view(np.uint64)
-        first = np.flatnonzero(np.append(True, (t[1:] != t[:-1]) | (key[1:] != key[:-1]) | (sub[1:] != sub[:-1])))
-        end = np.repeat(np.append(first[1:], len(t)), np.diff(np.append(first, len(t))))
-        forest = Forest(len(t))
+        first = np.flatnonzero(np.append(True, g[1:] != g[:-1]))
+        end = np.repeat(np.append(first[1:], len(g)), np.diff(np.append(first, len(g))))
+        forest = Forest(len(g))
         gap = 1
-        live = np.flatnonzero(np.arange(len(t)) + gap < end)
+        live = np.flatnonzero(np.arange(len(g)) + gap < end)
         while len(live):  # rows at distance 1, 2, ... of the same key, those of one tree left out
             for at in range(0, len(live), CHUNK):
                 a = live[at : at + CHUNK]
@@ -230,11 +223,19 @@ def near_classes(found: DataFrame, radius: int = RADIUS, shared: int = SHARED) -
                 forest.link(a[close], b[close])
             gap += 1
             live = live[live + gap < end[live]]
-        child = np.flatnonzero(forest.parent != np.arange(len(t)))
-        yield pa.RecordBatch.from_arrays([pa.array(least[child]), pa.array(least[forest.parent[child]])], ["a", "b"])
-
-    edges = dealt.mapInArrow(run, "a bigint, b bigint")
-    roots = components(edges)
-    classes = roots.join(roots.groupBy("root").agg(F.min("node").alias("class_id")), "root").select(F.col("node").alias("least"), "class_id")
-    named = written(nodes.join(classes, "least", "left").select("high", "low", F.coalesce("class_id", "least").alias("class_id")), "classes")
-    return found.join(named, ["high", "low"]).select("doc_id", "class_id")
+        child = np.flatnonzero(forest.parent != np.arange(len(g)))
+        sides = [pa.StructArray.from_arrays([pa.array(high[i]), pa.array(low[i])], ["high", "low"]) for i in (child, forest.parent[child])]
+        return pa.RecordBatch.from_arrays(sides, ["a", "b"])
+
+    print_ = "struct<high:bigint,low:bigint>"
+    roots = components(blocks.by_group(blocks.dealt(nodes, ["high", "low"], radius, HOT), run, f"a {print_}, b {print_}"))
+    linked = roots.select("node.high", "node.low", "root").join(nodes, ["high", "low"])
+    named = linked.join(linked.groupBy("root").agg(F.min("least").alias("class_id")), "root").select("high", "low", "class_id")
+    alone = F.col("class_id").isNull()  # of a class without any id, too
+    return written(nodes.join(named, ["high", "low"], "left").select("high", "low", F.when(alone, F.col("least")).otherwise(F.col("class_id")).alias("class_id")), "classes")
+
+
+def edit_rows(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
+    """`with_edits` and class_id, the least id that is reachable over fingerprints within `radius` bits."""
+    rows = written(with_edits(docs), "rows")
+    return rows.join(_classes(rows, radius), ["high", "low"]).drop("high", "low")

@@ -1,8 +1,10 @@
 """Each operator against brute force, an exact round trip or held-out labels, on small and awkward tables."""
 
 import hashlib
+import math
 import random
 import re
+import unicodedata
 import zlib
 from collections import Counter, defaultdict
 
@@ -12,6 +14,7 @@ import pytest
 import xxhash
 from tokenizers import Tokenizer
 
+from kinetrace.llm import codes as C
 from kinetrace.llm import bpe, langid, maxscore, packing, pii, quality, simhash, toxicity, trie_join, warc
 from kinetrace.llm.components import components
 
@@ -417,6 +420,7 @@ def test_likeness_separates(docs):
 @pytest.mark.parametrize("hot", [50_000, 6])
 def test_block_tables(spark, monkeypatch, hot):
     monkeypatch.setattr(simhash, "HOT", hot)
+    monkeypatch.setattr(simhash, "RADIUS", 6)
     rng = random.Random(5)
     base = [rng.getrandbits(128) for _ in range(20)]
     prints = sorted({b ^ sum(1 << rng.randrange(128) for _ in range(rng.randrange(9))) & (2**128 - 1) for b in base for _ in range(8)})
@@ -428,7 +432,57 @@ def test_block_tables(spark, monkeypatch, hot):
         if new == up:
             break
         up = new
-    assert {r.doc_id: r.class_id for r in simhash.near_classes(found).collect()} == dict(enumerate(up))
+    assert {r.doc_id: r.class_id for r in simhash.near_classes(found, 6).collect()} == dict(enumerate(up))
+
+
+def slow_print(text):
+    """Fingerprint of one text from plain counts; hashes of words and their mixing are the module's."""
+    words, lower = [], "".join(c.lower() if len(c.lower()) == 1 and unicodedata.category(c)[0] == "L" else c for c in text or "")
+    words = [w for w in re.split("[" + "".join(map(chr, C.WHITE_SPACE)) + "]+", lower) if w]
+    hashes = []
+    for w in words:
+        codes = C.code_points(w)
+        hashes.append(int(C.span_hashes(codes, np.array([0]), np.array([len(codes)]))[0]))
+    mix = lambda x: int(C.mixed(np.array([x & (2**64 - 1)], np.uint64))[0])
+    terms = Counter(mix(a * 0x9E3779B97F4A7C15 + b) for a, b in zip(hashes, hashes[1:], strict=False)) or Counter(hashes[:1])
+    bits = [mix(t) | mix(t ^ 0xA5A5A5A5A5A5A5A5) << 64 for t in terms]
+    weights = [1 + math.log(n) for n in terms.values()]
+    whole = sum(1 << i for i in range(128) if sum(w if b >> i & 1 else -w for w, b in zip(weights, bits, strict=True)) > 0)
+    return whole & (2**64 - 1), whole >> 64
+
+
+def test_votes_by_plain_counting(docs, monkeypatch):
+    texts = [r.text for r in docs.where("length(text) < 3000").limit(20).collect()] + ["", None, "one", "One two", "a b a b a", "x  y\u2003z", "é É ß"]
+    want = [slow_print(t) for t in texts]
+    assert [tuple(x) for x in simhash.fingerprint_many(texts).tolist()] == want
+    monkeypatch.setattr(C.grouped, "__defaults__", (200,))  # texts of many pieces
+    assert [tuple(x) for x in simhash.fingerprint_many(texts).tolist()] == want
+
+
+def test_classes_of_repeated_and_missing_ids(spark):
+    rows = [(1, 5, 0), (1, 2**40, 2**50), (2, 4, 0), (None, 2**40, 2**50), (None, 7, -1)]
+    found = simhash.near_classes(spark.createDataFrame(rows, "doc_id bigint, high bigint, low bigint")).collect()
+    assert sorted((str(r.doc_id), str(r.class_id)) for r in found) == [("1", "1"), ("1", "1"), ("2", "1"), ("None", "1"), ("None", "None")]
+    names = spark.createDataFrame([("b", 1, 1), ("a", 3, 1), ("c", -1, 99)], "doc_id string, high bigint, low bigint")
+    assert {r.doc_id: r.class_id for r in simhash.near_classes(names).collect()} == {"a": "a", "b": "a", "c": "c"}
+
+
+def test_classes_of_documents(docs):
+    rows = simhash.edit_rows(docs).collect()
+    prints = {r.doc_id: int(r.fingerprint, 16) for r in rows}
+    up = {d: d for d in prints}
+
+    def top(d):
+        while up[d] != d:
+            d = up[d]
+        return d
+
+    for a in prints:
+        for b in prints:
+            if a < b and (prints[a] ^ prints[b]).bit_count() <= simhash.RADIUS:
+                x, y = sorted((top(a), top(b)))
+                up[y] = x
+    assert {r.doc_id: r.class_id for r in rows} == {d: top(d) for d in prints}
 
 
 # 9: personal data
