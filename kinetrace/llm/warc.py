@@ -1,18 +1,20 @@
 """WARC archives as a chunked record table.
 
-A record is a row for each of its chunks: (record, chunk number, bytes), none longer than `chunk` bytes,
-with the running digest of the payload up to that chunk, so no step needs a whole payload at once. In the
-archive an oversized record is a first segment and `continuation` records, as the format has it, so every
-archive record is bounded. Records are written by Spark's text sink, one row each, with the record's closing
-line ends as the separator, to any store that Spark can write to.
-
-Archives are read by Spark's text source with the start of a record as the separator, which streams files
-of any size. A payload that holds a version line is cut into segments inside it, so no record block, not even
-with the line ends around it, holds the mark and every row read is one record. A payload is put together again chunk by chunk in order, updating
-its digest.
+A record is a row for each of its chunks: (record, chunk number, bytes), none longer than `chunk` bytes. The payloads
+are cut where the table is read, so workers get one chunk at a time and carry the running digest of each record from
+chunk to chunk; no step there needs a whole payload. In the archive an oversized record is a first segment and
+`continuation` records, as the format has it, so every archive record is bounded. Records are written by Spark's text
+sink, one row each, with the record's closing line ends as the separator, to any store that Spark can write to; each
+file begins with a `warcinfo` record. Files aren't compressed by default: the sink could only compress a file as one
+stream, and readers of the format expect one stream for each record.
+
+Archives are read by Spark's text source with the start of a record as the separator, which streams files of any size.
+A payload that holds a version line is cut into segments inside it, so no record block, not even with the line ends
+around it, holds the mark and every row read is one record. A payload is put together again chunk by chunk in order,
+updating its digest.
 
 Contract: null payloads count as empty; equal payloads of at least `least` bytes are kept once, under the
-smallest page_id, and the others are `revisit` records that refer to it; null urls are left out of the
+smallest page_id, and the others are `revisit` records that refer to it (WARC-Refers-To); null urls are left out of the
 header; repeated page ids are records of their own; an empty table gives an empty archive.
 """
 
@@ -34,90 +36,110 @@ MARK = RECORD_END + VERSION + LINE
 HTTP = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\n\r\n"
 CHUNK, LEAST = 1 << 20, 100
 DATE = "2024-01-01T00:00:00Z"
+#: Digests with more than one page that may be broadcast (about 100 bytes each); more are joined by a shuffle.
+BROADCAST_DIGESTS = 200_000
 
 
 def classified(pages: DataFrame, least: int = LEAST) -> DataFrame:
-    """page_id, url, payload, record_type and refers_to of every page."""
-    rows = pages.select(F.col("page_id").cast("bigint").alias("page_id"), F.col("url").cast("string").alias("url"), F.encode(F.coalesce(F.col("html").cast("string"), F.lit("")), "UTF-8").alias("payload"))
-    keyed = rows.withColumn("size", F.octet_length("payload")).withColumn("digest", F.sha2("payload", 256))
-    shared = written(keyed.where(F.col("size") >= least).groupBy("digest").agg(F.min("page_id").alias("first"), F.count("*").alias("n")).where("n > 1").drop("n"), "shared")
+    """page_id, url, payload, digest, size, row, record_type, refers_to and first_row (of the response) of every page.
+
+    `row` numbers the rows of the scan; it is the same in both uses, since both read the same splits."""
+    rows = pages.select(
+        F.col("page_id").cast("bigint").alias("page_id"), F.col("url").cast("string").alias("url"), F.encode(F.coalesce(F.col("html").cast("string"), F.lit("")), "UTF-8").alias("payload"),
+        F.monotonically_increasing_id().alias("row"),
+    )
+    keyed = rows.withColumn("size", F.octet_length("payload").cast("bigint")).withColumn("digest", F.sha2("payload", 256))
+    same = keyed.where(F.col("size") >= least).groupBy("digest").agg(F.min("page_id").alias("first"), F.min_by("row", F.struct("page_id", "row")).alias("first_row"), F.count("*").alias("n"))
+    shared = written(same.where("n > 1").drop("n"), "shared")
+    joined = keyed.join(F.broadcast(shared) if shared.count() <= BROADCAST_DIGESTS else shared, "digest", "left")
     revisit = F.col("first").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("first"))
-    return keyed.join(shared, "digest", "left").select(
-        "page_id", "url", "payload", "digest", F.when(revisit, "revisit").otherwise("response").alias("record_type"), F.when(revisit, F.col("first")).alias("refers_to")
-    )
+    return joined.select(
+        "page_id", "url", "payload", "digest", "size", "row", F.when(revisit, "revisit").otherwise("response").alias("record_type"),
+        F.when(revisit, F.col("first")).alias("refers_to"), F.when(revisit, F.col("first_row")).alias("first_row"),
+    )
 
 
 def record_name(page_id: int | None, row: int) -> str:
     return f"<urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, f'page:{page_id}:{row}')}>"
 
 
-def chunks(payload: bytes, size: int) -> Iterator[tuple[int, bytes, str]]:
-    """(number, bytes, digest of all bytes so far); cut at `size` bytes or inside a version line, so no part can complete a record mark."""
-    view, digest, at, number = memoryview(payload), hashlib.sha256(), 0, 0
+def chunk_rows(pages: DataFrame, chunk: int = CHUNK) -> DataFrame:
+    """What `classified` gives with a row for each chunk of at most `chunk` bytes: chunk_number, part and chunks, their number; a revisit has one empty chunk."""
+    kept = F.when(F.col("record_type") == "revisit", 0).otherwise(F.col("size"))
+    count = F.greatest(F.ceil(kept / float(chunk)), F.lit(1)).cast("int")
+    parts = F.transform(F.sequence(F.lit(0), count - 1), lambda i: F.substring(F.col("payload"), i * chunk + 1, F.when(F.col("record_type") == "revisit", 0).otherwise(chunk)))
+    names = [c for c in pages.columns if c != "payload"]
+    return pages.select(*names, count.alias("chunks"), F.posexplode(parts).alias("chunk_number", "part"))
+
+
+def segments(part: bytes) -> Iterator[bytes]:
+    """A chunk cut inside every version line that it holds, so that no segment can complete a record mark."""
+    at = 0
     while True:
-        to = min(len(view), at + size)
-        mark = payload.find(VERSION, at, min(len(view), to + len(VERSION) - 1))
-        if mark >= 0:
-            to = mark + 2
-        part = bytes(view[at:to])
-        digest.update(part)
-        yield number, part, digest.copy().hexdigest()
-        at, number = to, number + 1
-        if at >= len(view):
+        mark = part.find(VERSION, at)
+        to = len(part) if mark < 0 else mark + 2
+        yield part[at:to]
+        at = to
+        if mark < 0 or at >= len(part):
             return
 
 
+def _head(kind: str, name: str, fields: list[str], block: bytes) -> bytes:
+    lines = [f"WARC-Type: {kind}", f"WARC-Date: {DATE}", f"WARC-Record-ID: {name}", *fields, f"Content-Length: {len(block)}"]
+    return VERSION + LINE + "\r\n".join(lines).encode() + RECORD_END + block
+
+
 def archive_records(pages: DataFrame, chunk: int = CHUNK) -> DataFrame:
     """record, chunk_number, running_digest and value, the bytes of one archive record without its end."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kinds, names = [pa.string(), pa.int32(), pa.string(), pa.binary()], ["record", "chunk_number", "running_digest", "value"]
+        out: list[tuple] = []
+        held, digest, number, opened = 0, hashlib.sha256(), 0, False
+
+        def batch_of(rows: list[tuple]) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(zip(*rows) if rows else [()] * 4, kinds, strict=True)], names)
+
         for batch in batches:
-            out: list[list] = [[], [], [], []]
-            held = 0
-            columns = [batch.column(c) for c in ("page_id", "url", "payload", "digest", "record_type", "refers_to", "row")]
+            columns = [batch.column(c) for c in ("page_id", "url", "digest", "size", "record_type", "refers_to", "row", "first_row", "chunks", "chunk_number", "part")]
             for i in range(batch.num_rows):
-                page, url, payload, digest, kind, refers, row = (c[i].as_py() for c in columns)
+                page, url, whole, size, kind, refers, row, first_row, count, nth, part = (c[i].as_py() for c in columns)
                 name = record_name(page, row)
-                parts = [(0, b"", digest)] if kind == "revisit" else chunks(payload, chunk)
-                pending = None
-                for number, part, running in parts:
-                    if pending:
-                        emit(out, pending, page, url, kind, refers, name, len(payload), digest, last=False)
-                    pending = (number, part, running)
-                    held += len(part)
+                if not opened:
+                    info, opened = b"software: kinetrace\r\nformat: WARC File Format 1.1\r\n", True
+                    about = f"<urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, f'file:{name}')}>"
+                    out.append((about, 0, hashlib.sha256(info).hexdigest(), _head("warcinfo", about, ["Content-Type: application/warc-fields"], info)))
+                if nth == 0:
+                    digest, number = hashlib.sha256(), 0
+                cut = [*segments(part)]
+                for j, piece in enumerate(cut):
+                    digest.update(piece)
+                    running, last = digest.copy().hexdigest(), nth == count - 1 and j == len(cut) - 1
+                    block, head = (HTTP + piece if number == 0 else piece), ["Page-Id: " + ("" if page is None else str(page))]
+                    if number == 0:
+                        if url is not None:
+                            head.append("WARC-Target-URI: " + url.replace("\r", "%0D").replace("\n", "%0A"))
+                        head += ["Content-Type: application/http; msgtype=response", f"WARC-Payload-Digest: sha256:{whole}", f"Payload-Length: {size}"]
+                        if kind == "revisit":
+                            head += [f"WARC-Refers-To: {record_name(refers, first_row)}", f"Refers-To-Page: {refers}", "WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"]
+                    if number or not last:
+                        head += [f"WARC-Segment-Number: {number + 1}", f"Running-Digest: {running}"]
+                        if number:
+                            head.append(f"WARC-Segment-Origin-ID: {name}")
+                        if last:
+                            head.append(f"WARC-Segment-Total-Length: {size + len(HTTP)}")
+                    own = name if number == 0 else f"{name[:-1]}-{number}>"
+                    out.append((name, number, running, _head(kind if number == 0 else "continuation", own, head, block)))
+                    number, held = number + 1, held + len(piece)
                     if held > 4 * chunk:
-                        yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.string()), pa.array(out[1], pa.int32()), pa.array(out[2], pa.string()), pa.array(out[3], pa.binary())], names)
-                        out, held = [[], [], [], []], 0
-                emit(out, pending, page, url, kind, refers, name, len(payload), digest, last=True)
-            yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.string()), pa.array(out[1], pa.int32()), pa.array(out[2], pa.string()), pa.array(out[3], pa.binary())], names)
-
-    def emit(out, piece, page, url, kind, refers, name, size, digest, last):
-        number, part, running = piece
-        block = HTTP + part if number == 0 else part
-        head = ["WARC-Type: " + (kind if number == 0 else "continuation"), f"WARC-Date: {DATE}", "Page-Id: " + ("" if page is None else str(page))]
-        head.append("WARC-Record-ID: " + (name if number == 0 else f"{name[:-1]}-{number}>"))
-        if number == 0:
-            if url is not None:
-                head.append("WARC-Target-URI: " + url.replace("\r", "%0D").replace("\n", "%0A"))
-            head += ["Content-Type: application/http; msgtype=response", f"WARC-Payload-Digest: sha256:{digest}", f"Payload-Length: {size}"]
-            if kind == "revisit":
-                head += [f"Refers-To-Page: {refers}", "WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"]
-        if number or not last:
-            head += [f"WARC-Segment-Number: {number + 1}", f"WARC-Segment-Origin-ID: {name}", f"Running-Digest: {running}"]
-            if last:
-                head.append(f"WARC-Segment-Total-Length: {size + len(HTTP)}")
-        head.append(f"Content-Length: {len(block)}")
-        out[0].append(name)
-        out[1].append(number)
-        out[2].append(running)
-        out[3].append(VERSION + LINE + "\r\n".join(head).encode() + RECORD_END + block)
-
-    names = ["record", "chunk_number", "running_digest", "value"]
-    numbered = pages.withColumn("row", F.monotonically_increasing_id())
-    return numbered.mapInArrow(run, "record string, chunk_number int, running_digest string, value binary")
-
-
-def write_archive(pages: DataFrame, path: str, chunk: int = CHUNK, compression: str = "gzip") -> str:
+                        yield batch_of(out)
+                        out, held = [], 0
+        yield batch_of(out)
+
+    return chunk_rows(pages, chunk).mapInArrow(run, "record string, chunk_number int, running_digest string, value binary")
+
+
+def write_archive(pages: DataFrame, path: str, chunk: int = CHUNK, compression: str = "none") -> str:
     """Writes the pages that `classified` gives as an archive folder."""
     archive_records(pages, chunk).select(F.col("value").cast("string").alias("value")).write.option("lineSep", RECORD_END.decode()).option("compression", compression).text(path)
     return path
@@ -139,6 +161,8 @@ def read_chunks(spark: SparkSession, path: str) -> DataFrame:
                     continue
                 head, _, block = data.partition(RECORD_END)
                 fields = dict(x.split(": ", 1) for x in head.decode().split("\r\n") if ": " in x)
+                if fields["WARC-Type"] == "warcinfo":
+                    continue
                 block = block[: int(fields["Content-Length"])]
                 number = int(fields.get("WARC-Segment-Number", 1)) - 1
                 kind = fields["WARC-Type"]

@@ -2,6 +2,7 @@
 
 import hashlib
 import math
+import pathlib
 import random
 import re
 import unicodedata
@@ -316,6 +317,22 @@ def test_top_k(spark):
     assert maxscore.sampled_queries(frame.limit(0)).count() == 0
 
 
+@pytest.mark.parametrize("shard", [2048, 40])
+def test_top_k_of_short_and_mixed_vectors(spark, monkeypatch, shard):
+    monkeypatch.setattr(maxscore, "SHARD", shard)
+    monkeypatch.setattr(maxscore, "BLOCK", 3)
+    monkeypatch.setattr(maxscore, "PILOT", 60)
+    rng = np.random.default_rng(4)
+    rows = [(i, rng.normal(size=(3, 20, 9, 0)[i // 10 % 4] if i % 7 else 3).round(2).tolist()) for i in range(400)]
+    found = maxscore.sampled_queries(spark.createDataFrame(rows, "vec_id bigint, embedding array<double>")).collect()
+    whole = {i: np.floor(256 * np.array(v)).astype(int) for i, v in rows}
+    want = set()
+    for q in range(0, 400, 50):
+        best = sorted(((-int(whole[q] @ v), i) for i, v in whole.items() if i != q and len(v) == len(whole[q])))[:5]
+        want |= {(q, k + 1, i, -s) for k, (s, i) in enumerate(best)}
+    assert {tuple(r) for r in found} == want
+
+
 def test_shard_search_prunes_exactly(monkeypatch):
     monkeypatch.setattr(maxscore, "SLICE", 16)
     rng = np.random.default_rng(2)
@@ -349,13 +366,38 @@ def test_archive_round_trip(spark, tmp_path):
     assert max(len(r.payload) for r in table) <= 1000 and sum(r.record_type == "continuation" for r in table) > 10
 
 
-def test_running_digests():
-    data = bytes(range(256)) * 40
-    at = 0
-    for _, part, digest in warc.chunks(data, 1000):
-        at += len(part)
-        assert digest == hashlib.sha256(data[:at]).hexdigest()
-    assert at == len(data)
+def test_running_digests(spark):
+    data = "".join(map(chr, range(32, 127))) * 400
+    pages = spark.createDataFrame([(1, None, data), (2, "u", "small")], "page_id bigint, url string, html string")
+    rows = warc.archive_records(warc.classified(pages), 1000).where("value not like '%warcinfo%'").collect()
+    large = sorted((x for x in rows if sum(y.record == x.record for y in rows) > 1), key=lambda x: x.chunk_number)
+    assert len(large) == 38
+    for k, x in enumerate(large):
+        assert x.running_digest == hashlib.sha256(data[: 1000 * (k + 1)].encode()).hexdigest()
+
+
+def test_archive_reads_as_the_format_has_it(spark, tmp_path):
+    """A plain reader by Content-Length finds every record; revisits refer to the response's record."""
+    html = ["p" * 150, "q" * 5000, "p" * 150, "p" * 150, "tiny", "tiny"]
+    pages = spark.createDataFrame([(9 - i, f"http://h/{i}", h) for i, h in enumerate(html)], "page_id bigint, url string, html string").repartition(2)
+    path = f"{tmp_path}/b"
+    warc.write_archive(warc.classified(pages), f"file://{path}", chunk=1000)
+    found = {}
+    for file in sorted(pathlib.Path(path).glob("part-*")):
+        data, kinds = file.read_bytes(), []
+        while data:
+            head, _, rest = data.partition(b"\r\n\r\n")
+            version, *lines = head.decode().split("\r\n")
+            fields = dict(x.split(": ", 1) for x in lines)
+            n = int(fields["Content-Length"])
+            assert version == "WARC/1.1" and rest[n : n + 4] == b"\r\n\r\n"
+            found[fields["WARC-Record-ID"]] = fields | {"block": rest[:n]}
+            kinds.append(fields["WARC-Type"])
+            data = rest[n + 4 :]
+        assert not kinds or kinds[0] == "warcinfo"
+    revisits = [f for f in found.values() if f["WARC-Type"] == "revisit"]
+    assert len(revisits) == 2 and {found[f["WARC-Refers-To"]]["Page-Id"] for f in revisits} == {"6"}
+    assert sum(f["WARC-Type"] == "continuation" for f in found.values()) == 4
 
 
 # 7: BPE
