@@ -24,11 +24,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from kinetrace.llm import codes as C
-from kinetrace.llm.sampling import excerpt, remainder, stratified
+from kinetrace.llm.sampling import drawable, remainder, stratified, unit
 
 SLOTS, ROW, UNKNOWN = 1 << 16, 48, "und"
 #: Bounds of the fit: labelled documents of a language and characters of each.
-SAMPLE_DOCS, SAMPLE_CHARS = 250, 800
+SAMPLE_DOCS, SAMPLE_TOTAL = 250, 1_200_000
 
 
 @dataclass
@@ -262,13 +262,21 @@ def label_documents(model: Model, texts: list[str | None]) -> tuple[list[str], n
     return [model.labels[j] if n else UNKNOWN for j, n in zip(best.tolist(), counts.tolist(), strict=True)], np.where(counts > 0, np.minimum(mean.max(1), 1.0), 0.0)
 
 
-def train(docs: DataFrame, modulus: int | None = 3, held_out: int = 1, size: int = SAMPLE_DOCS, chars: int = SAMPLE_CHARS) -> Model:
-    """Fit on at most about `size` labelled documents of each language, never on held-out rows."""
+def train(docs: DataFrame, modulus: int | None = 3, held_out: int = 1, size: int = SAMPLE_DOCS, total: int = SAMPLE_TOTAL) -> Model:
+    """Fit on at most about `size` whole labelled documents of each language, as many as `total` characters hold, never on held-out rows."""
     rows = docs.select("doc_id", F.col("text").cast("string").alias("text"), "lang").where("text is not null and lang is not null")
     if modulus:
         rows = rows.where(remainder("doc_id", modulus) != held_out)
-    found = stratified(rows, "doc_id", "lang", size).select(excerpt("text", "doc_id", chars).alias("text"), "lang", "doc_id").toArrow().sort_by([("doc_id", "ascending"), ("text", "ascending")])
-    return fit(found["text"].to_pylist(), found["lang"].to_pylist())
+    found = stratified(rows.where(drawable("text")), "doc_id", "lang", size).select("text", "lang", "doc_id", unit("doc_id").alias("u"))
+    found = found.toArrow().sort_by([("u", "ascending"), ("doc_id", "ascending"), ("text", "ascending")])
+    room: dict[str, int] = dict.fromkeys(found["lang"].unique().to_pylist(), total // max(1, len(found["lang"].unique())))
+    texts, langs = [], []
+    for text, lang in zip(found["text"].to_pylist(), found["lang"].to_pylist(), strict=True):
+        if len(text) <= room[lang]:
+            room[lang] -= len(text)
+            texts.append(text)
+            langs.append(lang)
+    return fit(texts, langs)
 
 
 def identify(docs: DataFrame, model: Model) -> DataFrame:

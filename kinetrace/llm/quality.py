@@ -22,11 +22,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from kinetrace.llm import codes as C
-from kinetrace.llm.sampling import excerpt, remainder, stratified
+from kinetrace.llm.sampling import drawable, remainder, stratified
 
 SLOTS, REPEATS, RANK, NEIGHBOURS, SHARPNESS = 1 << 12, 32, 48, 15, 8.0
 #: Bounds of the fit: labelled documents of each label, characters of each.
-SAMPLE_DOCS, SAMPLE_CHARS = 1200, 8000
+SAMPLE_DOCS = 1200
 
 
 @dataclass
@@ -107,15 +107,15 @@ def scores(space: Space, texts: list[str | None], block: int = 1024) -> np.ndarr
     return out
 
 
-def train(docs: DataFrame, labels: DataFrame, modulus: int | None = 4, held_out: int = 2, size: int = SAMPLE_DOCS, chars: int = SAMPLE_CHARS) -> Space:
-    """Fit on at most about `size` labelled documents of each label, none of them held out."""
+def train(docs: DataFrame, labels: DataFrame, modulus: int | None = 4, held_out: int = 2, size: int = SAMPLE_DOCS) -> Space:
+    """Fit on at most about `size` whole labelled documents of each label, none of them held out."""
     marks = labels.select("doc_id", F.col("quality").cast("int").alias("_quality")).where("_quality is not null").groupBy("doc_id").agg(F.max("_quality").alias("_quality"))
     if modulus:
         marks = marks.where(remainder("doc_id", modulus) != held_out)
     share = marks.agg(F.avg("_quality")).first()[0]
     chosen = stratified(marks, "doc_id", "_quality", size)
-    rows = docs.select("doc_id", F.col("text").cast("string").alias("_text")).where("_text is not null").join(F.broadcast(chosen), "doc_id")
-    found = rows.select("doc_id", "_quality", excerpt("_text", "doc_id", chars).alias("text")).toArrow().sort_by([("doc_id", "ascending"), ("text", "ascending")])
+    rows = docs.select("doc_id", F.col("text").cast("string").alias("_text")).where(F.col("_text").isNotNull() & drawable("_text")).join(F.broadcast(chosen), "doc_id")
+    found = rows.select("doc_id", "_quality", F.col("_text").alias("text")).toArrow().sort_by([("doc_id", "ascending"), ("text", "ascending")])
     return fit(found["text"].to_pylist(), found["_quality"].to_pylist(), float(share if share is not None else 0.5))
 
 

@@ -6,7 +6,11 @@ estimates the risk on clean texts and can't be negative; where a step would driv
 is taken back along its gradient. The class prior comes from the labels of the fit rows.
 
 Features of a text are its distinct words and their beginnings of 3, 5 and 7 letters, hashed into slots, each
-weighted by a damped rate; a linear scorer with a bias gives the probability.
+weighted by a damped rate. A slot counts by how surely it is more or less frequent among the confirmed texts than
+among the unlabelled (the log odds over their deviation, less KEEP deviations; slots nearer than that don't count), so a
+few confirmed texts are enough. A linear scorer with a bias gives the probability. Confirmed texts that hold nothing
+toxic pull all scores down; so the scores are moved, by at most the odds of FLOOR, until the share of unlabelled texts
+that score a half or more is the prior.
 
 Contract: null and empty texts have no features and get the score of the bias; with no positive label every
 score is the prior; equal texts get equal scores; nothing but the text enters a score.
@@ -23,12 +27,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from kinetrace.llm import codes as C
-from kinetrace.llm.sampling import excerpt, remainder, stratified
+from kinetrace.llm.sampling import drawable, remainder, stratified
 
 SLOTS = 1 << 18
 PREFIXES = (3, 5, 7)
-#: Bounds of the fit: confirmed toxic texts, unlabelled texts, characters of each.
-POSITIVES, UNLABELLED, SAMPLE_CHARS = 1500, 4500, 12_000
+#: Bounds of the fit: confirmed toxic texts, unlabelled texts.
+POSITIVES, UNLABELLED = 1500, 4500
+#: Deviations that a slot's odds must differ by; the least score that may become a half.
+KEEP, FLOOR = 2.0, 0.25
 RUN_CHARS = 500_000
 
 
@@ -74,18 +80,49 @@ def _merged(texts: list[str | None]) -> Iterator[tuple[np.ndarray, np.ndarray, n
         yield wait
 
 
-def vectors(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(document, slot, value) of all texts, in the order of documents and slots."""
-    parts = [tuple(x.astype(np.int32) for x in part) for part in _merged(texts)]
+def vectors(texts: list[str | None], kept: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(document, slot, value) of all texts, in the order of documents and slots; only slots that `kept` marks, if given."""
+    parts, total = [], np.zeros(len(texts))
+    for doc, slot, count in _merged(texts):
+        total += np.bincount(doc, count, len(texts))
+        keep = slice(None) if kept is None else kept[slot]
+        parts.append(tuple(x[keep].astype(np.int32) for x in (doc, slot, count)))
     if not parts:
         none = np.zeros(0, np.int32)
         return none, none, np.zeros(0)
     doc, slot, count = (np.concatenate(x) for x in zip(*parts, strict=True))
     del parts
-    total = np.bincount(doc, count, len(texts))
     return doc, slot, (1 + np.log(count)) / np.sqrt(1 + np.log1p(total))[doc]
 
 
+def document_counts(texts: list[str]) -> np.ndarray:
+    """Number of texts that each slot is in."""
+    found = np.zeros(SLOTS)
+    for _, slot, _ in _merged(texts):
+        found += np.bincount(slot, minlength=SLOTS)
+    return found
+
+
+def associations(positive: list[str], unlabelled: list[str], least: int) -> np.ndarray:
+    """How surely each slot tells confirmed texts from unlabelled ones, 0 to 1."""
+    p, u, n, m = document_counts(positive), document_counts(unlabelled), len(positive), len(unlabelled)
+    odds = np.log((p + 0.5) / (n - p + 0.5)) - np.log((u + 0.5) / (m - u + 0.5))
+    z = np.abs(odds) / np.sqrt(1 / (p + 0.5) + 1 / (u + 0.5))
+    sure = np.where((z > KEEP) & (p + u >= least), z - KEEP + 0.5, 0)
+    return sure / max(sure.max(), 1e-9)
+
+
+def risk(score: np.ndarray, is_p: np.ndarray, prior: float) -> tuple[float, np.ndarray]:
+    """The non-negative risk (its clean part, clipped at 0, and the positive part) and the direction of descent: its gradient by score,
+    or, where the clean part is negative, that of the clean part reversed."""
+    prob, (p, u) = 1 / (1 + np.exp(-np.clip(score, -30, 30))), (is_p.sum(), (~is_p).sum())
+    negative, positive = np.logaddexp(0, score), np.logaddexp(0, -score)  # losses of the labels -1 and +1
+    clean = negative[~is_p].mean() - prior * negative[is_p].mean()
+    g = np.where(is_p, -prior * prob / p, prob / u)
+    value = prior * positive[is_p].mean() + max(0.0, clean)
+    return value, g + np.where(is_p, prior * (prob - 1) / p, 0) if clean >= 0 else -g
+
+
 def scores(model: Scorer, texts: list[str | None]) -> np.ndarray:
     """Score of each text; whole texts are scored in runs of about `RUN_CHARS` characters, so memory doesn't follow the batch."""
     out, run, size = [np.zeros(0)], [], 0
@@ -99,20 +136,19 @@ def scores(model: Scorer, texts: list[str | None]) -> np.ndarray:
     return np.concatenate(out)
 
 
-def fit(positive: list[str], unlabelled: list[str], prior: float, epochs: int = 120, rate: float = 0.2, decay: float = 5e-4, least: int = 12, parts: int = 3, seed: int = 3) -> Scorer:
+def fit(positive: list[str], unlabelled: list[str], prior: float, epochs: int = 120, rate: float = 0.2, decay: float = 2e-5, least: int = 3, parts: int = 3, seed: int = 3) -> Scorer:
     """Adam on the non-negative risk with the logistic loss, in batches of both kinds of text."""
     model = Scorer(np.zeros(SLOTS), float(np.log(max(prior, 1e-6) / max(1 - prior, 1e-6))))
     if not positive or not unlabelled:
         return model
-    doc, slot, value = vectors([*positive, *unlabelled])
-    n = len(positive)
-    common = (np.bincount(slot, minlength=SLOTS) >= least)[slot]  # rare terms would only be learned by heart
-    doc, slot, value = doc[common], slot[common], value[common]
-    used = np.flatnonzero(np.bincount(slot, minlength=SLOTS))
+    sure, n = associations(positive, unlabelled, least), len(positive)
+    used = np.flatnonzero(sure)
+    doc, slot, value = vectors([*positive, *unlabelled], sure > 0)
+    value = value * sure[slot]
     number = np.zeros(SLOTS, np.int32)
     number[used] = np.arange(len(used))
     column = number[slot]
-    del slot, common
+    del slot
     border = np.searchsorted(doc, np.arange(n + len(unlabelled) + 1))
     rng = np.random.default_rng(seed)
     w, b = np.zeros(len(used)), model.bias
@@ -126,15 +162,7 @@ def fit(positive: list[str], unlabelled: list[str], prior: float, epochs: int =
             at = np.repeat(border[rows] - (np.cumsum(size) - size), size) + np.arange(size.sum())
             row = np.repeat(np.arange(len(rows)), size)
             score = np.bincount(row, w[column[at]] * value[at], len(rows)) + b
-            prob = 1 / (1 + np.exp(-np.clip(score, -30, 30)))
-            is_p = np.arange(len(rows)) < len(p)
-            negative = np.logaddexp(0, score)  # loss of the label -1
-            clean_risk = negative[~is_p].mean() - prior * negative[is_p].mean()
-            g = np.where(is_p, -prior * prob / len(p), prob / len(u))  # gradient of the clean part
-            if clean_risk >= 0:
-                g = g + np.where(is_p, prior * (prob - 1) / len(p), 0)
-            else:
-                g = -g
+            _, g = risk(score, np.arange(len(rows)) < len(p), prior)
             gw, gb = np.bincount(column[at], g[row] * value[at], len(used)) + decay * w, g.sum()
             turn += 1
             m += 0.1 * (gw - m)
@@ -144,22 +172,27 @@ def fit(positive: list[str], unlabelled: list[str], prior: float, epochs: int =
             pace = rate * (1 - (turn - 1) / (epochs * batches))
             w -= pace * (m / fix1) / (np.sqrt(v / fix2) + 1e-8)
             b -= pace * (mb / fix1) / (np.sqrt(vb / fix2) + 1e-8)
-    model.weights[used], model.bias = w, float(b)
+    model.weights[used] = w * sure[used]
+    free = doc >= n
+    score = np.bincount(doc[free] - n, w[column[free]] * value[free], len(unlabelled)) + b
+    cut = float(np.quantile(score, 1 - min(max(prior, 0.0), 1.0)))
+    lowest = float(np.log(FLOOR / (1 - FLOOR)))
+    model.bias = float(b - min(max(cut, lowest), 0.0))
     return model
 
 
-def train(docs: DataFrame, labels: DataFrame, modulus: int | None = 5, held_out: int = 0, positives: int = POSITIVES, unlabelled: int = UNLABELLED, chars: int = SAMPLE_CHARS) -> Scorer:
-    """Fit on bounded samples of confirmed toxic documents and of documents taken as unlabelled; neither has held-out rows."""
+def train(docs: DataFrame, labels: DataFrame, modulus: int | None = 5, held_out: int = 0, positives: int = POSITIVES, unlabelled: int = UNLABELLED) -> Scorer:
+    """Fit on bounded samples of confirmed toxic documents and of documents taken as unlabelled, whole texts; neither has held-out rows."""
     marks = labels.select("doc_id", F.col("toxic").cast("int").alias("_toxic")).where("_toxic is not null").groupBy("doc_id").agg(F.max("_toxic").alias("_toxic"))
-    rows = docs.select("doc_id", F.col("text").cast("string").alias("_text")).where("_text is not null")
+    rows = docs.select("doc_id", F.col("text").cast("string").alias("_text")).where(F.col("_text").isNotNull() & drawable("_text"))
     if modulus:
         marks, rows = marks.where(remainder("doc_id", modulus) != held_out), rows.where(remainder("doc_id", modulus) != held_out)
     share = marks.agg(F.avg("_toxic")).first()[0] or 0.0
     chosen = stratified(marks.where("_toxic = 1"), "doc_id", "_toxic", positives).select("doc_id")
-    text = excerpt("_text", "doc_id", chars).alias("text")
-    confirmed = rows.join(F.broadcast(chosen), "doc_id", "left_semi").select("doc_id", text).toArrow().sort_by([("doc_id", "ascending"), ("text", "ascending")])
-    free = stratified(rows.withColumn("_all", F.lit(1)), "doc_id", "_all", unlabelled).select("doc_id", text).toArrow().sort_by([("doc_id", "ascending"), ("text", "ascending")])
-    return fit(confirmed["text"].to_pylist(), free["text"].to_pylist(), float(share))
+    ordered = lambda frame: frame.select("doc_id", F.col("_text").alias("text")).toArrow().sort_by([("doc_id", "ascending"), ("text", "ascending")])["text"].to_pylist()
+    confirmed = ordered(rows.join(F.broadcast(chosen), "doc_id", "left_semi"))
+    free = ordered(stratified(rows.withColumn("_all", F.lit(1)), "doc_id", "_all", unlabelled))
+    return fit(confirmed, free, float(share))
 
 
 def score_rows(docs: DataFrame, model: Scorer) -> DataFrame:

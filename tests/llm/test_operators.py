@@ -299,6 +299,50 @@ def test_toxicity(spark, docs, odd, empty):
     assert kept.columns == odd.columns
 
 
+@pytest.mark.parametrize("shift", [-2.0, 3.0])
+def test_risk_and_its_gradient(shift):
+    """Against plain sums and differences; with high scores the clean part is positive, with low ones of unlabelled rows negative."""
+    rng = np.random.default_rng(8)
+    score, is_p, prior = rng.normal(size=40) + 1, np.arange(40) < 15, 0.3
+    score[15:] += shift - 3
+    loss = lambda s, y: math.log1p(math.exp(-y * s))
+
+    def parts(s):
+        mean = lambda mask, y: np.mean([loss(x, y) for x in s[mask]])
+        return prior * mean(is_p, 1), mean(~is_p, -1) - prior * mean(is_p, -1)
+
+    value, g = toxicity.risk(score, is_p, prior)
+    first, clean = parts(score)
+    assert (clean < 0) == (shift < 0) and abs(value - (first + max(0, clean))) < 1e-12
+    for i in range(40):
+        step = np.eye(40)[i] * 1e-6
+        a, b = parts(score + step), parts(score - step)
+        want = (sum(a) - sum(b)) / 2e-6 if clean >= 0 else -(a[1] - b[1]) / 2e-6
+        assert abs(g[i] - want) < 1e-8
+
+
+def test_associations_by_plain_counting():
+    positive, free = ["vile words here", "vile again", "fine words"] * 5, ["fine words here", "some vile thing", "again fine"] * 20
+    found = toxicity.associations(positive, free, 3)
+    slots = lambda text: {int(s) for _, slot, _ in toxicity.term_counts([text]) for s in slot}
+    want = np.zeros(toxicity.SLOTS)
+    for s in set().union(*map(slots, positive + free)):
+        p, u = sum(s in slots(t) for t in positive), sum(s in slots(t) for t in free)
+        odds = math.log((p + 0.5) / (15 - p + 0.5)) - math.log((u + 0.5) / (60 - u + 0.5))
+        z = abs(odds) / math.sqrt(1 / (p + 0.5) + 1 / (u + 0.5))
+        want[s] = z - toxicity.KEEP + 0.5 if z > toxicity.KEEP and p + u >= 3 else 0
+    assert np.allclose(found, want / want.max()) and (found > 0).any()
+
+
+@pytest.mark.parametrize(("sf", "least"), [("0.01", 0.8), ("0.1", 0.85)])
+def test_toxicity_held_out(spark, sf, least):
+    """Some of the documents marked toxic hold nothing that clean ones don't; the rest is found."""
+    big, marks = (spark.read.parquet(f"/root/testdata/sf{sf}/{t}.parquet") for t in ("documents", "labels"))
+    rows = toxicity.predictions(big, marks).join(marks, "doc_id").where("held_out").collect()
+    toxic, clean = [r.predicted for r in rows if r.toxic], [r.predicted for r in rows if not r.toxic]
+    assert np.mean(toxic) >= least and np.mean(clean) <= 0.04
+
+
 # 5: top-k
 
 
