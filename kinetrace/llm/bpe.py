@@ -233,6 +233,10 @@ class Encoder:
         lengths = self.at[slot + 1] - self.at[slot]
         total = np.concatenate(([0], np.cumsum(lengths)))
         ids = self.pool[np.repeat(self.at[slot] - total[:-1], lengths) + np.arange(total[-1])]
+        if decode(self.vocabulary, ids) != text.encode("utf-8", "replace"):  # two pre-tokens with one hash: none is looked up
+            found = self.encode([text[x:y].encode("utf-8", "replace") for x, y in zip(starts.tolist(), ends.tolist(), strict=True)])
+            total = np.concatenate(([0], np.cumsum([len(x) for x in found])))
+            ids = np.fromiter((i for x in found for i in x), np.uint32, int(total[-1]))
         cuts = total[np.searchsorted(starts, borders)]
         return [ids[a:b] for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True)]
 
