@@ -14,7 +14,7 @@ around it, holds the mark and every row read is one record. A payload is put tog
 updating its digest.
 
 Contract: null payloads count as empty; equal payloads of at least `least` bytes are kept once, under the
-smallest page_id, and the others are `revisit` records that refer to it (WARC-Refers-To); null urls are left out of the
+smallest page_id, and the others are `revisit` records that refer to it (by WARC-Refers-To, too, unless rows repeat it); null urls are left out of the
 header; repeated page ids are records of their own; an empty table gives an empty archive.
 """
 
@@ -41,25 +41,22 @@ BROADCAST_DIGESTS = 200_000
 
 
 def classified(pages: DataFrame, least: int = LEAST) -> DataFrame:
-    """page_id, url, payload, digest, size, row, record_type, refers_to and first_row (of the response) of every page.
-
-    `row` numbers the rows of the scan; it is the same in both uses, since both read the same splits."""
-    rows = pages.select(
-        F.col("page_id").cast("bigint").alias("page_id"), F.col("url").cast("string").alias("url"), F.encode(F.coalesce(F.col("html").cast("string"), F.lit("")), "UTF-8").alias("payload"),
-        F.monotonically_increasing_id().alias("row"),
-    )
+    """page_id, url, payload, digest, size, record_type, refers_to, and whether the response's record can be named (`named`) of every page."""
+    rows = pages.select(F.col("page_id").cast("bigint").alias("page_id"), F.col("url").cast("string").alias("url"), F.encode(F.coalesce(F.col("html").cast("string"), F.lit("")), "UTF-8").alias("payload"))
     keyed = rows.withColumn("size", F.octet_length("payload").cast("bigint")).withColumn("digest", F.sha2("payload", 256))
-    same = keyed.where(F.col("size") >= least).groupBy("digest").agg(F.min("page_id").alias("first"), F.min_by("row", F.struct("page_id", "row")).alias("first_row"), F.count("*").alias("n"))
-    shared = written(same.where("n > 1").drop("n"), "shared")
+    same = keyed.where(F.col("size") >= least).groupBy("digest", "page_id").agg(F.count("*").alias("n"))
+    first = F.min(F.when(F.col("page_id").isNotNull(), F.struct("page_id", "n"))).alias("first")
+    shared = same.groupBy("digest").agg(first, F.sum("n").alias("all")).where("`all` > 1")
+    shared = written(shared.select("digest", F.col("first.page_id").alias("first"), (F.col("first.n") == 1).alias("named")), "shared")
     joined = keyed.join(F.broadcast(shared) if shared.count() <= BROADCAST_DIGESTS else shared, "digest", "left")
     revisit = F.col("first").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("first"))
     return joined.select(
-        "page_id", "url", "payload", "digest", "size", "row", F.when(revisit, "revisit").otherwise("response").alias("record_type"),
-        F.when(revisit, F.col("first")).alias("refers_to"), F.when(revisit, F.col("first_row")).alias("first_row"),
-    )
+        "page_id", "url", "payload", "digest", "size", F.when(revisit, "revisit").otherwise("response").alias("record_type"), F.when(revisit, F.col("first")).alias("refers_to"), F.coalesce("named", F.lit(False)).alias("named")
+    )
 
 
-def record_name(page_id: int | None, row: int) -> str:
+def record_name(page_id: int | None, row: int | str) -> str:
+    """The name of a page's record by its row, or by its digest: that of a response that others refer to and that no row repeats."""
     return f"<urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, f'page:{page_id}:{row}')}>"
 
 
@@ -69,7 +66,8 @@ def chunk_rows(pages: DataFrame, chunk: int = CHUNK) -> DataFrame:
     count = F.greatest(F.ceil(kept / float(chunk)), F.lit(1)).cast("int")
     parts = F.transform(F.sequence(F.lit(0), count - 1), lambda i: F.substring(F.col("payload"), i * chunk + 1, F.when(F.col("record_type") == "revisit", 0).otherwise(chunk)))
     names = [c for c in pages.columns if c != "payload"]
-    return pages.select(*names, count.alias("chunks"), F.posexplode(parts).alias("chunk_number", "part"))
+    numbered = pages.withColumn("row", F.monotonically_increasing_id())
+    return numbered.select(*names, "row", count.alias("chunks"), F.posexplode(parts).alias("chunk_number", "part"))
 
 
 def segments(part: bytes) -> Iterator[bytes]:
@@ -101,10 +99,10 @@ def archive_records(pages: DataFrame, chunk: int = CHUNK) -> DataFrame:
             return pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(zip(*rows) if rows else [()] * 4, kinds, strict=True)], names)
 
         for batch in batches:
-            columns = [batch.column(c) for c in ("page_id", "url", "digest", "size", "record_type", "refers_to", "row", "first_row", "chunks", "chunk_number", "part")]
+            columns = [batch.column(c) for c in ("page_id", "url", "digest", "size", "record_type", "refers_to", "named", "row", "chunks", "chunk_number", "part")]
             for i in range(batch.num_rows):
-                page, url, whole, size, kind, refers, row, first_row, count, nth, part = (c[i].as_py() for c in columns)
-                name = record_name(page, row)
+                page, url, whole, size, kind, refers, named, row, count, nth, part = (c[i].as_py() for c in columns)
+                name = record_name(page, whole if named and kind == "response" else row)
                 if not opened:
                     info, opened = b"software: kinetrace\r\nformat: WARC File Format 1.1\r\n", True
                     about = f"<urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, f'file:{name}')}>"
@@ -121,7 +119,7 @@ def archive_records(pages: DataFrame, chunk: int = CHUNK) -> DataFrame:
                             head.append("WARC-Target-URI: " + url.replace("\r", "%0D").replace("\n", "%0A"))
                         head += ["Content-Type: application/http; msgtype=response", f"WARC-Payload-Digest: sha256:{whole}", f"Payload-Length: {size}"]
                         if kind == "revisit":
-                            head += [f"WARC-Refers-To: {record_name(refers, first_row)}", f"Refers-To-Page: {refers}", "WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"]
+                            head += [f"WARC-Refers-To: {record_name(refers, whole)}"] * named + [f"Refers-To-Page: {refers}", "WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"]
                     if number or not last:
                         head += [f"WARC-Segment-Number: {number + 1}", f"Running-Digest: {running}"]
                         if number:
