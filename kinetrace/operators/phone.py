@@ -7,46 +7,51 @@ from pyspark.sql import functions as F
 
 from kinetrace.functions.timeparts import day_of, hour_of
 from kinetrace.plans.bouts import ordered
-from kinetrace.plans.slices import KEYS, SliceSpec, attach, clipped, slice_minutes
+from kinetrace.plans.slices import KEYS, SliceSpec, attach, in_slices, slice_minutes
 
 
-def _bouts(screen: DataFrame, closing: tuple[str, ...]) -> DataFrame:
-    """From an unlock to the next closing status; a repeated unlock doesn't start anew, an open bout ends with the last sample."""
+KINDS = {"interaction": ("off", "lock"), "unlocked": ("lock",)}
+
+
+def bouts(screen: DataFrame, kinds: tuple[str, ...] = tuple(KINDS)) -> DataFrame:
+    """person_id, kind, start_us, end_us: from an unlock to the next closing status; a repeated unlock doesn't start anew, an open bout
+    ends with the person's last sample. One ordered pass for all kinds: an opening or closing row is a mark, and a bout's end is the mark after it."""
     before = ordered().rowsBetween(Window.unboundedPreceding, -1)
-    ahead = Window.partitionBy("person_id").orderBy(F.desc("us")).rowsBetween(Window.unboundedPreceding, -1)
-    relevant = F.when(F.col("status").isin("unlock", *closing), F.col("status"))
-    rows = screen.select(
-        "person_id", "us", "status", F.last(relevant, ignorenulls=True).over(before).alias("before"),
-        F.last(F.when(F.col("status").isin(*closing), F.col("us")), ignorenulls=True).over(ahead).alias("closed_us"), F.max("us").over(Window.partitionBy("person_id")).alias("last_us"),
-    )
-    opened = rows.where((F.col("status") == "unlock") & ~F.coalesce(F.col("before") == "unlock", F.lit(False)))
-    return opened.select("person_id", F.col("us").alias("start_us"), F.coalesce("closed_us", "last_us").alias("end_us"))
+    marks = screen.select("person_id", "us", "status", F.max("us").over(Window.partitionBy("person_id")).alias("last_us"))
+    found = None
+    for kind in kinds:
+        closing = KINDS[kind]
+        relevant = F.when(F.col("status").isin("unlock", *closing), F.col("status"))
+        marks = marks.withColumn(f"_{kind}", F.last(relevant, ignorenulls=True).over(before))
+    for kind in kinds:
+        closing, held = KINDS[kind], F.coalesce(F.col(f"_{kind}") == "unlock", F.lit(False))
+        opens, closes = (F.col("status") == "unlock") & ~held, F.col("status").isin(*closing) & held
+        ends = F.lead("us").over(ordered())
+        mine = marks.where(opens | closes).select("person_id", F.lit(kind).alias("kind"), "us", "status", F.coalesce(ends, "last_us").alias("end_us"))
+        mine = mine.where("status = 'unlock'").select("person_id", "kind", F.col("us").alias("start_us"), "end_us")
+        found = mine if found is None else found.union(mine)
+    return found
 
 
 def interaction_bouts(screen: DataFrame) -> DataFrame:
-    return _bouts(screen, ("off", "lock"))
+    return bouts(screen, ("interaction",)).drop("kind")
 
 
 def unlocked_bouts(screen: DataFrame) -> DataFrame:
-    return _bouts(screen, ("lock",))
-
-
-def _lengths(bouts: DataFrame, spec: SliceSpec, name: str) -> DataFrame:
-    m = F.col("minutes")
-    return attach(clipped(bouts), spec).groupBy("person_id", *KEYS).agg(
-        F.sum(m).alias(f"{name}_total"), F.max(m).alias(f"{name}_max"), F.min(m).alias(f"{name}_min"), F.avg(m).alias(f"{name}_mean"), F.stddev_pop(m).alias(f"{name}_std")
-    )
+    return bouts(screen, ("unlocked",)).drop("kind")
 
 
 def phone_features(screen: DataFrame, spec: SliceSpec | None = None) -> DataFrame:
-    """Unlocks per minute of the slice, total and statistics of both kinds of bout."""
+    """Unlocks per minute of the slice, total and statistics of both kinds of bout, cut at the slice's borders."""
     spec = spec or SliceSpec()
     counts = attach(screen, spec).groupBy("person_id", *KEYS).agg(F.count_if(F.col("status") == "unlock").alias("unlocks"))
     rate = counts.select("person_id", *KEYS, "unlocks", (F.col("unlocks") / slice_minutes(spec)).alias("unlocks_per_minute"))
-    out = rate
-    for bouts, name in ((interaction_bouts(screen), "interaction"), (unlocked_bouts(screen), "unlocked")):
-        out = out.join(_lengths(bouts, spec, name), ["person_id", *KEYS], "left")
-    return out
+    stats = []
+    for kind in KINDS:
+        m = F.when(F.col("kind") == kind, F.col("minutes"))
+        stats += [F.sum(m).alias(f"{kind}_total"), F.max(m).alias(f"{kind}_max"), F.min(m).alias(f"{kind}_min"), F.avg(m).alias(f"{kind}_mean"), F.stddev_pop(m).alias(f"{kind}_std")]
+    lengths = in_slices(bouts(screen), spec, ("kind",)).groupBy("person_id", *KEYS).agg(*stats)
+    return rate.join(lengths, ["person_id", *KEYS], "left")
 
 
 def first_last_hours(screen: DataFrame, spec: SliceSpec | None = None) -> DataFrame:

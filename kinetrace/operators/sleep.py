@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from kinetrace.plans.bouts import runs
+from kinetrace.plans.bouts import numbered_runs, runs, runs_in_slices
 from kinetrace.plans.slices import KEYS, SliceSpec, attach
 
 STATES, PERIOD_US = ("asleep", "restless", "awake"), 60_000_000
@@ -24,16 +24,21 @@ def sleep_bouts(samples: DataFrame, period_us: int = PERIOD_US, max_gap_us: int
     return found.select("person_id", "state", F.col("first_us").alias("start_us"), (F.col("last_us") + period_us).alias("end_us"), (F.col("n") * period_us / 60e6).alias("minutes"))
 
 
-def bout_stats(bouts: DataFrame, spec: SliceSpec | None = None) -> DataFrame:
-    """Count, sum, mean, max, min of bout length by state, in the slices in which bouts start."""
-    rows = attach(bouts.where(F.col("state").isin(*STATES)), spec or SliceSpec(), "start_us")
+def bouts_in_slices(samples: DataFrame, spec: SliceSpec | None = None, period_us: int = PERIOD_US, max_gap_us: int | None = None) -> DataFrame:
+    """The bouts of rated states, cut at the borders of each slice: person_id, slice keys, state, start_us, end_us, minutes."""
+    numbered = numbered_runs(samples, "state", max_gap_us).where(F.col("state").isin(*STATES))
+    found = runs_in_slices(numbered, "state", spec or SliceSpec())
+    return found.select("person_id", *KEYS, "state", F.col("first_us").alias("start_us"), (F.col("last_us") + period_us).alias("end_us"), (F.col("n") * period_us / 60e6).alias("minutes"))
+
+
+def bout_stats(bouts: DataFrame) -> DataFrame:
+    """Count, sum, mean, max, min of bout length by state; `bouts`: in slices."""
     m = F.col("minutes")
-    return rows.groupBy("person_id", *KEYS, "state").agg(F.count("*").alias("bouts"), F.sum(m).alias("total"), F.avg(m).alias("mean"), F.max(m).alias("longest"), F.min(m).alias("shortest"))
+    return bouts.groupBy("person_id", *KEYS, "state").agg(F.count("*").alias("bouts"), F.sum(m).alias("total"), F.avg(m).alias("mean"), F.max(m).alias("longest"), F.min(m).alias("shortest"))
 
 
-def extreme_bouts(bouts: DataFrame, spec: SliceSpec | None = None) -> DataFrame:
-    """Start and end of the longest and of the shortest bout by state; the earliest of equals."""
-    rows = attach(bouts.where(F.col("state").isin(*STATES)), spec or SliceSpec(), "start_us")
+def extreme_bouts(bouts: DataFrame) -> DataFrame:
+    """Start and end of the longest and of the shortest bout by state; the earliest of equals. `bouts`: in slices."""
     when = F.struct("start_us", "end_us")
-    best = rows.groupBy("person_id", *KEYS, "state").agg(F.max_by(when, F.struct("minutes", -F.col("start_us"))).alias("l"), F.min_by(when, F.struct("minutes", "start_us")).alias("s"))
+    best = bouts.groupBy("person_id", *KEYS, "state").agg(F.max_by(when, F.struct("minutes", -F.col("start_us"))).alias("l"), F.min_by(when, F.struct("minutes", "start_us")).alias("s"))
     return best.select("person_id", *KEYS, "state", F.col("l.start_us").alias("longest_start"), F.col("l.end_us").alias("longest_end"), F.col("s.start_us").alias("shortest_start"), F.col("s.end_us").alias("shortest_end"))

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from kinetrace.plans.bouts import ordered, runs
+from kinetrace.plans.bouts import numbered_runs, ordered, runs, runs_in_slices
 from kinetrace.plans.slices import KEYS, SliceSpec, attach
 
 BIN_US, FEW = 300_000_000, 10
@@ -48,17 +48,22 @@ def sliding_max(steps: DataFrame, spec: SliceSpec | None = None) -> DataFrame:
     return attach(steps.withColumn("last5", F.sum("steps").over(w)), spec or SliceSpec()).groupBy("person_id", *KEYS).agg(F.max("last5").alias("max5_sliding"))
 
 
-def bout_stats(bouts: DataFrame, spec: SliceSpec | None = None) -> DataFrame:
-    """Number and length of bouts of both kinds and steps of active ones, in the slices in which bouts start."""
-    rows = attach(bouts, spec or SliceSpec(), "start_us").groupBy("person_id", *KEYS)
+def bouts_in_slices(bins: DataFrame, spec: SliceSpec | None = None, at_threshold: str = "active", fill: str = "break") -> DataFrame:
+    """Bouts cut at the borders of each slice: person_id, slice keys, label, minutes, steps, those of the bins inside."""
+    numbered = numbered_runs(labelled(bins, at_threshold, fill), "label", BIN_US)
+    found = runs_in_slices(numbered, "label", spec or SliceSpec(), extra=(F.sum("steps").alias("steps"),))
+    return found.select("person_id", *KEYS, "label", (F.col("n") * 5.0).alias("minutes"), "steps")
+
+
+def bout_stats(bouts: DataFrame) -> DataFrame:
+    """Number and length of bouts of both kinds and steps of active ones; `bouts`: in slices."""
     out = []
     for label in ("active", "sedentary"):
         m = F.when(F.col("label") == label, F.col("minutes"))
         out += [F.count(m).alias(f"{label}_bouts"), F.max(m).alias(f"{label}_max"), F.min(m).alias(f"{label}_min"), F.avg(m).alias(f"{label}_mean")]
     s = F.when(F.col("label") == "active", F.col("steps"))
-    return rows.agg(*out, F.min(s).alias("steps_min"), F.max(s).alias("steps_max"), F.avg(s).alias("steps_mean"))
+    return bouts.groupBy("person_id", *KEYS).agg(*out, F.min(s).alias("steps_min"), F.max(s).alias("steps_max"), F.avg(s).alias("steps_mean"))
 
 
 def step_features(steps: DataFrame, spec: SliceSpec | None = None) -> DataFrame:
-    bins = five_minute_bins(steps)
-    return totals(steps, spec).join(bout_stats(step_bouts(bins), spec), ["person_id", *KEYS], "left")
+    return totals(steps, spec).join(bout_stats(bouts_in_slices(five_minute_bins(steps), spec)), ["person_id", *KEYS], "left")
