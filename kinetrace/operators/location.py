@@ -10,9 +10,9 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from kinetrace.functions.geo import RADIUS_KM, haversine_km
-from kinetrace.functions.timeparts import epoch_of
-from kinetrace.plans.bouts import ordered, runs
-from kinetrace.plans.slices import KEYS, SliceSpec, attach
+from kinetrace.functions.timeparts import HOUR, epoch_of
+from kinetrace.plans.bouts import ordered
+from kinetrace.plans.slices import KEYS, SliceSpec, attach, clipped, lies_in, stretch, time_in_slices
 
 EPS_M, MIN_POINTS, MOVING_KMH = 60.0, 3, 1.0
 PERIODS_H = (6.0, 48.0)
@@ -71,66 +71,139 @@ def circadian(points: DataFrame, spec: SliceSpec | None = None, band: tuple[floa
     return p.groupBy("person_id", *KEYS).agg(F.try_divide(F.sum(F.when(inside, F.col("power")).otherwise(0.0)), F.sum("power")).alias("circadian"))
 
 
-def _cluster(lat: np.ndarray, lon: np.ndarray, weight: np.ndarray, rank: np.ndarray, eps_m: float, least: int) -> np.ndarray:
-    """DBSCAN by a grid of eps cells: labels numbered by the earliest sample, -1 for the rest."""
+#: Points up to which all distances are taken at once; more are sorted into cells.
+DENSE = 300
+
+
+def _metres(lat1, lon1, lat2, lon2) -> np.ndarray:
+    p1, p2, dl = np.radians(lat1), np.radians(lat2), np.radians(lon2 - lon1)
+    h = np.sin((p2 - p1) / 2) ** 2 + np.cos(p1) * np.cos(p2) * np.sin(dl / 2) ** 2
+    return 2000 * RADIUS_KM * np.arcsin(np.minimum(np.sqrt(h), 1))
+
+
+def _roots(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """The least row that each row reaches over the pairs."""
+    root = np.arange(n)
+    while len(a):
+        low = np.minimum(root[a], root[b])
+        new = root.copy()
+        np.minimum.at(new, root[a], low)
+        np.minimum.at(new, root[b], low)
+        while not np.array_equal(new, new[new]):
+            new = new[new]
+        if np.array_equal(new, root):
+            break
+        root = new
+    return root
+
+
+def _numbered(root: np.ndarray, core: np.ndarray, rank: np.ndarray) -> np.ndarray:
+    """Labels of core rows, numbered by the earliest core row of each cluster; -1 for others."""
+    label = np.full(len(root), -1)
+    if core.any():
+        groups, back = np.unique(root[core], return_inverse=True)
+        position = np.empty(len(root), np.int64)
+        position[np.lexsort((np.arange(len(root)), rank))] = np.arange(len(root))
+        first = np.full(len(groups), len(root))
+        np.minimum.at(first, back, position[core])
+        number = np.empty(len(groups), np.int64)
+        number[np.argsort(first)] = np.arange(len(groups))
+        label[core] = number[back]
+    return label
+
+
+def cluster_dense(lat: np.ndarray, lon: np.ndarray, weight: np.ndarray, rank: np.ndarray, eps_m: float, least: int) -> np.ndarray:
+    """DBSCAN from all distances: labels by the earliest core sample, -1 for the rest; a border point goes to its nearest core."""
     n = len(lat)
-    y, x = np.radians(lat) * RADIUS_KM * 1000, np.radians(lon) * RADIUS_KM * 1000 * math.cos(math.radians(float(lat.mean())) if n else 1)
-    cell = np.stack([np.floor(y / eps_m), np.floor(x / (eps_m * 1.001))], 1).astype(np.int64)
-    members: dict[tuple[int, int], list[int]] = {}
-    for i, (a, b) in enumerate(cell.tolist()):
-        members.setdefault((a, b), []).append(i)
-    near: list[np.ndarray] = []
-    dist: list[np.ndarray] = []
-    for i, (a, b) in enumerate(cell.tolist()):
-        js = np.array([j for u in (-1, 0, 1) for v in (-1, 0, 1) for j in members.get((a + u, b + v), ())])
-        p1, p2, dl = np.radians(lat[i]), np.radians(lat[js]), np.radians(lon[js] - lon[i])
-        h = np.sin((p2 - p1) / 2) ** 2 + np.cos(p1) * np.cos(p2) * np.sin(dl / 2) ** 2
-        d = 2000 * RADIUS_KM * np.arcsin(np.minimum(np.sqrt(h), 1))
-        ok = d <= eps_m
-        near.append(js[ok])
-        dist.append(d[ok])
-    core = np.array([weight[js].sum() >= least for js in near], bool) if n else np.zeros(0, bool)
-    label = np.full(n, -1)
-    found = 0
-    for i in np.lexsort((np.arange(n), rank)).tolist():
-        if not core[i] or label[i] >= 0:
+    if not n:
+        return np.zeros(0, np.int64)
+    d = _metres(lat[:, None], lon[:, None], lat[None, :], lon[None, :])
+    near = d <= eps_m
+    core = near @ weight >= least
+    a, b = np.nonzero(near & core[:, None] & core[None, :])
+    label = _numbered(_roots(n, a, b), core, rank)
+    for i in np.flatnonzero(~core & (near & core[None, :]).any(1)):
+        js = np.flatnonzero(near[i] & core)
+        label[i] = label[js[np.lexsort((label[js], np.round(d[i, js], 6)))[0]]]
+    return label
+
+
+def cluster_cells(lat: np.ndarray, lon: np.ndarray, weight: np.ndarray, rank: np.ndarray, eps_m: float, least: int) -> np.ndarray:
+    """The same in memory that grows with the number of points only.
+
+    Points on the sphere fall into cubes whose diagonal is below eps, at any latitude and across the date line. All points of a cube are
+    neighbours, so a cube of enough weight is all core and one cluster; only sparse cubes' points are counted out, and pairs of
+    nearby cubes are linked by the first pair of core points that is found near."""
+    n, side = len(lat), eps_m * 0.999 / math.sqrt(3)
+    p, q, r = np.radians(lat), np.radians(lon), 1000 * RADIUS_KM
+    xyz = np.floor(np.stack([r * np.cos(p) * np.cos(q), r * np.cos(p) * np.sin(q), r * np.sin(p)], 1) / side).astype(np.int64)
+    cells, cell = np.unique(xyz, axis=0, return_inverse=True)
+    cell = cell.reshape(-1)
+    order = np.argsort(cell, kind="stable")
+    begin = np.searchsorted(cell[order], np.arange(len(cells) + 1))
+    members = [order[x:y] for x, y in zip(begin[:-1], begin[1:], strict=True)]
+    number = {tuple(c): i for i, c in enumerate(cells.tolist())}
+    steps = [(x, y, z) for x in range(-2, 3) for y in range(-2, 3) for z in range(-2, 3)]
+    around = [[j for x, y, z in steps if (j := number.get((a + x, b + y, c + z))) is not None] for a, b, c in cells.tolist()]
+    mass = np.bincount(cell, weight, len(cells))
+    core = (mass >= least)[cell]
+    for c in np.flatnonzero(mass < least).tolist():
+        js = np.concatenate([members[j] for j in around[c]])
+        for i in members[c].tolist():
+            core[i] = weight[js[_metres(lat[i], lon[i], lat[js], lon[js]) <= eps_m]].sum() >= least
+    cores = [m[core[m]] for m in members]
+    a, b = [], []
+    for c, mine in enumerate(cores):
+        if not len(mine):
             continue
-        label[i], queue = found, [i]
-        while queue:
-            for j in near[queue.pop()].tolist():
-                if core[j] and label[j] < 0:
-                    label[j] = found
-                    queue.append(j)
-        found += 1
+        a += [int(mine[0])] * (len(mine) - 1)
+        b += mine[1:].tolist()
+        for j in around[c]:
+            if j <= c or not len(cores[j]):
+                continue
+            for at in range(0, len(mine), 512):
+                part = mine[at : at + 512]
+                hit = np.argwhere(_metres(lat[part, None], lon[part, None], lat[cores[j]], lon[cores[j]]) <= eps_m)
+                if len(hit):
+                    a.append(int(part[hit[0, 0]]))
+                    b.append(int(cores[j][hit[0, 1]]))
+                    break
+    label = _numbered(_roots(n, np.array(a, np.int64), np.array(b, np.int64)), core, rank)
     for i in np.flatnonzero(~core).tolist():
-        ok = core[near[i]]
-        if ok.any():
-            js, d = near[i][ok], dist[i][ok]
+        js = np.concatenate([cores[j] for j in around[cell[i]]])
+        d = _metres(lat[i], lon[i], lat[js], lon[js])
+        js, d = js[d <= eps_m], d[d <= eps_m]
+        if len(js):
             label[i] = label[js[np.lexsort((label[js], np.round(d, 6)))[0]]]
     return label
 
 
-def significant_places(points: DataFrame, keys: tuple[str, ...] = ("person_id",), eps_m: float = EPS_M, min_points: int = MIN_POINTS, cells_m: float | None = None) -> DataFrame:
-    """keys, us, lat, lon, place: DBSCAN of static samples within each group of keys.
+def significant_places(points: DataFrame, keys: tuple[str, ...] = ("person_id",), eps_m: float = EPS_M, min_points: int = MIN_POINTS, cells_m: float | None = None, dense: int = DENSE) -> DataFrame:
+    """`points` with place: DBSCAN of the samples within each group of keys; samples that are `moving`, if there is such a column, get -2.
 
-    cells_m: join samples to cells of this size first, with multiplicity, so a person's state is bounded.
+    Rows pass through one task for each group, so samples of equal time stay apart. Memory grows with a group's samples; cells_m: join
+    samples to cells of this size first, with multiplicity, so a person's state is bounded (approximate).
     """
-    rows = points.select(*keys, "us", "lat", "lon")
+    moves = "moving" in points.columns
     if cells_m:
         size = cells_m / (math.radians(1) * RADIUS_KM * 1000)
-        rows = rows.withColumns({"lat_cell": F.round(F.col("lat") / size), "lon_cell": F.round(F.col("lon") / size)})
-        grouped = rows.groupBy(*keys, "lat_cell", "lon_cell").agg(F.min("us").alias("us"), F.avg("lat").alias("lat"), F.avg("lon").alias("lon"), F.count("*").alias("w"))
-    else:
-        grouped = rows.withColumn("w", F.lit(1).cast("bigint"))
+        rows = points.withColumns({"lat_cell": F.round(F.col("lat") / size), "lon_cell": F.round(F.col("lon") * F.cos(F.radians(F.round(F.col("lat") / size) * size)) / size)})
+        static = rows.where(~F.col("moving")) if moves else rows
+        grouped = static.groupBy(*keys, "lat_cell", "lon_cell").agg(F.min("us").alias("us"), F.avg("lat").alias("lat"), F.avg("lon").alias("lon"), F.count("*").alias("w"))
+        placed = significant_places(grouped, keys, eps_m, min_points, dense=dense).select(*keys, "lat_cell", "lon_cell", "place")
+        joined = rows.join(placed, [*keys, "lat_cell", "lon_cell"], "left")
+        place = F.when(F.col("moving"), -2).otherwise(F.col("place")) if moves else F.col("place")
+        return joined.withColumn("place", place).select(*points.columns, "place")
 
     def run(t: pa.Table) -> pa.Table:
-        lat, lon, us, w = (t.column(c).to_numpy() for c in ("lat", "lon", "us", "w"))
-        return t.append_column("place", pa.array(_cluster(lat, lon, w, us, eps_m, min_points), pa.int32()))
+        still = np.flatnonzero(~t.column("moving").to_numpy()) if moves else np.arange(len(t))
+        lat, lon, us = (t.column(c).to_numpy()[still] for c in ("lat", "lon", "us"))
+        w = t.column("w").to_numpy()[still] if "w" in t.column_names else np.ones(len(still), np.int64)
+        place = np.full(len(t), -2)
+        place[still] = (cluster_dense if len(still) <= dense else cluster_cells)(lat, lon, w, us, eps_m, min_points)
+        return t.append_column("place", pa.array(place, pa.int32()))
 
-    out = grouped.groupBy(*keys).applyInArrow(run, _with(grouped, "place int"))
-    if cells_m:
-        return rows.join(out.select(*keys, "lat_cell", "lon_cell", "place"), [*keys, "lat_cell", "lon_cell"]).select(*keys, "us", "lat", "lon", "place")
-    return out.drop("w")
+    return points.groupBy(*keys).applyInArrow(run, _with(points, "place int"))
 
 
 def _with(frame: DataFrame, more: str) -> str:
@@ -144,27 +217,30 @@ def dwell(points: DataFrame, max_gap_min: float | None = None) -> DataFrame:
 
 
 def visits(points: DataFrame, spec: SliceSpec | None = None, scope: str = "global", **dbscan) -> DataFrame:
-    """Samples with minutes and place (-1 insignificant, -2 moving) in every slice; clusters of all data or of each slice."""
-    held = dwell(label_motion(points)).select("person_id", "us", "lat", "lon", "minutes", "moving")
-    cells = attach(held, spec or SliceSpec())
-    keys = ("person_id",) if scope == "global" else ("person_id", *KEYS)
-    source = held if scope == "global" else cells
-    placed = significant_places(source.where("not moving"), keys, **dbscan).select(*keys, "us", "place")
-    return cells.join(placed, [*keys, "us"], "left").withColumn("place", F.when(F.col("moving"), -2).otherwise(F.coalesce("place", F.lit(-1))))
+    """Pieces of time (us, minutes) with position and place (-1 insignificant, -2 moving) in every slice, cut at its borders.
+
+    scope global: clusters of all samples; what a sample holds beyond a border counts in the next slice. local: clusters of the samples
+    taken in the slice, and only their time in it."""
+    held, spec = dwell(label_motion(points)).select("person_id", "us", "lat", "lon", "minutes", "moving"), spec or SliceSpec()
+    if scope == "global":
+        return time_in_slices(significant_places(held, **dbscan), spec)
+    placed = significant_places(attach(held, spec), ("person_id", *KEYS), **dbscan)
+    ends = placed.withColumn("_end", (F.col("us") + F.round(F.col("minutes") * 60e6)).cast("bigint")).withColumnRenamed("us", "_start").drop("minutes")
+    return clipped(ends, "_start", "_end").where(lies_in(spec)).drop("to_us", "_end")
 
 
 def place_features(points: DataFrame, spec: SliceSpec | None = None, scope: str = "global", **dbscan) -> DataFrame:
     """Number of places, transitions, gyration, top three, moving and insignificant shares, stays, entropy."""
-    rows = visits(points, spec, scope, **dbscan)
+    rows = visits(points, spec, scope, **dbscan).withColumn("_stretch", stretch())
     key = ["person_id", *KEYS]
     w = Window.partitionBy(*key).orderBy("us")
     known = F.when(F.col("place") >= 0, F.col("place"))
     before = F.last(known, ignorenulls=True).over(w.rowsBetween(Window.unboundedPreceding, -1))
-    marked = rows.withColumn("change", (known != before).cast("int")).withColumn("visit", (~F.col("place").eqNullSafe(F.lag("place").over(w))).cast("int")).withColumn("visit", F.sum("visit").over(w.rowsBetween(Window.unboundedPreceding, 0)))
-    stays = marked.groupBy(*key, "visit", "place").agg(F.sum("minutes").alias("minutes"), F.sum("change").alias("changes"), F.sum("lat").alias("lat"), F.sum("lon").alias("lon"), F.count("*").alias("n"))
+    marked = rows.withColumn("change", (known != before).cast("int")).withColumn("visit", (~(F.col("place").eqNullSafe(F.lag("place").over(w)) & F.col("_stretch").eqNullSafe(F.lag("_stretch").over(w)))).cast("int")).withColumn("visit", F.sum("visit").over(w.rowsBetween(Window.unboundedPreceding, 0)))
+    stays = marked.groupBy(*key, "visit", "place").agg(F.sum("minutes").alias("minutes"), F.sum("change").alias("changes"), F.sum(F.col("lat") * F.col("minutes")).alias("lat"), F.sum(F.col("lon") * F.col("minutes")).alias("lon"))
     stay = F.when(F.col("place") >= 0, F.col("minutes"))
     by_place = stays.groupBy(*key, "place").agg(
-        F.sum("minutes").alias("m"), F.sum("changes").alias("c"), (F.sum("lat") / F.sum("n")).alias("lat"), (F.sum("lon") / F.sum("n")).alias("lon"),
+        F.sum("minutes").alias("m"), F.sum("changes").alias("c"), F.try_divide(F.sum("lat"), F.sum("minutes")).alias("lat"), F.try_divide(F.sum("lon"), F.sum("minutes")).alias("lon"),
         F.max(stay).alias("smax"), F.min(stay).alias("smin"), F.sum(stay).alias("ssum"), F.sum(stay * stay).alias("ssq"), F.count(stay).alias("sn"),
     )
     real, over = F.col("place") >= 0, Window.partitionBy(*key)
@@ -176,34 +252,36 @@ def place_features(points: DataFrame, spec: SliceSpec | None = None, scope: str
     out = wide.groupBy(*key).agg(
         F.count_if(real).alias("places"), F.coalesce(F.sum("c"), F.lit(0)).alias("transitions"), F.sqrt(F.sum(F.col("p") * F.col("d") ** 2)).alias("gyration_km"), *top,
         F.try_divide(F.sum(F.when(F.col("place") == -2, F.col("m")).otherwise(0.0)), F.sum("m")).alias("moving_share"), F.try_divide(F.sum(F.when(F.col("place") == -1, F.col("m")).otherwise(0.0)), F.sum("m")).alias("rare_share"),
-        F.max("smax").alias("stay_max"), F.min("smin").alias("stay_min"), F.try_divide(F.sum("ssum"), F.sum("sn")).alias("stay_mean"), F.sqrt(F.greatest(F.try_divide(F.sum("ssq"), F.sum("sn")) - F.try_divide(F.sum("ssum"), F.sum("sn")) ** 2, F.lit(0.0))).alias("stay_std"),
+        F.max("smax").alias("stay_max"), F.min("smin").alias("stay_min"), F.try_divide(F.sum("ssum"), F.sum("sn")).alias("stay_mean"), F.when(F.sum("sn") > 0, F.sqrt(F.greatest(F.sum("ssq") / F.sum("sn") - (F.sum("ssum") / F.sum("sn")) ** 2, F.lit(0.0)))).alias("stay_std"),
         F.sum(-F.col("p") * F.log(F.nullif(F.col("p"), F.lit(0.0)))).alias("entropy"), F.count_if(F.col("p") > 0).alias("_k"),
     )
     return out.withColumn("normalised_entropy", F.when(F.col("_k") > 1, F.col("entropy") / F.log("_k")).when(F.col("_k") == 1, 0.0)).drop("_k")
 
 
 def home_location(points: DataFrame, **dbscan) -> DataFrame:
-    """person_id, lat, lon: the centre of the place with most night time."""
-    night = points.where(epoch_of(F.col("us")) == "night")
-    held = dwell(label_motion(night), 360.0).where("not moving")
-    placed = significant_places(held, **dbscan).join(held.select("person_id", "us", "minutes"), ["person_id", "us"]).where("place >= 0")
+    """person_id, lat, lon: the centre of the place with most night time; motion and places are those of the night samples alone."""
+    border = (6 * HOUR - F.pmod(F.col("us"), F.lit(6 * HOUR))) / 60e6
+    night = dwell(points).where(epoch_of(F.col("us")) == "night").withColumn("minutes", F.least("minutes", border))
+    placed = significant_places(label_motion(night).select("person_id", "us", "lat", "lon", "minutes", "moving"), **dbscan).where("place >= 0")
     centres = placed.groupBy("person_id", "place").agg(F.sum("minutes").alias("minutes"), F.avg("lat").alias("lat"), F.avg("lon").alias("lon"))
     best = centres.groupBy("person_id").agg(F.max_by(F.struct("lat", "lon"), F.struct(F.round("minutes", 6), -F.col("place"))).alias("h"))
     return best.select("person_id", F.col("h.lat").alias("home_lat"), F.col("h.lon").alias("home_lon"))
 
 
 def home_features(points: DataFrame, spec: SliceSpec | None = None, radii_m: tuple[int, ...] = (10, 100), **dbscan) -> DataFrame:
-    """Minutes within each radius of the home."""
-    near = dwell(points).join(home_location(points, **dbscan), "person_id")
+    """Minutes within each radius of the home, cut at slice borders."""
+    near = dwell(points).select("person_id", "us", "lat", "lon", "minutes").join(home_location(points, **dbscan), "person_id")
     near = near.withColumn("m", haversine_km(F.col("lat"), F.col("lon"), F.col("home_lat"), F.col("home_lon")) * 1000)
-    return attach(near, spec or SliceSpec()).groupBy("person_id", *KEYS).agg(*(F.sum(F.when(F.col("m") <= r, F.col("minutes")).otherwise(0.0)).alias(f"home_{r}m") for r in radii_m))
+    return time_in_slices(near, spec or SliceSpec()).groupBy("person_id", *KEYS).agg(*(F.sum(F.when(F.col("m") <= r, F.col("minutes")).otherwise(0.0)).alias(f"home_{r}m") for r in radii_m))
 
 
 def neighbours_by_grid(points: DataFrame, eps_m: float = EPS_M) -> DataFrame:
-    """person_id, us, n: samples within eps of each, by an equi-join on cells instead of all pairs."""
-    deg = math.degrees(eps_m / 1000 / RADIUS_KM)
-    cell = points.select("person_id", "us", "lat", "lon", F.floor(F.col("lat") / deg).alias("cy"), F.floor(F.col("lon") / (deg * 2)).alias("cx"))
-    around = cell.select("person_id", F.col("us").alias("us2"), F.col("lat").alias("lat2"), F.col("lon").alias("lon2"), F.explode(F.sequence(F.col("cy") - 1, F.col("cy") + 1)).alias("cy"), "cx")
-    around = around.select("person_id", "us2", "lat2", "lon2", "cy", F.explode(F.sequence(F.col("cx") - 1, F.col("cx") + 1)).alias("cx"))
-    pairs = cell.join(around, ["person_id", "cy", "cx"]).where(haversine_km(F.col("lat"), F.col("lon"), F.col("lat2"), F.col("lon2")) * 1000 <= eps_m)
+    """person_id, us, n: samples within eps of each, by an equi-join on cubes of eps instead of all pairs; cubes are the same size at every latitude."""
+    r, p, q = 1000 * RADIUS_KM / eps_m, F.radians("lat"), F.radians("lon")
+    axes = {"cx": F.floor(F.cos(p) * F.cos(q) * r), "cy": F.floor(F.cos(p) * F.sin(q) * r), "cz": F.floor(F.sin(p) * r)}
+    cell = points.select("person_id", "us", "lat", "lon", *(e.alias(c) for c, e in axes.items()))
+    around = cell.select("person_id", F.col("us").alias("us2"), F.col("lat").alias("lat2"), F.col("lon").alias("lon2"), *axes)
+    for c in axes:
+        around = around.withColumn(c, F.explode(F.sequence(F.col(c) - 1, F.col(c) + 1)))
+    pairs = cell.join(around, ["person_id", *axes]).where(haversine_km(F.col("lat"), F.col("lon"), F.col("lat2"), F.col("lon2")) * 1000 <= eps_m)
     return pairs.groupBy("person_id", "us").agg(F.count("*").alias("n"))

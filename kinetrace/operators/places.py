@@ -9,13 +9,13 @@ from kinetrace.functions.geo import inside
 from kinetrace.operators.location import dwell
 from kinetrace.operators.steps import BIN_US, FEW
 from kinetrace.plans.bouts import ordered, runs, swept
-from kinetrace.plans.slices import KEYS, SliceSpec, attach
+from kinetrace.plans.slices import KEYS, SliceSpec, attach, in_slices, time_in_slices
 
 OUTSIDE, CELL = "off_campus", 0.005
 
 
 def label_spaces(points: DataFrame, places: DataFrame, overlap: str = "primary") -> DataFrame:
-    """Points with their type: the polygon's cells are joined by equality, then the exact test decides.
+    """`points` with their type: the polygons of a point's cell come by a broadcast of the map, and the exact test is made in the row, without a shuffle.
 
     overlap: primary (least priority number) or all (a row for each type). Outside every polygon: off_campus.
     """
@@ -23,13 +23,14 @@ def label_spaces(points: DataFrame, places: DataFrame, overlap: str = "primary")
     cell = lambda c: F.floor(c / CELL)
     cover = places.select("type", "priority", "polygon", F.explode(F.sequence(cell(F.array_min(lat)), cell(F.array_max(lat)))).alias("cy"), cell(F.array_min(lon)).alias("a"), cell(F.array_max(lon)).alias("b"))
     cover = cover.select("type", "priority", "polygon", "cy", F.explode(F.sequence("a", "b")).alias("cx"))
-    at = points.withColumns({"cy": cell(F.col("lat")), "cx": cell(F.col("lon"))})
-    hit = at.join(cover, ["cy", "cx"], "left").withColumn("in", F.coalesce(inside(F.col("lat"), F.col("lon"), F.col("polygon")), F.lit(False)))
-    key = ["person_id", "us", "lat", "lon"]
-    found = hit.groupBy(*key).agg(F.array_sort(F.collect_set(F.when(F.col("in"), F.struct("priority", "type")))).alias("types"))
+    cover = cover.groupBy("cy", "cx").agg(F.collect_list(F.struct("priority", "type", "polygon")).alias("near"))
+    hit = points.withColumns({"cy": cell(F.col("lat")), "cx": cell(F.col("lon"))}).join(F.broadcast(cover), ["cy", "cx"], "left")
+    within = F.filter("near", lambda p: inside(F.col("lat"), F.col("lon"), p["polygon"]))
+    types = F.array_sort(F.array_distinct(F.transform(F.coalesce(within, F.array().cast(hit.schema["near"].dataType)), lambda p: F.struct(p["priority"].alias("priority"), p["type"].alias("type")))))
+    found = hit.withColumn("types", types["type"]).drop("cy", "cx", "near")
     if overlap == "all":
-        return found.select(*key, F.explode(F.when(F.size("types") > 0, F.col("types.type")).otherwise(F.array(F.lit(OUTSIDE)))).alias("type"))
-    return found.select(*key, F.coalesce(F.get(F.col("types.type"), F.lit(0)), F.lit(OUTSIDE)).alias("type"))
+        return found.withColumn("type", F.explode(F.when(F.size("types") > 0, F.col("types")).otherwise(F.array(F.lit(OUTSIDE))))).drop("types")
+    return found.withColumn("type", F.coalesce(F.get(F.col("types"), F.lit(0)), F.lit(OUTSIDE))).drop("types")
 
 
 def space_bouts(spaces: DataFrame) -> DataFrame:
@@ -40,8 +41,8 @@ def space_bouts(spaces: DataFrame) -> DataFrame:
 
 
 def space_minutes(spaces: DataFrame, spec: SliceSpec | None = None) -> DataFrame:
-    """Minutes and share of each type in a slice."""
-    rows = attach(dwell(spaces), spec or SliceSpec()).groupBy("person_id", *KEYS, "type").agg(F.sum("minutes").alias("minutes"))
+    """Minutes and share of each type in a slice; what a sample holds beyond a slice's border counts in the next."""
+    rows = time_in_slices(dwell(spaces), spec or SliceSpec()).groupBy("person_id", *KEYS, "type").agg(F.sum("minutes").alias("minutes"))
     return rows.withColumn("share", F.try_divide("minutes", F.sum("minutes").over(Window.partitionBy("person_id", *KEYS))))
 
 
@@ -51,9 +52,9 @@ def space_transitions(spaces: DataFrame, spec: SliceSpec | None = None) -> DataF
 
 
 def bout_features(bouts: DataFrame, spec: SliceSpec | None = None, least: tuple[int, ...] = (10, 20, 30)) -> DataFrame:
-    """Bouts, those of at least 10, 20 and 30 minutes, and length statistics by type, where bouts start."""
+    """Bouts, those of at least 10, 20 and 30 minutes, and length statistics by type; bouts are cut at the slice's borders."""
     m = F.col("minutes")
-    rows = attach(bouts, spec or SliceSpec(), "start_us").groupBy("person_id", *KEYS, "type")
+    rows = in_slices(bouts, spec or SliceSpec(), ("type",)).groupBy("person_id", *KEYS, "type")
     return rows.agg(F.count("*").alias("bouts"), *(F.count_if(m >= k).alias(f"bouts_{k}") for k in least), F.min(m).alias("shortest"), F.max(m).alias("longest"), F.avg(m).alias("mean"), F.stddev_pop(m).alias("std"))
 
 
@@ -79,5 +80,7 @@ def social_bouts(bouts: DataFrame, voice: DataFrame, min_minutes: float = 20, mi
     return rows.where(F.col("voiced") >= min_share)
 
 
-def total_minutes(intervals: DataFrame, name: str) -> DataFrame:
-    return intervals.groupBy("person_id").agg(F.sum("minutes").alias(name), F.count("*").alias("bouts"))
+def total_minutes(intervals: DataFrame, name: str, spec: SliceSpec | None = None) -> DataFrame:
+    """Minutes and number of intervals in each slice, cut at its borders."""
+    rows = in_slices(intervals.select("person_id", "start_us", "end_us"), spec or SliceSpec(epochs=False))
+    return rows.groupBy("person_id", *KEYS).agg(F.sum("minutes").alias(name), F.count("*").alias("bouts"))

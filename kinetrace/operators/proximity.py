@@ -48,22 +48,62 @@ def best_split2(scores: DataFrame, keys: tuple[str, ...] = ("person_id",)) -> Da
     return best.select(*keys, "b.cut", "b.sse")
 
 
+#: Distinct scores up to which all pairs of cuts are tried at once; beyond, best first cuts are found by halving, since they don't fall as the second cut rises.
+PAIRS = 1500
+
+
+def three_clusters(v: np.ndarray, n: np.ndarray) -> tuple[float, int, int]:
+    """(error, last index of the low cluster, of the middle one) of the best three clusters of sorted values with multiplicity; the least cuts of equals."""
+    w, s, q = (np.concatenate(([0.0], np.cumsum(x))) for x in (n, n * v, n * v * v))
+    m = len(v)
+
+    def cost(i, j):  # values i to j - 1
+        mass = w[j] - w[i]
+        return np.maximum(q[j] - q[i] - (s[j] - s[i]) ** 2 / np.where(mass > 0, mass, 1), 0)
+
+    if m <= PAIRS:
+        i, j = np.triu_indices(m - 1, 1)
+        total = np.round(cost(0, i + 1) + cost(i + 1, j + 1) + cost(j + 1, m), 7)
+        best = int(np.lexsort((j, i, total))[0])
+        return float(total[best]), int(i[best]), int(j[best])
+    first, error = np.zeros(m, np.int64), np.full(m, np.inf)
+    todo = [(1, m - 2, 0, m - 3)]
+    while todo:
+        a, b, low, high = todo.pop()
+        if a > b:
+            continue
+        j = (a + b) // 2
+        i = np.arange(low, min(high, j - 1) + 1)
+        total = cost(0, i + 1) + cost(i + 1, j + 1)
+        first[j], error[j] = i[int(total.argmin())], total.min() + cost(j + 1, m)
+        todo += [(a, j - 1, low, int(first[j])), (j + 1, b, int(first[j]), high)]
+    j = int(error.argmin())
+    return float(np.round(error[j], 7)), int(first[j]), j
+
+
 def best_split3(scores: DataFrame, keys: tuple[str, ...] = ("person_id",)) -> DataFrame:
     """keys, cut1, cut2, sse of the best three clusters; fewer distinct values give fewer cuts and no error."""
-    p = _prefix(scores, keys)
-    a = p.where("W < TW").select(*keys, F.col("v").alias("v1"), *(F.col(c).alias(f"{c}1") for c in "WSQ"))
-    b = p.where("W < TW").select(*keys, F.col("v").alias("v2"), *(F.col(c).alias(f"{c}2") for c in "WSQ"), "TW", "TS", "TQ")
-    d = lambda x, y: [F.col(f"{x}{c}") if not y else (F.col(f"T{c}") if x == "T" else F.col(f"{c}{x}")) - F.col(f"{c}{y}") for c in "WSQ"]
-    sse = F.round(_cost(F.col("W1"), F.col("S1"), F.col("Q1")) + _cost(*d("2", "1")) + _cost(*d("T", "2")), 7)
-    three = a.join(b, [*keys]).where("v1 < v2").groupBy(*keys).agg(F.min(F.struct(sse.alias("sse"), F.col("v1").alias("cut1"), F.col("v2").alias("cut2"))).alias("b"))
-    two = best_split2(scores, keys).select(*keys, "cut")
-    joined = two.join(three, [*keys], "left")
-    return joined.select(*keys, F.col("b.cut1").alias("cut1"), F.coalesce("b.cut2", "cut").alias("cut2"), F.coalesce("b.sse", F.lit(0.0)).alias("sse"))
+    points = scores.groupBy(*keys, F.col("score").alias("v")).agg(F.count("*").alias("n"))
+
+    def run(t: pa.Table) -> pa.Table:
+        order = np.argsort(t.column("v").to_numpy())
+        v, n = t.column("v").to_numpy()[order], t.column("n").to_numpy()[order].astype(float)
+        sse, cut1, cut2 = 0.0, None, None
+        if len(v) >= 3:
+            sse, i, j = three_clusters(v, n)
+            cut1, cut2 = float(v[i]), float(v[j])
+        elif len(v) == 2:
+            cut2 = float(v[0])
+        given = [t.column(k).slice(0, 1).combine_chunks() for k in keys]
+        return pa.Table.from_arrays([*given, pa.array([cut1], pa.float64()), pa.array([cut2], pa.float64()), pa.array([sse], pa.float64())], [*keys, "cut1", "cut2", "sse"])
+
+    kinds = ", ".join(f"{k} {points.schema[k].dataType.simpleString()}" for k in keys)
+    return points.groupBy(*keys).applyInArrow(run, f"{kinds}, cut1 double, cut2 double, sse double")
 
 
 def choose_k(scores: DataFrame, keys: tuple[str, ...] = ("person_id",), rule: str = "sse") -> DataFrame:
     """keys, sse2, sse3, k, low_cut, high_cut. rule: sse (two clusters only if strictly better), bic, gain (three if they take off
-    more than three quarters of the error of two), fixed2, fixed3."""
+    more than three quarters of the error of two), silhouette (the larger mean silhouette to cluster centres), fixed2, fixed3."""
     two = best_split2(scores, keys).select(*keys, "cut", F.col("sse").alias("sse2"))
     three = best_split3(scores, keys).select(*keys, "cut1", "cut2", F.col("sse").alias("sse3"))
     joined = two.join(three, [*keys])
@@ -72,11 +112,30 @@ def choose_k(scores: DataFrame, keys: tuple[str, ...] = ("person_id",), rule: st
         joined = joined.join(size, [*keys])
         bic = lambda sse, k: F.col("n") * F.log(F.greatest(F.col(sse) / F.col("n"), F.lit(1e-9))) + k * F.log("n")
         pick = bic("sse2", 2) < bic("sse3", 3)
+    elif rule == "silhouette":
+        joined = joined.join(silhouettes(scores.join(joined, [*keys]), keys), [*keys])
+        pick = F.col("silhouette2") >= F.col("silhouette3")
     else:
         pick = {"sse": F.col("sse2") < F.col("sse3"), "gain": F.col("sse2") - F.col("sse3") <= 0.75 * F.col("sse2"), "fixed2": F.lit(True), "fixed3": F.lit(False)}[rule]
     return joined.select(*keys, "sse2", "sse3", F.when(pick, 2).otherwise(3).alias("k"), F.when(~pick, F.col("cut1")).alias("low_cut"), F.when(pick, F.col("cut")).otherwise(F.col("cut2")).alias("high_cut"))
 
 
+def silhouettes(rows: DataFrame, keys: tuple[str, ...]) -> DataFrame:
+    """keys, silhouette2, silhouette3: mean over devices (score, cut, cut1, cut2) of 1 - distance to the own cluster's centre / distance to the nearest other;
+    0 where a model has one cluster."""
+    out = rows
+    for name, side in (("2", F.when(F.col("score") <= F.col("cut"), 0).otherwise(1)), ("3", F.when(F.col("score") <= F.col("cut1"), 0).when(F.col("score") <= F.col("cut2"), 1).otherwise(2))):
+        out = out.withColumn(f"_s{name}", side)
+        for c in range(int(name)):
+            out = out.withColumn(f"_c{name}{c}", F.avg(F.when(F.col(f"_s{name}") == c, F.col("score"))).over(Window.partitionBy(*keys)))
+        away = [F.abs(F.col("score") - F.col(f"_c{name}{c}")) for c in range(int(name))]
+        own = F.element_at(F.array(*away), F.col(f"_s{name}") + 1)
+        other = F.array_min(F.array(*(F.when(F.col(f"_s{name}") != c, away[c]) for c in range(int(name)))))
+        out = out.withColumn(f"_v{name}", F.round(F.coalesce(1 - F.try_divide(own, F.greatest(own, other)), F.lit(0.0)), 9))
+        out = out.withColumn(f"_v{name}", F.when(other.isNull(), 0.0).otherwise(F.col(f"_v{name}")))
+    return out.groupBy(*keys).agg(F.round(F.avg("_v2"), 7).alias("silhouette2"), F.round(F.avg("_v3"), 7).alias("silhouette3"))
+
+
 def label_devices(scans: DataFrame, keys: tuple[str, ...] = ("person_id",), rule: str = "sse") -> DataFrame:
     """Each address with its score and owner: a model is only two cuts, so labels are comparisons."""
     scores = device_scores(scans, keys)
