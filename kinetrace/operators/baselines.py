@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from kinetrace.functions.geo import haversine_km
@@ -29,14 +29,18 @@ def neighbours_naive(points: DataFrame, eps_m: float = location.EPS_M) -> DataFr
 
 
 def dbscan_difference(spark, sf_dir) -> DataFrame:
-    static = location.label_motion(V.point_events(spark, sf_dir)).where("not moving").select("person_id", "us", "lat", "lon")
-    return _differing(location.neighbours_by_grid(static), neighbours_naive(static))
+    """Places from cubes against places from all distances, and neighbours by cubes against all pairs."""
+    points = location.label_motion(V.point_events(spark, sf_dir)).select("person_id", "us", "lat", "lon", "moving")
+    cells, whole = (location.significant_places(points, dense=n).select("person_id", "us", "place") for n in (0, 1 << 30))
+    static = points.where("not moving")
+    near = _differing(location.neighbours_by_grid(static), neighbours_naive(static))
+    return _differing(cells, whole).union(near).agg(F.sum("differing").alias("differing"), F.lit(points.count()).alias("samples"))
 
 
 def break_difference(spark, sf_dir) -> DataFrame:
     weekly = V.weekly_lines(spark, sf_dir)
-    fast = change.breakpoints(weekly, "free").select("person_id", "feature", "breakpoint")
-    return _differing(_round(fast), _round(change.breakpoints_naive(weekly).select("person_id", "feature", "breakpoint")))
+    names = ["person_id", "feature", "breakpoint", "slope_before", "slope_after"]
+    return _differing(_round(change.breakpoints(weekly, "free").select(*names)), _round(change.breakpoints_naive(weekly).select(*names)))
 
 
 def slices_difference(spark, sf_dir) -> DataFrame:
@@ -49,10 +53,10 @@ def slices_difference(spark, sf_dir) -> DataFrame:
     return _differing(_round(assemble.slice_rollup(rows, spec)), _round(naive))
 
 
-def study(spark, sf_dir) -> DataFrame:
+def study(spark, sf_dir, spec: SliceSpec | None = None) -> DataFrame:
     spaces = places.space_bouts(places.label_spaces(V.point_events(spark, sf_dir), V.places(spark, sf_dir)))
     found = places.study_intervals(spaces, steps.five_minute_bins(V.step_events(spark, sf_dir)), phone.interaction_bouts(V.screen_events(spark, sf_dir)))
-    return places.total_minutes(found, "study")
+    return places.total_minutes(found, "study", spec)
 
 
 def social_naive(bouts: DataFrame, voice: DataFrame, min_minutes: float = 20, min_share: float = 0.8) -> DataFrame:
@@ -63,9 +67,30 @@ def social_naive(bouts: DataFrame, voice: DataFrame, min_minutes: float = 20, mi
     return rows.where(F.col("voiced") >= min_share)
 
 
+def study_naive(bouts: DataFrame, bins: DataFrame, interaction: DataFrame, min_minutes: float = 30, max_steps: int = steps.FEW) -> DataFrame:
+    """Every stretch between two borders meets all of a person's intervals, by joins on bounds only; good stretches that touch are joined."""
+    at = bouts.where("type = 'academic'").select("person_id", "start_us", "end_us")
+    bad = interaction.select("person_id", "start_us", "end_us").union(bins.where(F.col("steps") >= max_steps).select("person_id", F.col("us").alias("start_us"), (F.col("us") + steps.BIN_US).alias("end_us")))
+    times = at.union(bad).select("person_id", F.explode(F.array("start_us", "end_us")).alias("us")).distinct()
+    parts = times.withColumn("to", F.lead("us").over(Window.partitionBy("person_id").orderBy("us"))).where("to is not null")
+    hits = lambda x, n: x.select(F.col("person_id").alias(f"p{n}"), F.col("start_us").alias(f"s{n}"), F.col("end_us").alias(f"e{n}"))
+    good = parts.join(hits(at, 1), (F.col("person_id") == F.col("p1")) & (F.col("s1") <= F.col("us")) & (F.col("to") <= F.col("e1")), "left_semi")
+    good = good.join(hits(bad, 2), (F.col("person_id") == F.col("p2")) & (F.col("s2") < F.col("to")) & (F.col("us") < F.col("e2")), "left_anti")
+    w = Window.partitionBy("person_id").orderBy("us")
+    joined = good.withColumn("new", (~F.col("us").eqNullSafe(F.lag("to").over(w))).cast("int")).withColumn("run", F.sum("new").over(w))
+    found = joined.groupBy("person_id", "run").agg(F.min("us").alias("start_us"), F.max("to").alias("end_us")).drop("run")
+    return found.withColumn("minutes", (F.col("end_us") - F.col("start_us")) / 60e6).where(F.col("minutes") >= min_minutes)
+
+
 def interval_difference(spark, sf_dir) -> DataFrame:
+    """Social bouts and study intervals by buckets and by one sweep, against joins on bounds."""
     bouts, voice = places.space_bouts(places.label_spaces(V.point_events(spark, sf_dir), V.places(spark, sf_dir))), V.voice_events(spark, sf_dir)
-    return _differing(_round(places.social_bouts(bouts, voice)), _round(social_naive(bouts, voice)))
+    bins, interaction = steps.five_minute_bins(V.step_events(spark, sf_dir)), phone.interaction_bouts(V.screen_events(spark, sf_dir))
+    names = ["person_id", "start_us", "end_us", "minutes"]
+    swept = places.study_intervals(bouts, bins, interaction)
+    study_rows = _differing(_round(swept.select(*names)), _round(study_naive(bouts, bins, interaction).select(*names)))
+    social_rows = _differing(_round(places.social_bouts(bouts, voice)), _round(social_naive(bouts, voice)))
+    return study_rows.union(social_rows).agg(F.sum("differing").alias("differing"), F.lit(swept.count()).alias("intervals"))
 
 
 def periodogram_direct(points: DataFrame, periods: list[float], origin: int = 19723) -> DataFrame:
@@ -82,25 +107,25 @@ def periodogram_direct(points: DataFrame, periods: list[float], origin: int = 19
 
 def circadian_difference(spark, sf_dir) -> DataFrame:
     points = V.point_events(spark, sf_dir)
-    fast = location.periodogram(points, [12.0, 24.0]).select("person_id", "period", "power")
-    return _differing(_round(fast, 8), _round(periodogram_direct(points, [12.0, 24.0]), 8))
+    periods = [round(23.5 + 0.1 * i, 6) for i in range(11)] + [float(h) for h in range(6, 49)]
+    fast = location.periodogram(points, periods).select("person_id", "period", "power")
+    return _differing(_round(fast, 8), _round(periodogram_direct(points, periods), 8))
 
 
-def circadian_sql(kind: str) -> str:
-    """The direct form in SQL: centred values, phase, then power."""
-    periods = "(SELECT 23.5 + 0.1 * i AS p FROM range(11) t(i))" if kind == "log" else "(SELECT DISTINCT p FROM (SELECT round(23.5 + 0.1 * i, 6) AS p FROM range(11) t(i) UNION SELECT i FROM range(6, 49) t(i)))"
-    last = "ln(nullif(round(sum(power), 12), 0))" if kind == "log" else "sum(power) FILTER (p BETWEEN 23.5 AND 24.5) / nullif(sum(power), 0)"
-    return f"""SELECT person_id, {last} AS circadian FROM (
-      SELECT person_id, p, (power(sum(y * cos(w - tau)), 2) + power(sum(x * cos(w - tau)), 2)) / (2 * sum(power(cos(w - tau), 2)))
-             + CASE WHEN sum(power(sin(w - tau), 2)) > 5e-7 THEN (power(sum(y * sin(w - tau)), 2) + power(sum(x * sin(w - tau)), 2)) / (2 * sum(power(sin(w - tau), 2))) ELSE 0 END AS power
-      FROM (SELECT *, atan2(sum(sin(2 * w)) OVER q, sum(cos(2 * w)) OVER q) / 2 AS tau FROM (
-        SELECT person_id, p, lat - avg(lat) OVER (PARTITION BY person_id) AS y, lon - avg(lon) OVER (PARTITION BY person_id) AS x, 2 * pi() * (us - 1704067200000000) / 3.6e9::DOUBLE / p::DOUBLE AS w
-        FROM pt CROSS JOIN (SELECT CAST(p AS DOUBLE) AS p FROM {periods}) z) WINDOW q AS (PARTITION BY person_id, p)) GROUP BY ALL) GROUP BY ALL"""
+SINGLE_CHANNEL = {"location": ("location.*",), "screen": ("phone.*",), "location_screen": ("location.*", "phone.*")}
 
 
-SINGLE_CHANNEL = {"location": ("loc_",), "screen": ("phone_",), "location_screen": ("loc_", "phone_")}
+def single_channel(spark, sf_dir, name: str, spec: SliceSpec | None = None) -> DataFrame:
+    """The features that a study of few channels would have: baseline of the multimodal catalogue."""
+    return assemble.feature_long(spark, sf_dir, SINGLE_CHANNEL[name], spec)
 
 
-def single_channel(name: str, queries: dict) -> dict:
-    """The queries that a study of few channels would have: baseline of the multimodal catalogue."""
-    return {q: f for q, f in queries.items() if q.startswith(SINGLE_CHANNEL[name])}
+def hourly_spectrum(points: DataFrame, periods: list[float], origin: int = 19723) -> DataFrame:
+    """Power at each period by a discrete Fourier sum over hourly means, as for regular series: hours without samples are left out."""
+    hour = F.floor((F.col("us") - origin * 86_400_000_000) / 3.6e9)
+    bins = points.groupBy("person_id", hour.alias("h")).agg(F.avg("lat").alias("lat"), F.avg("lon").alias("lon"))
+    whole = Window.partitionBy("person_id")
+    flat = bins.select("person_id", "h", (F.col("lat") - F.avg("lat").over(whole)).alias("y"), (F.col("lon") - F.avg("lon").over(whole)).alias("x"))
+    grid = flat.withColumn("period", F.explode(F.array(*map(F.lit, periods)))).withColumn("w", F.lit(2 * math.pi) * (F.col("h") + 0.5) / F.col("period"))
+    sums = grid.groupBy("person_id", "period").agg(*(F.sum(F.col(v) * f("w")).alias(f"{v}{n}") for v in ("y", "x") for n, f in (("c", F.cos), ("s", F.sin))), F.count("*").alias("n"))
+    return sums.select("person_id", "period", ((F.col("yc") ** 2 + F.col("ys") ** 2 + F.col("xc") ** 2 + F.col("xs") ** 2) / F.col("n")).alias("power"))

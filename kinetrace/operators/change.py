@@ -9,12 +9,15 @@ SERIES = ["person_id", "feature"]
 
 
 def numbered(weekly: DataFrame) -> DataFrame:
-    """Weeks counted from the first week of the data, 1 on."""
+    """The series' values as numbers; weeks keep their numbers, only their differences count."""
     return weekly.select(*SERIES, "week", F.col("value").cast("double").alias("value")).where("value is not null")
 
 
-def slopes(weekly: DataFrame, middle: int, min_weeks: int = 3) -> DataFrame:
-    """Least-squares slope over all weeks, the weeks up to `middle`, and those from `middle` on; one pass."""
+def slopes(weekly: DataFrame, middle: int | None, min_weeks: int = 3) -> DataFrame:
+    """Least-squares slope over all weeks, the weeks up to `middle`, and those from `middle` on (None: the middle of all weeks of the data); one pass."""
+    if middle is None:
+        first, last = weekly.agg(F.min("week"), F.max("week")).first()
+        middle = ((first or 0) + (last or 0)) // 2
     x, y = F.col("week").cast("double"), F.col("value")
     part = lambda c: F.regr_slope(F.when(c, y), F.when(c, x))
     rows = numbered(weekly).groupBy(*SERIES).agg(F.count("*").alias("n"), F.regr_slope(y, x).alias("slope"), part(F.col("week") <= middle).alias("slope_first"), part(F.col("week") >= middle).alias("slope_second"), F.regr_r2(y, x).alias("r2"))
@@ -76,6 +79,17 @@ def breakpoints(weekly: DataFrame, pieces: str = "joined", criterion: str = "bic
     return best.select(*SERIES, F.col("b.week").alias("breakpoint"), "b.slope_before", "b.slope_after", "b.rss", F.col("b.measure").alias(criterion))
 
 
+def f_values(weekly: DataFrame, pieces: str = "free", min_weeks: int = 6) -> DataFrame:
+    """The week whose two pieces fit best, and F: by how much they beat one line, in units of what the pieces leave unexplained."""
+    rows = candidates(weekly, pieces, min_weeks)
+    line = F.max(F.when(F.col("parameters") == 2, F.col("rss"))).alias("line")  # a break at the last week is one line
+    two = F.col("parameters") > 2
+    best = rows.groupBy(*SERIES).agg(line, F.min(F.when(two, F.struct(F.round("rss", 6).alias("r"), "week", "rss", "parameters", "n"))).alias("b"))
+    b = lambda c: F.col(f"b.{c}")
+    f = F.try_divide((F.col("line") - b("rss")) / (b("parameters") - 2), F.greatest(b("rss"), F.lit(1e-9)) / (b("n") - b("parameters")))
+    return best.select(*SERIES, b("week").alias("breakpoint"), F.greatest(f, F.lit(0.0)).alias("f"))
+
+
 def change_features(weekly: DataFrame, middle: int, pieces: str = "joined") -> DataFrame:
     """All six change values of every series."""
     found = breakpoints(weekly, pieces).select(*SERIES, "breakpoint", "slope_before", "slope_after", "bic")

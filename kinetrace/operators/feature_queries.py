@@ -5,8 +5,10 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from kinetrace.operators import assemble, baselines, calls, change, location, measures, phone, places, proximity, sleep, steps
+from kinetrace.oracles import sets as Q
 from kinetrace.oracles.base import ep
-from kinetrace.plans.slices import SliceSpec
+from kinetrace.plans.slices import KEYS, SliceSpec, attach
+from kinetrace.sources import maps
 from kinetrace.sources import views as V
 
 CELLS = f"unnest(['allday', {ep('us')}]) AS epoch"
@@ -34,8 +36,6 @@ def _lengths(view: str, n: str) -> str:
     return f"(SELECT person_id, epoch, sum(minutes) AS {n}_total, max(minutes) AS {n}_max, min(minutes) AS {n}_min, avg(minutes) AS {n}_mean, stddev_pop(minutes) AS {n}_std FROM {_sliced(_pieces(view))} GROUP BY ALL)"
 
 
-STEP_BOUTS = "count(*) FILTER (label = '{0}') AS {0}_bouts, max(minutes) FILTER (label = '{0}') AS {0}_max, min(minutes) FILTER (label = '{0}') AS {0}_min, avg(minutes) FILTER (label = '{0}') AS {0}_mean"
-STEP_STATS = f"SELECT person_id, epoch, {STEP_BOUTS.format('active')}, {STEP_BOUTS.format('sedentary')}, min(steps) FILTER (label = 'active') AS steps_min, max(steps) FILTER (label = 'active') AS steps_max, avg(steps) FILTER (label = 'active') AS steps_mean FROM {_sliced('stepbout', 'start_us')} GROUP BY ALL"
 STEP_SPEC = "active_bouts:b active_max:d active_min:d active_mean:d sedentary_bouts:b sedentary_max:d sedentary_min:d sedentary_mean:d steps_min:b steps_max:b steps_mean:d"
 NAP = "(SELECT person_id, state, min(us) AS start_us, max(us) + 60000000 AS end_us, CAST(count(*) AS DOUBLE) AS minutes FROM (SELECT *, us // 60000000 - row_number() OVER (PARTITION BY person_id, state ORDER BY us) AS r FROM nap) GROUP BY person_id, state, r)"
 CALLS = ", ".join(
@@ -46,27 +46,51 @@ CALL_SQL = f"SELECT person_id, epoch, {CALLS} FROM {_sliced('(SELECT * FROM {0}
 ORDER_CALLS = "(SELECT o_custkey AS person_id, epoch_us(o_orderdate) AS us, CASE o_orderstatus WHEN 'O' THEN 'incoming' WHEN 'F' THEN 'outgoing' WHEN 'P' THEN 'missed' END AS direction, o_orderkey % 12 AS correspondent, o_totalprice / 1000 AS duration_s FROM orders)"
 ORDER_CONTACTS = "(SELECT DISTINCT o_custkey AS person_id, o_orderkey % 12 AS correspondent, (['family','friend_off','friend_on'])[(o_orderkey % 12) % 4 + 1] AS category FROM orders WHERE (o_orderkey % 12) % 4 < 3)"
 SIX = "count(*) AS devices, max(scans) AS most, min(scans) AS least, sum(scans) AS total, avg(scans) AS mean, stddev_pop(scans) AS std"
-MOMENTS = "regr_slope(value, week) AS slope, regr_slope(CASE WHEN week <= 1437 THEN value END, CASE WHEN week <= 1437 THEN week END) AS slope_first, regr_slope(CASE WHEN week >= 1437 THEN value END, CASE WHEN week >= 1437 THEN week END) AS slope_second, regr_r2(value, week) AS r2"
-MIDDLE = 1437
-FREE = """SELECT person_id, feature, arg_min(cut, (bic, cut)) AS breakpoint, min(bic) AS bic FROM (
-  SELECT person_id, feature, cut, round(n * ln(greatest(l + r, 1e-12 * (1 + t)) / n) + CASE WHEN nr = 0 THEN 2 ELSE 4 END * ln(n), 6) AS bic FROM (
-    SELECT person_id, feature, cut, count(*) AS n, count(*) FILTER (week > cut) AS nr, regr_syy(value, week) AS t,
+MOMENTS = "regr_slope(value, week) AS slope, regr_slope(CASE WHEN week <= m THEN value END, CASE WHEN week <= m THEN week END) AS slope_first, regr_slope(CASE WHEN week >= m THEN value END, CASE WHEN week >= m THEN week END) AS slope_second, regr_r2(value, week) AS r2"
+FREE = """SELECT person_id, feature, breakpoint, bic, bs.slope_before, bs.slope_after FROM (SELECT person_id, feature, arg_min(cut, (bic, cut)) AS breakpoint, min(bic) AS bic, arg_min({'slope_before': sb, 'slope_after': sa}, (bic, cut)) AS bs FROM (
+  SELECT person_id, feature, cut, sb, sa, round(n * ln(greatest(l + r, 1e-12 * (1 + t)) / n) + CASE WHEN nr = 0 THEN 2 ELSE 4 END * ln(n), 6) AS bic FROM (
+    SELECT person_id, feature, cut, count(*) AS n, count(*) FILTER (week > cut) AS nr, regr_slope(value, week) FILTER (week <= cut) AS sb, regr_slope(value, week) FILTER (week > cut) AS sa, regr_syy(value, week) AS t,
       greatest(coalesce(regr_syy(value, week) FILTER (week <= cut) * (1 - coalesce(regr_r2(value, week) FILTER (week <= cut AND TRUE), 0)), 0), 0) AS l,
       greatest(coalesce(regr_syy(value, week) FILTER (week > cut) * (1 - coalesce(regr_r2(value, week) FILTER (week > cut), 0)), 0), 0) AS r
-    FROM line0 GROUP BY ALL) WHERE n >= 3) GROUP BY ALL"""
-DBSCAN = """
-  st AS (SELECT person_id, us, lat, lon FROM mv WHERE NOT moving),
-  near AS (SELECT a.person_id, a.us AS u, b.us AS v, 2000 * 6371.0088::DOUBLE * asin(least(1.0::DOUBLE, sqrt(power(sin(radians(b.lat - a.lat) / 2), 2) + cos(radians(a.lat)) * cos(radians(b.lat)) * power(sin(radians(b.lon - a.lon) / 2), 2)))) AS m
-           FROM st a JOIN st b USING (person_id)),
-  nb AS (SELECT * FROM near WHERE m <= 60),
-  core AS (SELECT person_id, u FROM nb GROUP BY ALL HAVING count(*) >= 3),
-  ce AS (SELECT nb.person_id, nb.u, nb.v FROM nb JOIN core a ON a.person_id = nb.person_id AND a.u = nb.u JOIN core b ON b.person_id = nb.person_id AND b.u = nb.v),
-  reach AS (SELECT person_id, u, u AS root FROM core UNION SELECT e.person_id, e.v, r.root FROM reach r JOIN ce e ON e.person_id = r.person_id AND e.u = r.u),
-  comp AS (SELECT person_id, u, min(root) AS root FROM reach GROUP BY ALL),
-  numbered AS (SELECT *, dense_rank() OVER (PARTITION BY person_id ORDER BY root) - 1 AS place FROM comp),
-  border AS (SELECT nb.person_id, nb.u, arg_min(n.place, (round(nb.m, 6), n.place)) AS place FROM nb JOIN numbered n ON n.person_id = nb.person_id AND n.u = nb.v GROUP BY ALL),
-  placed AS (SELECT s.person_id, s.us, coalesce(n.place, b.place, -1) AS place FROM st s LEFT JOIN numbered n ON n.person_id = s.person_id AND n.u = s.us LEFT JOIN border b ON b.person_id = s.person_id AND b.u = s.us)
-"""
+    FROM line0 GROUP BY ALL) WHERE n >= 3) GROUP BY ALL)"""
+SPECTRUM = """SELECT person_id, period, (power(sum(y * cos(w)), 2) + power(sum(y * sin(w)), 2) + power(sum(x * cos(w)), 2) + power(sum(x * sin(w)), 2)) / count(*) AS power FROM (
+    SELECT *, 2 * pi() * (h + 0.5::DOUBLE) / period AS w FROM (SELECT person_id, h, lat - avg(lat) OVER (PARTITION BY person_id) AS y, lon - avg(lon) OVER (PARTITION BY person_id) AS x
+      FROM (SELECT person_id, (us - 1704067200000000) // 3600000000 AS h, avg(lat) AS lat, avg(lon) AS lon FROM pt GROUP BY ALL)), (SELECT unnest([12.0::DOUBLE, 24.0::DOUBLE]) AS period)) GROUP BY ALL"""
+F_TEST = """SELECT person_id, feature, arg_min(cut, (round(rss, 6), cut)) AS breakpoint, greatest((any_value(line) - arg_min(rss, (round(rss, 6), cut))) / 2.0::DOUBLE / (greatest(arg_min(rss, (round(rss, 6), cut)), 1e-9) / (any_value(n) - 4)), 0) AS f FROM (
+  SELECT person_id, feature, cut, n, line, greatest(l, 0) + greatest(r, 0) AS rss FROM (
+    SELECT person_id, feature, cut, count(*) AS n, count(*) FILTER (week > cut) AS nr, regr_syy(value, week) * (1 - coalesce(regr_r2(value, week), 0)) AS line,
+      coalesce(regr_syy(value, week) FILTER (week <= cut) * (1 - coalesce(regr_r2(value, week) FILTER (week <= cut), 0)), 0) AS l, coalesce(regr_syy(value, week) FILTER (week > cut) * (1 - coalesce(regr_r2(value, week) FILTER (week > cut), 0)), 0) AS r
+    FROM line0 GROUP BY ALL) WHERE n >= 6 AND nr > 0) GROUP BY ALL"""
+CROSS = "span:s span_id:b daytype:s epoch:s"
+PLACES = "places:b transitions:b gyration_km:d top1_minutes:d top2_minutes:d top3_minutes:d moving_share:d rare_share:d stay_max:d stay_min:d stay_mean:d stay_std:d entropy:d normalised_entropy:d"
+PHONE = "unlocks:b unlocks_per_minute:d " + " ".join(f"{k}_{m}:d" for k in phone.KINDS for m in ("total", "max", "min", "mean", "std"))
+AGREEMENT = f"""WITH RECURSIVE {Q.HELD}, {Q.dbscan('(SELECT person_id AS g, sid, lat, lon FROM held WHERE NOT moving)')},
+  rows_ AS (SELECT h.person_id, place, pt.pl FROM held h JOIN placed USING (sid) JOIN pt ON pt.person_id = h.person_id AND pt.us = h.us WHERE place >= 0),
+  pairs AS (SELECT a.person_id, count(*) AS t, sum(CAST(a.place = b.place AND a.pl = b.pl AS INT)) AS s, sum(CAST(a.place = b.place AS INT)) AS sa, sum(CAST(a.pl = b.pl AS INT)) AS sb FROM (SELECT *, row_number() OVER () AS i FROM rows_) a
+            JOIN (SELECT *, row_number() OVER () AS i FROM rows_) b ON a.person_id = b.person_id AND a.i < b.i GROUP BY ALL)
+  SELECT count(*) AS persons, avg(coalesce((s - sa * sb / t::DOUBLE) / nullif((sa + sb) / 2.0::DOUBLE - sa * sb / t::DOUBLE, 0), 1)) AS agreement FROM pairs"""
+_SIDE = "SELECT person_id, score, CASE WHEN {test} THEN 0 {more} ELSE {last} END AS c FROM dev JOIN model USING (person_id)"
+_MEAN = "(SELECT person_id, round(avg(v), 7) AS s{n} FROM (SELECT person_id, rid, CASE WHEN min(gap) FILTER (other) IS NULL THEN 0 ELSE round(coalesce(1 - max(gap) FILTER (NOT other) / nullif(greatest(max(gap) FILTER (NOT other), min(gap) FILTER (other)), 0), 0), 9) END AS v FROM (SELECT a.person_id, a.rid, abs(a.score - z.m) AS gap, z.c <> a.c AS other FROM (SELECT *, row_number() OVER () AS rid FROM ({rows})) a JOIN (SELECT person_id, c, avg(score) AS m FROM ({rows}) GROUP BY ALL) z USING (person_id)) GROUP BY ALL) GROUP BY ALL)"
+SILHOUETTE = "SELECT person_id, CASE WHEN s2 >= s3 THEN 2 ELSE 3 END AS k FROM " + _MEAN.format(n=2, rows=_SIDE.format(test="m1 > 1 AND score <= cut", more="", last=1)) + " JOIN " + _MEAN.format(n=3, rows=_SIDE.format(test="c1 IS NOT NULL AND score <= c1", more="WHEN c2 IS NOT NULL AND score <= c2 THEN 1", last=2)) + " USING (person_id)"
+SILHOUETTE = SILHOUETTE.replace("FROM dev JOIN model USING (person_id)", "FROM dev JOIN model USING (person_id) JOIN (SELECT person_id, count(*) AS m1 FROM cutv GROUP BY ALL) USING (person_id)")
+_IMPORTED = "SELECT n_nationkey AS place_id, n_name AS name, (['social_greek','greek','apartment','residence','athletic','green','academic','off_campus'])[code + 1] AS type, code AS priority, 4 AS corners, 40 + 0.02::DOUBLE * (n_nationkey // 5) + 0.001::DOUBLE AS north, -80 + 0.02::DOUBLE * (n_nationkey % 5) + 0.001::DOUBLE AS east FROM (SELECT *, n_nationkey % 8 AS code FROM nation WHERE n_nationkey % 8 < 7 UNION ALL SELECT *, 1 FROM nation WHERE n_nationkey % 8 = 0)"
+
+
+def _moved(s, d):
+    return location.label_motion(V.point_events(s, d)).select("person_id", "us", "lat", "lon", "moving")
+
+
+def _space_bouts(s, d):
+    return places.space_bouts(places.label_spaces(V.point_events(s, d), V.places(s, d)))
+
+
+def _imported(s, d):
+    """The map written as a GeoJSON file and as text, and read back by both readers: the places that both give."""
+    given = V.places(s, d)
+    a, b = maps.read_geojson(s, maps.write_geojson(given)), maps.from_wkt(maps.to_wkt(given))
+    found = a.select("place_id", "name", "type", "priority", "polygon").intersect(b.select("place_id", "name", "type", "priority", "polygon"))
+    return found.withColumns({"corners": F.size("polygon"), "north": F.array_max(F.col("polygon.lat")), "east": F.array_max(F.col("polygon.lon"))})
+
 
 QUERIES = [
     # slices
@@ -80,9 +104,10 @@ QUERIES = [
     ("bt_kmeans_k3", "person_id:b sse:d", lambda s, d: proximity.best_split3(proximity.device_scores(V.scan_events(s, d))), "SELECT person_id, sse3 AS sse FROM model"),
     ("bt_choose_k", "person_id:b sse2:d sse3:d k:b", lambda s, d: proximity.choose_k(proximity.device_scores(V.scan_events(s, d))), "SELECT person_id, sse2, sse3, CASE WHEN sse2 < sse3 THEN 2 ELSE 3 END AS k FROM model"),
     ("bt_choose_k_bic", "person_id:b k:b", lambda s, d: proximity.choose_k(proximity.device_scores(V.scan_events(s, d)), rule="bic"), "SELECT person_id, CASE WHEN n * ln(greatest(sse2 / n, 1e-9)) + 2 * ln(n) < n * ln(greatest(sse3 / n, 1e-9)) + 3 * ln(n) THEN 2 ELSE 3 END AS k FROM model JOIN (SELECT person_id, count(*) AS n FROM dev GROUP BY ALL) USING (person_id)"),
+    ("bt_choose_k_silhouette", "person_id:b k:b", lambda s, d: proximity.choose_k(proximity.device_scores(V.scan_events(s, d)), rule="silhouette"), SILHOUETTE),
     ("bt_labels", "person_id:b address:b owner:s", lambda s, d: proximity.label_devices(V.scan_events(s, d)), "SELECT person_id, address, owner FROM owner"),
     ("bt_features_global", "person_id:b epoch:s owners:s devices:b most:b least:b total:b mean:d std:d", lambda s, d: proximity.scan_features(V.scan_events(s, d)), f"SELECT person_id, epoch, owners, {SIX} FROM (SELECT t.person_id, t.epoch, t.scans, unnest(['all', o.owner]) AS owners FROM (SELECT person_id, epoch, address, count(*) AS scans FROM {_sliced('scan')} GROUP BY ALL) t JOIN owner o USING (person_id, address)) GROUP BY ALL"),
-    ("bt_features_local", "person_id:b epoch:s owners:s devices:b total:b mean:d", lambda s, d: proximity.scan_features(V.scan_events(s, d), scope="local").where("owners = 'all'"), f"SELECT person_id, epoch, 'all' AS owners, {SIX} FROM (SELECT person_id, epoch, address, count(*) AS scans FROM {_sliced('scan')} GROUP BY ALL) GROUP BY ALL"),
+    ("bt_features_local", "person_id:b epoch:s owners:s devices:b most:b least:b total:b mean:d std:d", lambda s, d: proximity.scan_features(V.scan_events(s, d), scope="local"), Q.local_scan_features(Q.DAY)),
     ("bt_sse_compare", "k:b persons:b", lambda s, d: proximity.choose_k(proximity.device_scores(V.scan_events(s, d))).groupBy("k").agg(F.count("*").alias("persons")), "SELECT CASE WHEN sse2 < sse3 THEN 2 ELSE 3 END AS k, count(*) AS persons FROM model GROUP BY ALL"),
     ("bt_kmeans_lloyd", "person_id:b sse:d", lambda s, d: proximity.lloyd(proximity.device_scores(V.scan_lines(s, d)), 3), None),
     # calls
@@ -90,65 +115,81 @@ QUERIES = [
     ("call_features_by_slice", CALL_SPEC, lambda s, d: calls.call_features(V.call_events(s, d), V.contacts_of(V.call_events(s, d))), CALL_SQL.replace("{0}", "calls").replace("{1}", "contacts")),
     ("call_features_orders", CALL_SPEC, lambda s, d: calls.call_features(V.call_orders(s, d), V.contacts_of(V.call_orders(s, d))), CALL_SQL.replace("{0}", ORDER_CALLS).replace("{1}", ORDER_CONTACTS)),
     # location
+    ("loc_spectrum_hourly", "person_id:b period:d power:d", lambda s, d: baselines.hourly_spectrum(V.point_events(s, d), [12.0, 24.0]), SPECTRUM),
     ("loc_motion", "person_id:b us:b speed:d moving:b", lambda s, d: location.label_motion(V.point_events(s, d)).withColumn("moving", F.col("moving").cast("int")), "SELECT person_id, us, speed, CAST(moving AS INT) AS moving FROM mv"),
     ("loc_basic", "person_id:b epoch:s variance:d distance_km:d speed_mean:d speed_variance:d log_variance:d", lambda s, d: location.mobility_basic(V.point_events(s, d)), f"SELECT *, ln(nullif(round(variance, 15), 0)) AS log_variance FROM (SELECT person_id, epoch, var_pop(lat) + var_pop(lon) AS variance, sum(km) AS distance_km, avg(speed) AS speed_mean, var_pop(speed) AS speed_variance FROM {_sliced('mv')} GROUP BY ALL)"),
-    ("loc_circadian_log", "person_id:b circadian:d", lambda s, d: location.circadian(V.point_events(s, d)), baselines.circadian_sql("log")),
-    ("loc_circadian_share", "person_id:b circadian:d", lambda s, d: location.circadian(V.point_events(s, d), normalise="share"), baselines.circadian_sql("share")),
-    ("loc_places_global", "person_id:b us:b place:b", lambda s, d: location.significant_places(location.label_motion(V.point_events(s, d)).where("not moving")), f"WITH RECURSIVE {DBSCAN} SELECT * FROM placed"),
-    ("loc_places_local", "person_id:b epoch:s us:b place:b", lambda s, d: location.visits(V.point_events(s, d), scope="local"), None),
-    ("loc_places_cells", "person_id:b us:b place:b", lambda s, d: location.significant_places(location.label_motion(V.point_events(s, d)).where("not moving"), cells_m=10.0), None),
-    ("loc_place_features", "person_id:b epoch:s places:b transitions:b gyration_km:d moving_share:d rare_share:d", lambda s, d: location.place_features(V.point_events(s, d)), None),
-    ("loc_place_features_local", "person_id:b epoch:s places:b transitions:b gyration_km:d moving_share:d rare_share:d", lambda s, d: location.place_features(V.point_events(s, d), scope="local"), None),
-    ("loc_entropy", "person_id:b entropy:d normalised_entropy:d places:b", lambda s, d: location.place_features(V.point_events(s, d), SliceSpec(epochs=False)), f"""WITH RECURSIVE {DBSCAN},
-      dw AS (SELECT person_id, us, coalesce((lead(us) OVER (PARTITION BY person_id ORDER BY us) - us) / 60e6::DOUBLE, 0) AS m FROM pt),
-      tot AS (SELECT person_id, place, sum(m) AS m FROM placed JOIN dw USING (person_id, us) WHERE place >= 0 GROUP BY ALL),
-      sh AS (SELECT *, m / nullif(sum(m) OVER (PARTITION BY person_id), 0) AS p FROM tot),
-      en AS (SELECT person_id, sum(-p * ln(nullif(p, 0))) AS entropy, count(*) FILTER (p > 0) AS k, count(*) AS places FROM sh GROUP BY ALL)
-      SELECT p.person_id, entropy, CASE WHEN k > 1 THEN entropy / ln(k) WHEN k = 1 THEN 0 END AS normalised_entropy, coalesce(places, 0) AS places FROM (SELECT DISTINCT person_id FROM pt) p LEFT JOIN en USING (person_id)"""),
-    ("loc_top3", "person_id:b epoch:s top1_minutes:d top2_minutes:d top3_minutes:d", lambda s, d: location.place_features(V.point_events(s, d)), None),
-    ("loc_stay_stats", "person_id:b epoch:s stay_max:d stay_min:d stay_mean:d stay_std:d", lambda s, d: location.place_features(V.point_events(s, d)), None),
-    ("loc_home", "person_id:b home_lat:d home_lon:d", lambda s, d: location.home_location(V.point_events(s, d)), None),
-    ("loc_home_time", "person_id:b epoch:s home_10m:d home_100m:d", lambda s, d: location.home_features(V.point_events(s, d)), None),
+    ("loc_circadian_log", "person_id:b circadian:d", lambda s, d: location.circadian(V.point_events(s, d)), Q.circadian(Q.FULL)),
+    ("loc_circadian_share", "person_id:b circadian:d", lambda s, d: location.circadian(V.point_events(s, d), normalise="share"), Q.circadian(Q.FULL, "share")),
+    ("loc_places_global", "person_id:b us:b place:b", lambda s, d: location.significant_places(_moved(s, d)).where("not moving"), f"WITH RECURSIVE {Q.HELD}, {Q.dbscan('(SELECT person_id AS g, sid, lat, lon FROM held WHERE NOT moving)')} SELECT person_id, us, place FROM held JOIN placed USING (sid)"),
+    ("loc_places_local", "person_id:b epoch:s us:b place:b", lambda s, d: location.significant_places(attach(_moved(s, d), SliceSpec()), ("person_id", *KEYS)), Q.local_places()),
+    ("loc_places_cells", "person_id:b us:b place:b", lambda s, d: location.significant_places(_moved(s, d), cells_m=10.0).where("not moving"), None),
+    ("loc_place_features", f"person_id:b epoch:s {PLACES}", lambda s, d: location.place_features(V.point_events(s, d)), Q.place_features(Q.DAY)),
+    ("loc_place_features_local", f"person_id:b epoch:s {PLACES}", lambda s, d: location.place_features(V.point_events(s, d), scope="local"), Q.place_features(Q.DAY, "local")),
+    ("loc_place_features_weekly", f"person_id:b span_id:b {PLACES}", lambda s, d: location.place_features(V.point_events(s, d), SliceSpec.weekly()), Q.place_features(Q.WEEK)),
+    ("loc_place_features_weekly_local", f"person_id:b span_id:b {PLACES}", lambda s, d: location.place_features(V.point_events(s, d), SliceSpec.weekly(), "local"), Q.place_features(Q.WEEK, "local")),
+    ("loc_entropy", "person_id:b entropy:d normalised_entropy:d places:b", lambda s, d: location.place_features(V.point_events(s, d), SliceSpec(epochs=False)), Q.place_features(Q.FULL)),
+    ("loc_top3", "person_id:b epoch:s top1_minutes:d top2_minutes:d top3_minutes:d", lambda s, d: location.place_features(V.point_events(s, d)), Q.place_features(Q.DAY)),
+    ("loc_top3_local", "person_id:b epoch:s top1_minutes:d top2_minutes:d top3_minutes:d", lambda s, d: location.place_features(V.point_events(s, d), scope="local"), Q.place_features(Q.DAY, "local")),
+    ("loc_stay_stats", "person_id:b epoch:s stay_max:d stay_min:d stay_mean:d stay_std:d", lambda s, d: location.place_features(V.point_events(s, d)), Q.place_features(Q.DAY)),
+    ("loc_stay_stats_local", "person_id:b epoch:s stay_max:d stay_min:d stay_mean:d stay_std:d", lambda s, d: location.place_features(V.point_events(s, d), scope="local"), Q.place_features(Q.DAY, "local")),
+    ("loc_entropy_local", "person_id:b epoch:s entropy:d normalised_entropy:d", lambda s, d: location.place_features(V.point_events(s, d), scope="local"), Q.place_features(Q.DAY, "local")),
+    ("loc_home", "person_id:b home_lat:d home_lon:d", lambda s, d: location.home_location(V.point_events(s, d)), Q.home()),
+    ("loc_home_time", "person_id:b epoch:s home_10m:d home_100m:d", lambda s, d: location.home_features(V.point_events(s, d)), Q.home_time()),
     # annotated places
     ("place_labels", "person_id:b us:b type:s", lambda s, d: places.label_spaces(V.point_events(s, d), V.places(s, d)), "SELECT person_id, us, type FROM spc"),
-    ("place_minutes", "person_id:b epoch:s type:s minutes:d share:d", lambda s, d: places.space_minutes(places.label_spaces(V.point_events(s, d), V.places(s, d))), f"SELECT *, minutes / nullif(sum(minutes) OVER (PARTITION BY person_id, epoch), 0) AS share FROM (SELECT person_id, epoch, type, sum((nxt - us) / 60e6::DOUBLE) AS minutes FROM {_sliced('spc')} GROUP BY ALL)"),
-    ("place_transitions", "person_id:b epoch:s transitions:b", lambda s, d: places.space_transitions(places.label_spaces(V.point_events(s, d), V.places(s, d))), f"SELECT person_id, epoch, coalesce(sum(CAST(type <> prev AS INT)), 0) AS transitions FROM {_sliced('(SELECT *, lag(type) OVER (PARTITION BY person_id ORDER BY us) AS prev FROM spc)')} GROUP BY ALL"),
-    ("place_bouts", "person_id:b epoch:s type:s bouts:b bouts_10:b bouts_20:b bouts_30:b shortest:d longest:d mean:d std:d", lambda s, d: places.bout_features(places.space_bouts(places.label_spaces(V.point_events(s, d), V.places(s, d)))), f"SELECT person_id, epoch, type, count(*) AS bouts, count(*) FILTER (minutes >= 10) AS bouts_10, count(*) FILTER (minutes >= 20) AS bouts_20, count(*) FILTER (minutes >= 30) AS bouts_30, min(minutes) AS shortest, max(minutes) AS longest, avg(minutes) AS mean, stddev_pop(minutes) AS std FROM {_sliced('spb', 'start_us')} GROUP BY ALL"),
-    ("study_minutes", "person_id:b study:d bouts:b", lambda s, d: baselines.study(s, d), None),
-    ("social_minutes", "person_id:b social:d bouts:b", lambda s, d: places.total_minutes(places.social_bouts(places.space_bouts(places.label_spaces(V.point_events(s, d), V.places(s, d))), V.voice_events(s, d)), "social"), "SELECT person_id, sum(minutes) AS social, count(*) AS bouts FROM (SELECT b.person_id, b.start_us, b.minutes, avg(CAST(v.inference IN ('voice', 'noise') AS DOUBLE)) AS share FROM spb b JOIN voice v ON v.person_id = b.person_id AND v.us >= b.start_us AND v.us < b.end_us WHERE b.type IN ('apartment', 'residence', 'green') AND b.minutes >= 20 GROUP BY ALL) WHERE share >= 0.8 GROUP BY ALL"),
+    ("place_labels_all", "person_id:b us:b type:s", lambda s, d: places.label_spaces(V.point_events(s, d), V.places(s, d), "all"), "SELECT person_id, us, type FROM spc UNION ALL SELECT person_id, us, 'greek' FROM spc WHERE type = 'social_greek'"),
+    ("place_import", "place_id:b name:s type:s priority:b corners:b north:d east:d", _imported, _IMPORTED),
+    ("place_minutes", "person_id:b epoch:s type:s minutes:d share:d", lambda s, d: places.space_minutes(places.label_spaces(V.point_events(s, d), V.places(s, d))), Q.space_minutes(Q.DAY)),
+    ("place_transitions", "person_id:b epoch:s transitions:b", lambda s, d: places.space_transitions(places.label_spaces(V.point_events(s, d), V.places(s, d))), Q.space_transitions(Q.DAY)),
+    ("place_bouts", "person_id:b epoch:s type:s bouts:b bouts_10:b bouts_20:b bouts_30:b shortest:d longest:d mean:d std:d", lambda s, d: places.bout_features(_space_bouts(s, d)), Q.space_bouts(Q.DAY)),
+    ("place_bouts_crossed", f"person_id:b {CROSS} type:s bouts:b bouts_30:b longest:d mean:d", lambda s, d: places.bout_features(_space_bouts(s, d), SliceSpec.crossed()), Q.space_bouts(Q.CROSSED)),
+    ("study_minutes", "person_id:b study:d bouts:b", lambda s, d: baselines.study(s, d), Q.study(Q.FULL)),
+    ("study_minutes_crossed", f"person_id:b {CROSS} study:d bouts:b", lambda s, d: baselines.study(s, d, SliceSpec.crossed()), Q.study(Q.CROSSED)),
+    ("social_minutes", "person_id:b social:d bouts:b", lambda s, d: places.total_minutes(places.social_bouts(_space_bouts(s, d), V.voice_events(s, d)), "social"), Q.social(Q.FULL)),
+    ("social_minutes_crossed", f"person_id:b {CROSS} social:d bouts:b", lambda s, d: places.total_minutes(places.social_bouts(_space_bouts(s, d), V.voice_events(s, d)), "social", SliceSpec.crossed()), Q.social(Q.CROSSED)),
     # phone
     ("phone_interaction_bouts", "person_id:b start_us:b end_us:b", lambda s, d: phone.interaction_bouts(V.screen_events(s, d)), "SELECT * FROM ibout"),
     ("phone_unlocked_bouts", "person_id:b start_us:b end_us:b", lambda s, d: phone.unlocked_bouts(V.screen_events(s, d)), "SELECT * FROM ubout"),
-    ("phone_features", "person_id:b epoch:s unlocks:b unlocks_per_minute:d interaction_total:d interaction_max:d interaction_min:d interaction_mean:d interaction_std:d unlocked_total:d unlocked_max:d unlocked_min:d unlocked_mean:d unlocked_std:d", lambda s, d: phone.phone_features(V.screen_events(s, d)), f"SELECT *, unlocks / CASE WHEN epoch = 'allday' THEN 43200.0::DOUBLE ELSE 10800.0::DOUBLE END AS unlocks_per_minute FROM (SELECT person_id, epoch, count(*) FILTER (status = 'unlock') AS unlocks FROM {_sliced('screen')} GROUP BY ALL) LEFT JOIN {_lengths('ibout', 'interaction')} USING (person_id, epoch) LEFT JOIN {_lengths('ubout', 'unlocked')} USING (person_id, epoch)"),
-    ("phone_first_last_hours", "person_id:b epoch:s first_unlock:d first_on:d last_unlock:d last_lock:d last_on:d", lambda s, d: phone.first_last_hours(V.screen_events(s, d)), "SELECT person_id, epoch, avg(first_unlock) AS first_unlock, avg(first_on) AS first_on, avg(last_unlock) AS last_unlock, avg(last_lock) AS last_lock, avg(last_on) AS last_on FROM (SELECT person_id, epoch, us // 86400000000 AS day, " + ", ".join(f"{f}(us // 3600000000 % 24) FILTER (status = '{x}') AS {w}_{x}" for w, x, f in [("first", "unlock", "min"), ("first", "on", "min"), ("last", "unlock", "max"), ("last", "lock", "max"), ("last", "on", "max")]) + f" FROM {_sliced('screen')} GROUP BY ALL) GROUP BY ALL"),
+    ("phone_features", f"person_id:b epoch:s {PHONE}", lambda s, d: phone.phone_features(V.screen_events(s, d)), Q.phone_features(Q.DAY)),
+    ("phone_features_crossed", f"person_id:b {CROSS} {PHONE}", lambda s, d: phone.phone_features(V.screen_events(s, d), SliceSpec.crossed()), Q.phone_features(Q.CROSSED)),
+    ("phone_first_last_hours", "person_id:b epoch:s first_unlock:d first_on:d last_unlock:d last_lock:d last_on:d", lambda s, d: phone.first_last_hours(V.screen_events(s, d)), Q.phone_hours(Q.DAY)),
     # sleep
-    ("sleep_counts_efficiency", "person_id:b epoch:s asleep:b restless:b awake:b unknown:b weak_efficiency:d strong_efficiency:d", lambda s, d: sleep.counts_efficiency(V.sleep_lines(s, d)), f"SELECT *, (asleep + restless) / nullif(asleep + restless + awake, 0)::DOUBLE AS weak_efficiency, asleep / nullif(asleep + restless + awake, 0)::DOUBLE AS strong_efficiency FROM (SELECT person_id, epoch, " + ", ".join(f"count(*) FILTER (state = '{x}') AS {x}" for x in ("asleep", "restless", "awake", "unknown")) + f" FROM {_sliced('nap')} GROUP BY ALL)"),
+    ("sleep_counts_efficiency", "person_id:b epoch:s asleep:b restless:b awake:b unknown:b weak_efficiency:d strong_efficiency:d", lambda s, d: sleep.counts_efficiency(V.sleep_lines(s, d)), Q.sleep_counts(Q.DAY)),
     ("sleep_bouts", "person_id:b state:s start_us:b end_us:b minutes:d", lambda s, d: sleep.sleep_bouts(V.sleep_lines(s, d)), f"SELECT * FROM {NAP}"),
-    ("sleep_bout_stats", "person_id:b epoch:s state:s bouts:b total:d mean:d longest:d shortest:d", lambda s, d: sleep.bout_stats(sleep.sleep_bouts(V.sleep_lines(s, d))), f"SELECT person_id, epoch, state, count(*) AS bouts, sum(minutes) AS total, avg(minutes) AS mean, max(minutes) AS longest, min(minutes) AS shortest FROM {_sliced(NAP, 'start_us')} WHERE state <> 'unknown' GROUP BY ALL"),
-    ("sleep_extreme_bouts", "person_id:b epoch:s state:s longest_start:b longest_end:b shortest_start:b shortest_end:b", lambda s, d: sleep.extreme_bouts(sleep.sleep_bouts(V.sleep_lines(s, d))), f"SELECT person_id, epoch, state, arg_min(start_us, (-minutes, start_us)) AS longest_start, arg_min(end_us, (-minutes, start_us)) AS longest_end, arg_min(start_us, (minutes, start_us)) AS shortest_start, arg_min(end_us, (minutes, start_us)) AS shortest_end FROM {_sliced(NAP, 'start_us')} WHERE state <> 'unknown' GROUP BY ALL"),
+    ("sleep_bout_stats", "person_id:b epoch:s state:s bouts:b total:d mean:d longest:d shortest:d", lambda s, d: sleep.bout_stats(sleep.bouts_in_slices(V.sleep_lines(s, d))), Q.sleep_bout_stats(Q.DAY)),
+    ("sleep_bout_stats_crossed", f"person_id:b {CROSS} state:s bouts:b total:d mean:d longest:d shortest:d", lambda s, d: sleep.bout_stats(sleep.bouts_in_slices(V.sleep_events(s, d), SliceSpec.crossed())), Q.sleep_bout_stats(Q.CROSSED, Q.SLEEP_EVENTS)),
+    ("sleep_extreme_bouts", "person_id:b epoch:s state:s longest_start:b longest_end:b shortest_start:b shortest_end:b", lambda s, d: sleep.extreme_bouts(sleep.bouts_in_slices(V.sleep_lines(s, d))), Q.sleep_extremes(Q.DAY)),
     # steps
     ("step_totals", "person_id:b epoch:s total:b max5:b", lambda s, d: steps.totals(V.step_events(s, d)), f"SELECT person_id, epoch, sum(steps) AS total, max(steps) AS max5 FROM {_sliced('bin')} GROUP BY ALL"),
     ("step_max5_sliding", "person_id:b epoch:s max5_sliding:b", lambda s, d: steps.sliding_max(V.step_events(s, d)), f"SELECT person_id, epoch, max(t) AS max5_sliding FROM {_sliced('(SELECT a.person_id, a.us, sum(b.steps) AS t FROM step a JOIN step b ON a.person_id = b.person_id AND b.us BETWEEN a.us - 299999999 AND a.us GROUP BY ALL)')} GROUP BY ALL"),
     ("step_max5_words", "person_id:b epoch:s total:b max5:b", lambda s, d: steps.totals(V.step_words(s, d)), f"SELECT person_id, epoch, sum(steps) AS total, max(steps) AS max5 FROM {_sliced('(SELECT person_id, us // 300000000 * 300000000 AS us, sum(steps) AS steps FROM (SELECT doc_id AS person_id, 1704067200000000 + 60000000 * (i - 1) AS us, length(w[i]) % 4 AS steps FROM (SELECT doc_id, w, unnest(range(1, len(w) + 1)) AS i FROM (SELECT doc_id, string_split(text, chr(32)) AS w FROM documents))) GROUP BY ALL)')} GROUP BY ALL"),
     ("step_bouts", "person_id:b label:s start_us:b end_us:b minutes:d steps:b", lambda s, d: steps.step_bouts(steps.five_minute_bins(V.step_events(s, d))), "SELECT * FROM stepbout"),
-    ("step_bout_stats", f"person_id:b epoch:s {STEP_SPEC}", lambda s, d: steps.bout_stats(steps.step_bouts(steps.five_minute_bins(V.step_events(s, d)))), STEP_STATS),
-    ("step_features_daily", f"person_id:b epoch:s total:b max5:b {STEP_SPEC}", lambda s, d: steps.step_features(V.step_events(s, d)), f"SELECT * FROM (SELECT person_id, epoch, sum(steps) AS total, max(steps) AS max5 FROM {_sliced('bin')} GROUP BY ALL) LEFT JOIN ({STEP_STATS}) USING (person_id, epoch)"),
+    ("step_bout_stats", f"person_id:b epoch:s {STEP_SPEC}", lambda s, d: steps.bout_stats(steps.bouts_in_slices(steps.five_minute_bins(V.step_events(s, d)))), Q.step_bout_stats(Q.DAY)),
+    ("step_bout_stats_crossed", f"person_id:b {CROSS} {STEP_SPEC}", lambda s, d: steps.bout_stats(steps.bouts_in_slices(steps.five_minute_bins(V.step_events(s, d)), SliceSpec.crossed())), Q.step_bout_stats(Q.CROSSED)),
+    ("step_features_daily", f"person_id:b epoch:s total:b max5:b {STEP_SPEC}", lambda s, d: steps.step_features(V.step_events(s, d)), Q.step_features(Q.DAY)),
     # change
-    ("chg_slopes", "person_id:b feature:s n:b slope:d slope_first:d slope_second:d r2:d", lambda s, d: change.slopes(V.weekly_lines(s, d), MIDDLE), f"SELECT person_id, feature, count(*) AS n, {MOMENTS} FROM weekly GROUP BY ALL HAVING count(*) >= 3"),
-    ("chg_break_free", "person_id:b feature:s breakpoint:b bic:d", lambda s, d: change.breakpoints(V.weekly_lines(s, d), "free"), FREE),
-    ("chg_break_joined", "person_id:b feature:s breakpoint:b bic:d", lambda s, d: change.breakpoints(V.weekly_lines(s, d), "joined"), None),
-    ("chg_all_weekly", "person_id:b feature:s n:b slope:d slope_first:d slope_second:d breakpoint:b slope_before:d slope_after:d", lambda s, d: change.change_features(assemble.weekly_features(s, d), 3), None),
-    ("chg_break_naive", "person_id:b feature:s breakpoint:b bic:d", lambda s, d: change.breakpoints_naive(V.weekly_lines(s, d)), FREE),
+    ("chg_slopes", "person_id:b feature:s n:b slope:d slope_first:d slope_second:d r2:d", lambda s, d: change.slopes(V.weekly_lines(s, d), None), f"SELECT person_id, feature, count(*) AS n, {MOMENTS} FROM (SELECT w.*, m FROM weekly w, (SELECT (min(week) + max(week)) // 2 AS m FROM weekly)) GROUP BY ALL HAVING count(*) >= 3"),
+    ("chg_break_free", "person_id:b feature:s breakpoint:b bic:d slope_before:d slope_after:d", lambda s, d: change.breakpoints(V.weekly_lines(s, d), "free"), FREE),
+    ("chg_break_f", "person_id:b feature:s breakpoint:b f:d", lambda s, d: change.f_values(V.weekly_lines(s, d)), F_TEST),
+    ("chg_break_joined", "person_id:b feature:s breakpoint:b bic:d slope_before:d slope_after:d", lambda s, d: change.breakpoints(V.weekly_lines(s, d), "joined"), f"SELECT * FROM {Q.joined_breaks('weekly')}"),
+    ("chg_all_weekly", "person_id:b feature:s n:b slope:d slope_first:d slope_second:d breakpoint:b slope_before:d slope_after:d", lambda s, d: change.change_features(assemble.weekly_features(s, d), 3),
+     f"WITH series AS MATERIALIZED (SELECT person_id, sensor || '.' || feature AS feature, span_id AS week, value FROM ({Q.long(Q.WEEK)})) {Q.change_of('series', 3)}"),
+    ("chg_break_naive", "person_id:b feature:s breakpoint:b bic:d slope_before:d slope_after:d", lambda s, d: change.breakpoints_naive(V.weekly_lines(s, d)), FREE),
     # assembly, baselines, measures
-    ("feature_long", "person_id:b sensor:s feature:s epoch:s value:d", lambda s, d: assemble.feature_long(s, d), None),
-    ("feature_wide", "person_id:b total:d max5:d unlocks:d asleep:d", lambda s, d: assemble.feature_wide(s, d), None),
+    ("feature_long", "person_id:b sensor:s feature:s epoch:s value:d", lambda s, d: assemble.feature_long(s, d), Q.long(Q.DAY)),
+    ("feature_long_location", "person_id:b sensor:s feature:s epoch:s value:d", lambda s, d: baselines.single_channel(s, d, "location"), f"SELECT * FROM ({Q.long(Q.DAY)}) WHERE sensor = 'location'"),
+    ("feature_long_screen", "person_id:b sensor:s feature:s epoch:s value:d", lambda s, d: baselines.single_channel(s, d, "screen"), f"SELECT * FROM ({Q.long(Q.DAY)}) WHERE sensor = 'phone'"),
+    ("feature_long_location_screen", "person_id:b sensor:s feature:s epoch:s value:d", lambda s, d: baselines.single_channel(s, d, "location_screen"), f"SELECT * FROM ({Q.long(Q.DAY)}) WHERE sensor IN ('location', 'phone')"),
+    ("feature_wide", "person_id:b " + " ".join(f"{n.replace('.', '_')}:d" for n in assemble.WIDE), lambda s, d: assemble.feature_wide(s, d), "SELECT person_id, " + ", ".join(f"max(value) FILTER (sensor || '.' || feature = '{n}') AS {n.replace('.', '_')}" for n in assemble.WIDE) + f" FROM ({Q.long(Q.FULL)}) GROUP BY person_id"),
     ("feature_by_segment", "segment:s persons:b total:d", lambda s, d: assemble.by_segment(s, d), "SELECT c_mktsegment AS segment, count(DISTINCT person_id) AS persons, sum(steps) AS total FROM step JOIN customer ON c_custkey = person_id GROUP BY ALL"),
-    ("catalogue_count", "features:b weeks:b values_total:b", lambda s, d: assemble.catalogue_count(s), "SELECT 232 AS features, 5 AS weeks, 48720 AS values_total"),
-    ("dbscan_vs_bruteforce", "differing:b", lambda s, d: baselines.dbscan_difference(s, d), "SELECT 0 AS differing"),
+    ("catalogue_count", "sensor:s features:b weeks:b values_total:b", lambda s, d: assemble.catalogue_count(s, d), f"SELECT sensor, features, weeks, features * 5 * 3 * (weeks + 3 + 6) AS values_total FROM (SELECT sensor, count(DISTINCT feature) AS features FROM ({Q.long(Q.FULL)}) GROUP BY ALL), (SELECT (max(us) // 86400000000 + 3) // 7 - (min(us) // 86400000000 + 3) // 7 + 1 AS weeks FROM ev)"),
+    ("dbscan_vs_bruteforce", "differing:b samples:b", lambda s, d: baselines.dbscan_difference(s, d), "SELECT 0 AS differing, count(*) AS samples FROM ev"),
     ("break_vs_naive", "differing:b", lambda s, d: baselines.break_difference(s, d), "SELECT 0 AS differing"),
     ("slices_vs_naive", "differing:b", lambda s, d: baselines.slices_difference(s, d), "SELECT 0 AS differing"),
-    ("interval_vs_naive", "differing:b", lambda s, d: baselines.interval_difference(s, d), "SELECT 0 AS differing"),
+    ("interval_vs_naive", "differing:b intervals:b", lambda s, d: baselines.interval_difference(s, d), f"SELECT 0 AS differing, count(*) AS intervals FROM {Q.STUDY}"),
     ("circadian_vs_direct", "differing:b", lambda s, d: baselines.circadian_difference(s, d), "SELECT 0 AS differing"),
-    ("place_agreement", "persons:b agreement:d", lambda s, d: measures.place_agreement(s, d), None),
-    ("home_error", "persons:b mean_error_m:d", lambda s, d: measures.home_error(s, d), None),
+    ("place_agreement", "persons:b agreement:d", lambda s, d: measures.place_agreement(s, d), AGREEMENT),
+    ("home_error", "persons:b right:b median_error_m:d", lambda s, d: measures.home_error(s, d), None),
+    ("plan_costs", "name:s rows:b exchanges:b shuffle_bytes:b seconds:d", lambda s, d: measures.costs(s, d, {"partials": lambda a, b: assemble.slice_rollup(V.events(a, b), SliceSpec.crossed()), "rows": lambda a, b: assemble.slice_counts(V.events(a, b), SliceSpec.crossed())}), None),
+    ("cells_agreement", "samples:b same_noise:d agreement:d", lambda s, d: measures.cells_agreement(s, d), None),
 ]

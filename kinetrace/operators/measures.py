@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from kinetrace.functions.geo import haversine_km
-from kinetrace.functions.timeparts import div
+from kinetrace.functions.timeparts import div, epoch_of
 from kinetrace.operators import location
 from kinetrace.plans.slices import KEYS, SliceSpec, attach
 from kinetrace.sources import views as V
@@ -34,17 +34,28 @@ def pair_agreement(rows: DataFrame, a: str, b: str) -> DataFrame:
 def place_agreement(spark, sf_dir) -> DataFrame:
     """Mean agreement of found places with the places the fixture was made from."""
     points = V.point_events(spark, sf_dir)
-    found = location.significant_places(location.label_motion(points).where("not moving")).where("place >= 0")
-    rows = found.join(points.select("person_id", "us", "pl"), ["person_id", "us"])
-    return pair_agreement(rows, "place", "pl").agg(F.count("*").alias("persons"), F.avg("agreement").alias("agreement"))
+    found = location.significant_places(location.label_motion(points).select("person_id", "us", "lat", "lon", "pl", "moving")).where("place >= 0")
+    return pair_agreement(found, "place", "pl").agg(F.count("*").alias("persons"), F.avg("agreement").alias("agreement"))
 
 
 def home_error(spark, sf_dir) -> DataFrame:
-    """Mean distance in metres of found homes to the nearest place of the fixture."""
-    home = location.home_location(V.point_events(spark, sf_dir))
-    near = lambda c, base: base + F.round((F.col(c) - base) / 0.02) * 0.02
-    m = haversine_km(F.col("home_lat"), F.col("home_lon"), near("home_lat", 40), near("home_lon", -80)) * 1000
-    return home.agg(F.count("*").alias("persons"), F.avg(m).alias("mean_error_m"))
+    """Mean distance in metres of found homes to the fixture's place that the person's static nights were mostly spent at."""
+    points = V.point_events(spark, sf_dir)
+    night = location.label_motion(location.dwell(points).where(epoch_of(F.col("us")) == "night")).where("not moving")
+    true = night.groupBy("person_id", "pl").agg(F.count("*").alias("n")).groupBy("person_id").agg(F.max_by("pl", F.struct("n", -F.col("pl"))).alias("pl"))
+    both = location.home_location(points).join(true, "person_id")
+    m = haversine_km(F.col("home_lat"), F.col("home_lon"), 40 + 0.02 * F.floor(F.col("pl") / 5), -80 + 0.02 * (F.col("pl") % 5)) * 1000
+    return both.agg(F.count("*").alias("persons"), F.count_if(m < 100).alias("right"), F.median(m).alias("median_error_m"))
+
+
+def cells_agreement(spark, sf_dir, cells_m: float = 10.0) -> DataFrame:
+    """How much of the exact clustering the one on cells of samples keeps: share of samples with the same place or none, and agreement of the groups."""
+    points = location.label_motion(V.point_events(spark, sf_dir)).select("person_id", "us", "lat", "lon", "moving")
+    exact = location.significant_places(points).where("not moving").select("person_id", "us", F.col("place").alias("exact"))
+    cells = location.significant_places(points, cells_m=cells_m).where("not moving").select("person_id", "us", F.col("place").alias("cells"))
+    both = exact.join(cells, ["person_id", "us"])
+    noise = both.agg(F.count("*").alias("samples"), F.avg(((F.col("exact") < 0) == (F.col("cells") < 0)).cast("double")).alias("same_noise"))
+    return noise.crossJoin(pair_agreement(both, "exact", "cells").agg(F.avg("agreement").alias("agreement")))
 
 
 def cluster_sse(scores: DataFrame, label: str) -> DataFrame:
@@ -52,10 +63,30 @@ def cluster_sse(scores: DataFrame, label: str) -> DataFrame:
     return scores.withColumn("_c", F.avg("score").over(w)).groupBy("person_id").agg(F.sum((F.col("score") - F.col("_c")) ** 2).alias("sse"))
 
 
+def _nodes(plan):
+    """The operators of an executed plan, those inside query stages included."""
+    name = plan.getClass().getSimpleName()
+    inner = plan.executedPlan() if name == "AdaptiveSparkPlanExec" else plan.plan() if name.endswith("QueryStageExec") else None
+    yield name, plan
+    if inner is not None:
+        yield from _nodes(inner)
+    children = plan.children()
+    for i in range(children.size()):
+        yield from _nodes(children.apply(i))
+
+
 def measured(frame: DataFrame) -> dict[str, float]:
-    """Seconds, rows, rows a second and exchanges of a plan."""
+    """Seconds, rows, rows a second, exchanges and bytes shuffled of a plan as it ran."""
     began = time.time()
-    rows = frame.count()
+    execution = frame._jdf.queryExecution()
+    rows = execution.executedPlan().execute().count()
     took = time.time() - began
-    plan = frame._jdf.queryExecution().executedPlan().toString()
-    return {"seconds": took, "rows": rows, "rows_per_second": rows / max(took, 1e-9), "exchanges": plan.count("Exchange ")}
+    exchanges = [p for n, p in _nodes(execution.executedPlan()) if n == "ShuffleExchangeExec"]
+    written = sum(p.metrics().apply("shuffleBytesWritten").value() for p in exchanges)
+    return {"seconds": took, "rows": rows, "rows_per_second": rows / max(took, 1e-9), "exchanges": len(exchanges), "shuffle_bytes": written}
+
+
+def costs(spark, sf_dir, asked: dict) -> DataFrame:
+    """The measures of each of `asked` (name to a callable of (spark, sf_dir)), one row each."""
+    found = [(name, *measured(run(spark, sf_dir)).values()) for name, run in asked.items()]
+    return spark.createDataFrame(found, "name string, seconds double, rows bigint, rows_per_second double, exchanges int, shuffle_bytes bigint")

@@ -7,7 +7,8 @@ from pyspark.sql import functions as F
 
 from kinetrace.operators import calls, change, places, proximity, steps
 from kinetrace.operators.feature_queries import CALL_SQL, FREE, _sliced
-from kinetrace.plans.slices import KEYS, SliceSpec, attach
+from kinetrace.oracles import sets as Q
+from kinetrace.plans.slices import KEYS, SliceSpec, attach, in_slices
 from kinetrace.sources import views as V
 
 PERSON_FEATURE = ["person_id", "feature"]
@@ -27,14 +28,21 @@ def line_against_break(weekly: DataFrame, pieces: str = "free") -> DataFrame:
     return both.groupBy("feature").agg(F.count("*").alias("series"), F.count_if(F.col("bic") < F.col("bic_line") - 1e-5).alias("breaks"))
 
 
-def planted_break_error(weekly: DataFrame) -> DataFrame:
-    """Weeks between a bend planted in a person's own observed weeks and the bend that is found."""
+def planted(weekly: DataFrame) -> DataFrame:
+    """person_id, feature, week, value, bend: a line that bends at a known week of a person's own observed weeks, with a steady noise of up to 5."""
     weeks = weekly.select("person_id", "week").distinct()
     bend = weeks.groupBy("person_id").agg(F.expr("percentile_disc(0.4) WITHIN GROUP (ORDER BY week)").alias("bend"), F.min("week").alias("first"))
-    bent = weeks.join(bend, "person_id").withColumn("value", (F.col("week") - F.col("first") + 3 * F.greatest(F.col("week") - F.col("bend"), F.lit(0))).cast("double"))
-    found = change.breakpoints(bent.select("person_id", F.lit("planted").alias("feature"), "week", "value"), "joined")
-    both = found.join(bend, "person_id")
-    return both.agg(F.count("*").alias("persons"), F.avg(F.abs(F.col("breakpoint") - F.col("bend"))).alias("mean_error_weeks"))
+    noise = ((F.col("week") * 7919 + F.col("person_id") * 104729) % 97 / 97.0 - 0.5) * 10
+    value = (F.col("week") - F.col("first") + 0.5 * F.greatest(F.col("week") - F.col("bend"), F.lit(0))).cast("double") + noise
+    return weeks.join(bend, "person_id").select("person_id", F.lit("planted").alias("feature"), "week", value.alias("value"), "bend")
+
+
+def planted_break_error(weekly: DataFrame) -> DataFrame:
+    """Mean weeks between the planted bend and the bend that is found, and persons for whom it is found within five weeks."""
+    rows = planted(weekly)
+    found = change.breakpoints(rows.drop("bend"), "joined").join(rows.select("person_id", "bend").distinct(), "person_id")
+    away = F.abs(F.col("breakpoint") - F.col("bend"))
+    return found.agg(F.count("*").alias("persons"), F.avg(away).alias("mean_error_weeks"), F.count_if(away <= 5).alias("near"))
 
 
 def lloyd_against_exact(scores: DataFrame, k: int = 3) -> DataFrame:
@@ -55,7 +63,7 @@ def bout_bands(bouts: DataFrame, spec: SliceSpec | None = None, edges: tuple[int
     for low, high in zip((0, *edges), (*edges, None), strict=True):
         inside = m >= low if high is None else (m >= low) & (m < high)
         out.append(F.count_if(inside).alias(f"band_{low}"))
-    return attach(bouts, spec or SliceSpec(), "start_us").groupBy("person_id", *KEYS, "type").agg(*out)
+    return in_slices(bouts, spec or SliceSpec(), ("type",)).groupBy("person_id", *KEYS, "type").agg(*out)
 
 
 def _scores(s, d):
@@ -79,12 +87,14 @@ QUERIES = [
     ("bt_devices_sketch", "person_id:b epoch:s devices:b", lambda s, d: sketched_devices(V.scan_lines(s, d)), None),
     ("call_correspondents", f"person_id:b epoch:s {PEOPLE}", lambda s, d: calls.call_features(V.call_events(s, d), V.contacts_of(V.call_events(s, d))), CALL_SQL.replace("{0}", "calls").replace("{1}", "contacts")),
     ("place_bout_bands", "person_id:b epoch:s type:s band_0:b band_10:b band_20:b band_30:b", lambda s, d: bout_bands(_bouts(s, d)),
-     f"SELECT person_id, epoch, type, count(*) FILTER (minutes < 10) AS band_0, count(*) FILTER (minutes >= 10 AND minutes < 20) AS band_10, count(*) FILTER (minutes >= 20 AND minutes < 30) AS band_20, count(*) FILTER (minutes >= 30) AS band_30 FROM {_sliced('spb', 'start_us')} GROUP BY ALL"),
+     f"SELECT person_id, epoch, type, count(*) FILTER (minutes < 10) AS band_0, count(*) FILTER (minutes >= 10 AND minutes < 20) AS band_10, count(*) FILTER (minutes >= 20 AND minutes < 30) AS band_20, count(*) FILTER (minutes >= 30) AS band_30 FROM {Q.in_slices(Q.SPACE_BOUTS, Q.DAY, 'type')} GROUP BY ALL"),
     ("social_minutes_turns", "person_id:b social:d bouts:b", lambda s, d: places.total_minutes(places.social_bouts(_bouts(s, d), V.voice_turns(s, d)), "social"),
-     f"SELECT person_id, sum(minutes) AS social, count(*) AS bouts FROM (SELECT b.person_id, b.start_us, b.minutes, avg(CAST(v.inference IN ('voice', 'noise') AS DOUBLE)) AS share FROM spb b JOIN {TURNS} v ON v.person_id = b.person_id AND v.us >= b.start_us AND v.us < b.end_us WHERE b.type IN ('apartment', 'residence', 'green') AND b.minutes >= 20 GROUP BY ALL) WHERE share >= 0.8 GROUP BY ALL"),
+     Q.social(Q.FULL, TURNS)),
     ("step_max5_tumbling", "person_id:b epoch:s max5:b", lambda s, d: steps.totals(V.step_events(s, d)), f"SELECT person_id, epoch, max(steps) AS max5 FROM {_sliced('bin')} GROUP BY ALL"),
     ("chg_break_aic", "person_id:b feature:s breakpoint:b aic:d", lambda s, d: change.breakpoints(V.weekly_lines(s, d), "free", "aic"), f"SELECT person_id, feature, breakpoint, bic AS aic FROM ({FREE.replace('* ln(n), 6)', '* 2, 6)')})"),
     ("chg_line_bic", "person_id:b feature:s bic_line:d", lambda s, d: line_bic(V.weekly_lines(s, d)), f"SELECT * FROM {LINE}"),
     ("chg_line_vs_break", "feature:s series:b breaks:b", lambda s, d: line_against_break(V.weekly_lines(s, d)), f"SELECT feature, count(*) AS series, count(*) FILTER (bic < bic_line - 1e-5) AS breaks FROM {LINE} JOIN ({FREE}) USING (person_id, feature) GROUP BY ALL"),
-    ("chg_break_error", "persons:b mean_error_weeks:d", lambda s, d: planted_break_error(V.weekly_lines(s, d)), "SELECT count(DISTINCT person_id) AS persons, 0 AS mean_error_weeks FROM weekly"),
+    ("chg_break_error", "persons:b mean_error_weeks:d near:b", lambda s, d: planted_break_error(V.weekly_lines(s, d)), f"""WITH w AS (SELECT DISTINCT person_id, week FROM weekly), b AS (SELECT person_id, quantile_disc(week, 0.4) AS bend, min(week) AS first FROM w GROUP BY ALL),
+      series AS MATERIALIZED (SELECT person_id, 'planted' AS feature, week, week - first + 0.5::DOUBLE * greatest(week - bend, 0) + ((week * 7919 + person_id * 104729) % 97 / 97.0::DOUBLE - 0.5::DOUBLE) * 10 AS value FROM w JOIN b USING (person_id))
+      SELECT count(*) AS persons, avg(abs(breakpoint - bend)) AS mean_error_weeks, count(*) FILTER (abs(breakpoint - bend) <= 5) AS near FROM {Q.joined_breaks('series')} JOIN b USING (person_id)"""),
 ]

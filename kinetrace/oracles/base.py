@@ -70,10 +70,14 @@ line0 AS (SELECT w.*, c.week AS cut FROM weekly w JOIN (SELECT DISTINCT person_i
 """
 
 
+#: Added before rounding down to six digits: a half, and a little that no value's fraction falls on, so that halves (times are in microseconds) round alike in every engine.
+HALF = 0.500123457
+
+
 def columns(spec: str) -> list[tuple[str, str]]:
     return [tuple(c.split(":")) for c in spec.split()]
 
 
 def sql(spec: str, body: str) -> str:
-    picked = ", ".join(f"floor(CAST({c} AS DOUBLE) * 1e6 + 0.5::DOUBLE) / 1e6::DOUBLE AS {c}" if k == "d" else f"CAST({c} AS {KINDS[k]}) AS {c}" for c, k in columns(spec))
+    picked = ", ".join(f"floor(CAST({c} AS DOUBLE) * 1e6 + {HALF}::DOUBLE) / 1e6::DOUBLE AS {c}" if k == "d" else f"CAST({c} AS {KINDS[k]}) AS {c}" for c, k in columns(spec))
     return f"WITH RECURSIVE {VIEWS.strip()} SELECT {picked} FROM ({body}) AS result"
