@@ -56,11 +56,42 @@ def _lateral(s, d):
     return c.lateralJoin(top).select(F.col("c_custkey").alias("person_id"), "o_orderkey", "o_totalprice")
 
 
+def cleaned(rows: DataFrame, key: list[str]) -> DataFrame:
+    """Records with a time, a value that isn't negative, and each key once (the earliest of equals)."""
+    first = F.row_number().over(Window.partitionBy(*key).orderBy("us"))
+    return rows.where(F.col("us").isNotNull() & (F.col("value") >= 0)).withColumn("_nth", first).where("_nth = 1").drop("_nth")
+
+
+def _cleaning(s, d):
+    """The events with rows uploaded twice, negative values and missing times, cleaned; what went and why."""
+    e = E(s, d).select("event_id", "us", "value", "k")
+    dirty = e.union(e.where("k < 20")).union(e.where("k = 30").withColumn("value", F.lit(-1.0))).union(e.where("k = 40").withColumn("us", F.lit(None).cast("bigint")))
+    bad = dirty.agg(F.count("*").alias("given"), F.count_if(F.col("us").isNull()).alias("missing"), F.count_if(F.col("value") < 0).alias("negative"))
+    kept = cleaned(dirty, ["event_id"]).agg(F.count("*").alias("kept"), F.sum("value").alias("total"))
+    return bad.join(F.broadcast(kept)).withColumn("repeated", F.col("given") - F.col("missing") - F.col("negative") - F.col("kept"))
+
+
 def _sketches(s, d):
-    """Relative errors of the sketches, in range or not."""
-    li = V.table(s, d, "lineitem")
-    r = li.agg(F.approx_count_distinct("l_partkey", 0.02).alias("a"), F.count_distinct("l_partkey").alias("e"), F.percentile_approx("l_quantity", 0.5, 1000).alias("q"), F.percentile("l_quantity", 0.5).alias("p"))
-    return r.select((F.abs(F.col("a") / F.col("e") - 1) < 0.1).cast("int").alias("distinct_ok"), (F.abs(F.col("q") - F.col("p")) <= 1).cast("int").alias("median_ok"))
+    """Estimates of sketches of bounded size beside the exact values; ok: within the sketch's error."""
+    li = V.table(s, d, "lineitem").select("l_partkey", F.col("l_extendedprice").alias("p"))
+    kll = F.kll_sketch_agg_double("p")
+    r = li.agg(
+        F.approx_count_distinct("l_partkey", 0.02).cast("double").alias("hll"), F.count_distinct("l_partkey").cast("double").alias("distinct"), F.percentile_approx("p", 0.5, 10000).alias("gk"), kll.alias("sketch"), F.percentile("p", 0.5).alias("median"), F.stddev_pop("p").alias("sd"),
+    )
+    near = lambda e, x, most: (F.abs(F.col(e) - F.col(x)) <= most).cast("int")
+    r = r.withColumn("kll", F.kll_sketch_get_quantile_double("sketch", F.lit(0.5)))
+    rows = F.array(*(F.struct(F.lit(n).alias("sketch"), F.col(x).alias("exact"), ok.alias("ok")) for n, x, ok in (("hll", "distinct", near("hll", "distinct", 0.1 * F.col("distinct"))), ("gk", "median", near("gk", "median", 0.05 * F.col("sd"))), ("kll", "median", near("kll", "median", 0.1 * F.col("sd"))))))
+    return r.select(F.explode(rows).alias("x")).select("x.*")
+
+
+def _bucketed(s, d):
+    """Steps written as a table bucketed by person and joined with itself by day: the join reads the buckets without a shuffle."""
+    import uuid
+
+    name = f"kinetrace_steps_{uuid.uuid4().hex}"
+    V.step_events(s, d).withColumn("day", F.floor(F.col("us") / 86_400_000_000.0)).write.bucketBy(8, "person_id").sortBy("person_id", "us").format("parquet").saveAsTable(name)
+    rows = s.table(name)
+    return rows.groupBy("person_id").agg(F.sum("steps").alias("total")).join(rows.groupBy("person_id").agg(F.count_distinct("day").alias("days")).hint("merge"), "person_id")
 
 
 def _roundtrip(s, d):
@@ -124,11 +155,12 @@ def _udaf(s, d):
 COLS = "person_id:b us:b "
 QUERIES = [
     ("op_scan_filter_project", "event_id:b k:b value:d", lambda s, d: _cells(s, d).where("epoch = 'morning' and value between 20 and 80").select("event_id", "k", "value"), f"SELECT event_id, k, value FROM ev WHERE {ep('us')} = 'morning' AND value BETWEEN 20 AND 80"),
-    ("op_clean_records", "kept:b dropped:b", lambda s, d: E(s, d).agg(F.count_if((F.col("value") >= 0) & F.col("ts").isNotNull()).alias("kept"), F.count_if(~((F.col("value") >= 0) & F.col("ts").isNotNull())).alias("dropped")), "SELECT count(*) FILTER (value >= 0) AS kept, count(*) FILTER (NOT value >= 0) AS dropped FROM ev"),
+    ("op_clean_records", "given:b missing:b negative:b repeated:b kept:b total:d", _cleaning, "SELECT n + twice + neg + gone AS given, gone AS missing, neg AS negative, twice AS repeated, n AS kept, total FROM (SELECT count(*) AS n, count(*) FILTER (k < 20) AS twice, count(*) FILTER (k = 30) AS neg, count(*) FILTER (k = 40) AS gone, sum(value) AS total FROM ev)"),
     ("op_join_broadcast", "nation:s n:b", lambda s, d: E(s, d).join(V.person_dim(s, d), "person_id").groupBy("nation").agg(F.count("*").alias("n")), "SELECT n_name AS nation, count(*) AS n FROM ev JOIN customer ON c_custkey = person_id JOIN nation ON n_nationkey = c_nationkey GROUP BY ALL"),
     ("op_join_sort_merge", "status:s n:b total:d", lambda s, d: V.table(s, d, "orders").hint("merge").join(V.table(s, d, "lineitem"), F.col("o_orderkey") == F.col("l_orderkey")).groupBy(F.col("o_orderstatus").alias("status")).agg(F.count("*").alias("n"), F.sum("l_quantity").alias("total")), "SELECT o_orderstatus AS status, count(*) AS n, sum(l_quantity) AS total FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY ALL"),
     ("op_join_shuffle_hash", "segment:s n:b", lambda s, d: V.table(s, d, "orders").join(V.table(s, d, "customer").hint("shuffle_hash"), F.col("o_custkey") == F.col("c_custkey")).groupBy(F.col("c_mktsegment").alias("segment")).agg(F.count("*").alias("n")), "SELECT c_mktsegment AS segment, count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY ALL"),
     ("op_join_outer", "person_id:b calls:b", lambda s, d: V.table(s, d, "customer").select(F.col("c_custkey").alias("person_id")).join(V.call_orders(s, d).groupBy("person_id").agg(F.count("*").alias("calls")), "person_id", "left").fillna(0, ["calls"]), "SELECT c_custkey AS person_id, count(o_orderkey) AS calls FROM customer LEFT JOIN (SELECT * FROM orders WHERE o_orderstatus IN ('O','F','P')) ON o_custkey = c_custkey GROUP BY ALL"),
+    ("op_join_full_outer", "person_id:b events:b calls:b", lambda s, d: E(s, d).where("k < 3").groupBy("person_id").agg(F.count("*").alias("events")).join(V.call_orders(s, d).where("correspondent < 2").groupBy("person_id").agg(F.count("*").alias("calls")), "person_id", "full"), "SELECT person_id, events, calls FROM (SELECT person_id, count(*) AS events FROM ev WHERE k < 3 GROUP BY ALL) FULL JOIN (SELECT o_custkey AS person_id, count(*) AS calls FROM orders WHERE o_orderstatus IN ('O','F','P') AND o_orderkey % 12 < 2 GROUP BY ALL) USING (person_id)"),
     ("op_join_semi", "doc_id:b", lambda s, d: V.table(s, d, "documents").join(V.table(s, d, "labels"), "doc_id", "left_semi").select("doc_id"), "SELECT doc_id FROM documents WHERE doc_id IN (SELECT doc_id FROM labels)"),
     ("op_join_anti", "doc_id:b", lambda s, d: V.table(s, d, "documents").join(V.table(s, d, "labels"), "doc_id", "left_anti").select("doc_id"), "SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM labels)"),
     ("op_join_range", "person_id:b start_us:b us:b", lambda s, d: range_join(phone.interaction_bouts(V.screen_events(s, d)), V.step_events(s, d)), "SELECT b.person_id, b.start_us, s.us FROM ibout b JOIN step s ON s.person_id = b.person_id AND s.us >= b.start_us AND s.us < b.end_us"),
@@ -144,7 +176,7 @@ QUERIES = [
     ("op_agg_rollup", "epoch:s event_type:s n:b", lambda s, d: _cells(s, d).rollup("epoch", "event_type").agg(F.count("*").alias("n")), f"SELECT epoch, event_type, count(*) AS n FROM (SELECT {ep('us')} AS epoch, event_type FROM ev) GROUP BY ROLLUP (epoch, event_type)"),
     ("op_agg_grouping_sets", "epoch:s daytype:s n:b", lambda s, d: _cells(s, d).groupingSets([["epoch"], ["daytype"]], "epoch", "daytype").agg(F.count("*").alias("n")), f"SELECT epoch, daytype, count(*) AS n FROM (SELECT {ep('us')} AS epoch, {DT} AS daytype FROM ev) GROUP BY GROUPING SETS ((epoch), (daytype))"),
     ("op_agg_percentiles", "event_type:s median:d p90:d", lambda s, d: E(s, d).groupBy("event_type").agg(F.percentile("value", 0.5).alias("median"), F.percentile("value", 0.9).alias("p90")), "SELECT event_type, quantile_cont(value, 0.5) AS median, quantile_cont(value, 0.9) AS p90 FROM ev GROUP BY ALL"),
-    ("op_agg_sketches", "distinct_ok:b median_ok:b", _sketches, None),
+    ("op_agg_sketches", "sketch:s exact:d ok:b", _sketches, "SELECT 'hll' AS sketch, count(DISTINCT l_partkey) AS exact, 1 AS ok FROM lineitem UNION ALL SELECT unnest(['gk', 'kll']), median(l_extendedprice), 1 FROM lineitem"),
     ("op_agg_collect_map", "person_id:b places:b entropy:d", lambda s, d: V.point_events(s, d).groupBy("person_id", "pl").count().groupBy("person_id").agg(F.map_from_entries(F.collect_list(F.struct("pl", "count"))).alias("m")).select("person_id", F.size("m").alias("places"), F.aggregate(F.map_values("m"), F.lit(0.0), lambda a, n: a + n * F.log(n.cast("double")), lambda a: F.log(F.aggregate(F.map_values("m"), F.lit(0.0), lambda x, n: x + n)) - a / F.aggregate(F.map_values("m"), F.lit(0.0), lambda x, n: x + n)).alias("entropy")), "SELECT person_id, count(*) AS places, ln(sum(n)) - sum(n * ln(n)) / sum(n) AS entropy FROM (SELECT person_id, pl, count(*) AS n FROM pt GROUP BY ALL) GROUP BY ALL"),
     ("op_pivot", "person_id:b night:b morning:b afternoon:b evening:b", lambda s, d: _cells(s, d).groupBy("person_id").pivot("epoch", ["night", "morning", "afternoon", "evening"]).count().fillna(0), "SELECT person_id, " + ", ".join(f"count(*) FILTER ({ep('us')} = '{e}') AS {e}" for e in ("night", "morning", "afternoon", "evening")) + " FROM ev GROUP BY ALL"),
     ("op_unpivot", "c_custkey:b field:s v:s", lambda s, d: V.table(s, d, "customer").select("c_custkey", "c_name", "c_mktsegment").unpivot("c_custkey", ["c_name", "c_mktsegment"], "field", "v"), "SELECT c_custkey, 'c_name' AS field, c_name AS v FROM customer UNION ALL SELECT c_custkey, 'c_mktsegment', c_mktsegment FROM customer"),
@@ -167,7 +199,8 @@ QUERIES = [
     ("op_udaf_grouped", "person_id:b spread:d", _udaf, "SELECT person_id, max(value) - min(value) AS spread FROM ev GROUP BY ALL"),
     ("op_udtf_clip", "person_id:b us:b minutes:d", _udtf, "SELECT person_id, greatest(start_us, f) AS us, (least(end_us, f + 21600000000) - greatest(start_us, f)) / 60e6::DOUBLE AS minutes FROM (SELECT *, unnest(range(start_us // 21600000000 * 21600000000, end_us, 21600000000)) AS f FROM ibout WHERE end_us > start_us)"),
     ("op_sql_view", "person_id:b total:b most:b", _sql_view, "SELECT person_id, sum(steps) AS total, max(steps) AS most FROM step GROUP BY ALL"),
+    ("op_sink_bucketed", "person_id:b total:b days:b", _bucketed, "SELECT person_id, sum(steps) AS total, count(DISTINCT us // 86400000000) AS days FROM step GROUP BY ALL"),
     ("op_sink_roundtrip", "kind:s differing:b", _roundtrip, None),
-    ("op_text_passthrough", "n:b", lambda s, d: V.table(s, d, "benchmark").join(V.table(s, d, "documents").select("text"), "text").agg(F.count("*").alias("n")), "SELECT count(*) AS n FROM benchmark JOIN documents USING (text)"),
+    ("op_text_passthrough", "kind:s texts:b rows:b", lambda s, d: V.table(s, d, "documents").select("text", F.lit("document").alias("kind")).union(V.table(s, d, "benchmark").select("text", F.lit("benchmark"))).groupBy("kind", "text").agg(F.count("*").alias("n")).join(V.table(s, d, "documents").groupBy("text").agg(F.count("*").alias("held")), "text", "left").groupBy("kind").agg(F.count_if(F.coalesce("held", F.lit(0)) > F.when(F.col("kind") == "document", 1).otherwise(0)).alias("texts"), F.sum("n").alias("rows")), "SELECT kind, count(*) FILTER (held > CASE kind WHEN 'document' THEN 1 ELSE 0 END) AS texts, sum(n) AS rows FROM (SELECT 'document' AS kind, text, count(*) AS n FROM documents GROUP BY ALL UNION ALL SELECT 'benchmark', text, count(*) FROM benchmark GROUP BY ALL) LEFT JOIN (SELECT text, count(*) AS held FROM documents GROUP BY ALL) USING (text) GROUP BY ALL"),
     ("op_dim_names", "person:s device:s scans:b", lambda s, d: V.table(s, d, "lineitem").groupBy("l_suppkey", "l_partkey").agg(F.count("*").alias("scans")).join(V.table(s, d, "supplier"), F.col("l_suppkey") == F.col("s_suppkey")).join(V.table(s, d, "part"), F.col("l_partkey") == F.col("p_partkey")).groupBy(F.col("s_name").alias("person"), F.col("p_name").alias("device")).agg(F.sum("scans").alias("scans")), "SELECT s_name AS person, p_name AS device, count(*) AS scans FROM lineitem JOIN supplier ON l_suppkey = s_suppkey JOIN part ON l_partkey = p_partkey GROUP BY ALL"),
 ]

@@ -16,10 +16,14 @@ END, ENDED = "2200-01-01 00:00:00", 7_226_000_000_000
 HOUR_US = 3_600_000_000
 
 
+def shared(spark: SparkSession) -> str:
+    """The folder that the cluster shares: that of checkpoints, or the warehouse."""
+    return (spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir")).rstrip("/") + "/kinetrace"
+
+
 def _end_row(spark: SparkSession, like: DataFrame) -> DataFrame:
     """A stream of one row of nobody, which moves the watermark past all others when the run's only batch ends."""
-    base = (spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir")).rstrip("/")
-    path = f"{base}/kinetrace/end-{uuid.uuid4().hex}"
+    path = f"{shared(spark)}/end-{uuid.uuid4().hex}"
     given = {"person_id": F.lit(-1), "at": F.lit(END), "event_type": F.lit("click")}
     spark.range(1).select(*(given.get(f.name, F.lit(None)).cast(f.dataType).alias(f.name) for f in like.schema)).write.parquet(path)
     return spark.readStream.schema(like.schema).parquet(path)
@@ -34,16 +38,12 @@ def stream_of(spark: SparkSession, sf_dir: str, late: str = LATE, ends: bool = F
     return (rows.union(_end_row(spark, rows)) if ends else rows).withWatermark("at", late)
 
 
-def finished(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """Everything the stream holds now, run once through the engine and read back from the sink."""
+def finished(stream: DataFrame) -> DataFrame:
+    """Everything the stream holds now, run once through the engine, appended to a Parquet sink and read back: neither results nor state stay in the driver."""
     spark, name = stream.sparkSession, f"kinetrace_{uuid.uuid4().hex}"
-    base = (spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir")).rstrip("/")
-    path = f"{base}/kinetrace/{name}"
-    if mode == "append":
-        stream.writeStream.format("parquet").option("path", f"{path}/rows").option("checkpointLocation", f"{path}/state").outputMode("append").trigger(availableNow=True).start().awaitTermination()
-        return spark.read.schema(stream.schema).parquet(f"{path}/rows")
-    stream.writeStream.format("memory").queryName(name).option("checkpointLocation", f"{path}/state").outputMode(mode).trigger(availableNow=True).start().awaitTermination()
-    return spark.table(name)
+    path = f"{shared(spark)}/{name}"
+    stream.writeStream.format("parquet").option("path", f"{path}/rows").option("checkpointLocation", f"{path}/state").outputMode("append").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(f"{path}/rows")
 
 
 def steps_tumbling(stream: DataFrame) -> DataFrame:
@@ -69,6 +69,55 @@ def with_contacts(stream: DataFrame, contacts: DataFrame) -> DataFrame:
     return calls.join(contacts, ["person_id", "correspondent"], "left").select("event_id", "person_id", "category")
 
 
+def late_accounts(spark: SparkSession, sf_dir: str, late: str = LATE) -> DataFrame:
+    """arrived, late, repeated, accepted: rows of a stream that uploads rows again and rows beyond the watermark, none lost without a count.
+
+    Two runs of one query: the table's rows, then a tenth of them again and a tenth 90 days too late. Arrivals are observed metrics of the
+    progress, late rows those that the deduplication drops by the watermark."""
+    path = f"{shared(spark)}/late-{uuid.uuid4().hex}"
+    rows = spark.read.parquet(f"{sf_dir}/events.parquet").select("event_id", F.col("user_id").alias("person_id"), F.col("ts").cast("timestamp").alias("at"), F.get_json_object("props", "$.k").cast("int").alias("k"))
+    arrived = dropped = 0
+
+    def run() -> None:
+        nonlocal arrived, dropped
+        stream = spark.readStream.schema(rows.schema).parquet(f"{path}/in").withWatermark("at", late).observe("arrivals", F.count(F.lit(1)).alias("n"))
+        query = stream.dropDuplicatesWithinWatermark(["event_id"]).writeStream.format("parquet").option("path", f"{path}/out").option("checkpointLocation", f"{path}/state").trigger(availableNow=True).start()
+        query.awaitTermination()
+        for p in query.recentProgress:
+            arrived += p.observedMetrics["arrivals"]["n"] if "arrivals" in p.observedMetrics else 0
+            dropped += sum(o.numRowsDroppedByWatermark for o in p.stateOperators)
+
+    rows.write.mode("append").parquet(f"{path}/in")
+    run()
+    newest = rows.agg(F.max("at").alias("newest"))
+    again = rows.join(F.broadcast(newest), F.col("at") > F.col("newest") - F.expr(f"interval {late}")).drop("newest").where("k >= 50")
+    old = rows.where("k < 10").withColumns({"event_id": -F.col("event_id") - 1, "at": F.col("at") - F.expr("interval 90 days")})
+    again.union(old).write.mode("append").parquet(f"{path}/in")
+    run()
+    accepted = spark.read.schema(rows.schema).parquet(f"{path}/out").agg(F.count("*").alias("accepted"))
+    return accepted.select(F.lit(arrived).alias("arrived"), F.lit(dropped).alias("late"), (F.lit(arrived - dropped) - F.col("accepted")).alias("repeated"), "accepted")
+
+
+def upserted(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """person_id, day, quarter, n, total kept up to date batch by batch: a batch's partial sums are merged with the table's last version.
+
+    A version is written whole under its batch's number, so a batch that is run again after a failure gives the same."""
+    path = f"{shared(spark)}/partials-{uuid.uuid4().hex}"
+    key = ["person_id", "day", "quarter"]
+
+    def merge(batch: DataFrame, number: int) -> None:
+        session = batch.sparkSession
+        hour = F.floor(F.unix_micros("at") / 3.6e9)
+        new = batch.groupBy("person_id", F.floor(hour / 24).alias("day"), F.floor(F.pmod(hour, F.lit(24)) / 6).alias("quarter")).agg(F.count("*").alias("n"), F.sum("value").alias("total"))
+        if number:
+            new = session.read.parquet(f"{path}/v{number - 1}").union(new).groupBy(*key).agg(F.sum("n").alias("n"), F.sum("total").alias("total"))
+        new.write.mode("overwrite").parquet(f"{path}/v{number}")
+
+    query = stream_of(spark, sf_dir).writeStream.foreachBatch(merge).option("checkpointLocation", f"{path}/state").trigger(availableNow=True).start()
+    query.awaitTermination()
+    return spark.read.parquet(f"{path}/v{query.lastProgress.batchId}")
+
+
 def unlock_to_close(stream: DataFrame, hours: int = 6) -> DataFrame:
     """Unlocks joined with closings within some hours: two streams with time bounds, so state ends."""
     a = stream.where("event_type = 'click'").select("person_id", F.col("at").alias("opened"))
