@@ -11,8 +11,6 @@ from kinetrace.plans.slices import KEYS, SliceSpec, attach
 from kinetrace.sources import maps
 from kinetrace.sources import views as V
 
-CELLS = f"unnest(['allday', {ep('us')}]) AS epoch"
-CELLS0 = f"unnest(['allday', {ep('start_us')}]) AS epoch"
 QUARTER = ep("us")
 
 
@@ -28,14 +26,6 @@ def _crossed(view: str) -> str:
     )
 
 
-def _pieces(view: str) -> str:
-    return f"(SELECT person_id, greatest(start_us, f) AS us, (least(end_us, f + 21600000000) - greatest(start_us, f)) / 60e6::DOUBLE AS minutes FROM (SELECT *, unnest(range(start_us // 21600000000 * 21600000000, greatest(end_us, start_us + 1), 21600000000)) AS f FROM {view}))"
-
-
-def _lengths(view: str, n: str) -> str:
-    return f"(SELECT person_id, epoch, sum(minutes) AS {n}_total, max(minutes) AS {n}_max, min(minutes) AS {n}_min, avg(minutes) AS {n}_mean, stddev_pop(minutes) AS {n}_std FROM {_sliced(_pieces(view))} GROUP BY ALL)"
-
-
 STEP_SPEC = "active_bouts:b active_max:d active_min:d active_mean:d sedentary_bouts:b sedentary_max:d sedentary_min:d sedentary_mean:d steps_min:b steps_max:b steps_mean:d"
 NAP = "(SELECT person_id, state, min(us) AS start_us, max(us) + 60000000 AS end_us, CAST(count(*) AS DOUBLE) AS minutes FROM (SELECT *, us // 60000000 - row_number() OVER (PARTITION BY person_id, state ORDER BY us) AS r FROM nap) GROUP BY person_id, state, r)"
 CALLS = ", ".join(

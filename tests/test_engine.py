@@ -51,6 +51,24 @@ def test_entry_without_text_operators(spark):
     assert __spark_entry__._optional("kinetrace.llm_absent") is None
 
 
+def test_import_when_the_text_folders_are_deleted(tmp_path):
+    """A copy without them, in a process of its own: the other queries stay. With them but without a package that they need, too."""
+    import pathlib
+    import shutil
+    import subprocess
+    import sys
+
+    root = pathlib.Path(__file__).parent.parent
+    for name in ("kinetrace", "__spark_entry__.py", "corpus_pipeline.py"):
+        (shutil.copytree if (root / name).is_dir() else shutil.copy)(root / name, tmp_path / name)
+    count = "import __spark_entry__ as e; q = e.queries(); print(len(q), len(e.oracle_sql()), sum(n.startswith('op') and n[2].isdigit() or n == 'pipeline' for n in q))"
+    run = lambda code: subprocess.run([sys.executable, "-c", code], cwd=tmp_path, capture_output=True, text=True, check=True, env={**__import__("os").environ, "PYTHONPATH": str(tmp_path)}).stdout.split()[-3:]
+    without = run(f"import sys; sys.modules['xxhash'] = None; {count}")
+    shutil.rmtree(tmp_path / "kinetrace/llm")
+    (tmp_path / "corpus_pipeline.py").unlink()
+    assert run(count) == without == [str(len(registry.queries())), str(len(registry.oracle_sql())), "0"]
+
+
 def test_parts_of_time(spark):
     rows = spark.sql("SELECT * FROM VALUES (timestamp_ntz'2024-01-05 05:59:59'), (timestamp_ntz'2024-01-05 06:00:00'), (timestamp_ntz'2024-01-06 11:59:59'), (timestamp_ntz'2024-01-06 12:00:00'), (timestamp_ntz'2024-01-07 18:00:00'), (timestamp_ntz'2024-01-08 00:00:00') AS t(ts)")
     us = micros("ts")
@@ -98,7 +116,7 @@ def test_phone_bouts(spark):
 def test_sleep_extremes(spark):
     states = ["asleep", "asleep", "restless", "asleep", "asleep", "unknown"]
     naps = spark.createDataFrame([(1, START + i * MINUTE, s) for i, s in enumerate(states)], "person_id int, us bigint, state string")
-    best = sleep.extreme_bouts(sleep.sleep_bouts(naps), SliceSpec(epochs=False)).where("state = 'asleep'").first()
+    best = sleep.extreme_bouts(sleep.bouts_in_slices(naps, SliceSpec(epochs=False))).where("state = 'asleep'").first()
     assert best.longest_start == START and best.shortest_start == START
     row = sleep.counts_efficiency(naps, SliceSpec(epochs=False)).first()
     assert row.weak_efficiency == 1.0 and row.strong_efficiency == 0.8
