@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from kinetrace.functions.timeparts import day_of, hour_of
 from kinetrace.plans.bouts import ordered
-from kinetrace.plans.slices import KEYS, SliceSpec, attach, in_slices, slice_minutes
+from kinetrace.plans.slices import KEYS, SliceSpec, attach, in_slices, part_of, slice_minutes
 
 
 KINDS = {"interaction": ("off", "lock"), "unlocked": ("lock",)}
@@ -44,7 +44,8 @@ def unlocked_bouts(screen: DataFrame) -> DataFrame:
 def phone_features(screen: DataFrame, spec: SliceSpec | None = None) -> DataFrame:
     """Unlocks per minute of the slice, total and statistics of both kinds of bout, cut at the slice's borders."""
     spec = spec or SliceSpec()
-    counts = attach(screen, spec).groupBy("person_id", *KEYS).agg(F.count_if(F.col("status") == "unlock").alias("unlocks"))
+    parts = screen.groupBy("person_id", part_of()).agg(F.count_if(F.col("status") == "unlock").alias("unlocks"))
+    counts = attach(parts, spec).groupBy("person_id", *KEYS).agg(F.sum("unlocks").alias("unlocks"))
     rate = counts.select("person_id", *KEYS, "unlocks", (F.col("unlocks") / slice_minutes(spec)).alias("unlocks_per_minute"))
     stats = []
     for kind in KINDS:
@@ -56,8 +57,9 @@ def phone_features(screen: DataFrame, spec: SliceSpec | None = None) -> DataFram
 
 def first_last_hours(screen: DataFrame, spec: SliceSpec | None = None) -> DataFrame:
     """Hours of the first unlock and screen-on and of the last unlock, lock and screen-on; the mean over a slice's days."""
-    daily = attach(screen, spec or SliceSpec()).groupBy("person_id", *KEYS, day_of(F.col("us")).alias("day"))
     at = lambda s: F.when(F.col("status") == s, hour_of(F.col("us")))
     asked = [("first", "unlock", F.min), ("first", "on", F.min), ("last", "unlock", F.max), ("last", "lock", F.max), ("last", "on", F.max)]
-    days = daily.agg(*(f(at(s)).alias(f"{when}_{s}") for when, s, f in asked))
+    parts = screen.groupBy("person_id", part_of()).agg(*(f(at(s)).alias(f"{when}_{s}") for when, s, f in asked))
+    daily = attach(parts, spec or SliceSpec()).groupBy("person_id", *KEYS, day_of(F.col("us")).alias("day"))
+    days = daily.agg(*(f(f"{when}_{s}").alias(f"{when}_{s}") for when, s, f in asked))
     return days.groupBy("person_id", *KEYS).agg(*(F.avg(f"{when}_{s}").alias(f"{when}_{s}") for when, s, _ in asked))

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from kinetrace.functions.timeparts import day_of
-from kinetrace.plans.slices import KEYS, SliceSpec, attach
+from kinetrace.plans.slices import KEYS, SliceSpec, attach, part_of
 
 GROUPS = ("all", "self", "related", "others")
 
@@ -146,10 +146,11 @@ def label_devices(scans: DataFrame, keys: tuple[str, ...] = ("person_id",), rule
 
 def scan_features(scans: DataFrame, spec: SliceSpec | None = None, scope: str = "global") -> DataFrame:
     """Six statistics of scans per device for all devices and for each owner. scope: clusters of all data or of each slice."""
-    cells = attach(scans, spec or SliceSpec())
+    parts = scans.groupBy("person_id", "address", part_of()).agg(F.count("*").alias("scans"))
+    cells = attach(parts, spec or SliceSpec())
     keys = ("person_id",) if scope == "global" else ("person_id", *KEYS)
-    labels = label_devices(scans if scope == "global" else cells, keys).select(*keys, "address", "owner")
-    counts = cells.groupBy("person_id", *KEYS, "address").agg(F.count("*").alias("scans"))
+    labels = label_devices(scans if scope == "global" else attach(scans, spec or SliceSpec()), keys).select(*keys, "address", "owner")
+    counts = cells.groupBy("person_id", *KEYS, "address").agg(F.sum("scans").alias("scans"))
     grouped = counts.join(labels, [*keys, "address"]).withColumn("owners", F.explode(F.array(F.lit("all"), "owner")))
     return grouped.groupBy("person_id", *KEYS, "owners").agg(
         F.count("*").alias("devices"), F.max("scans").alias("most"), F.min("scans").alias("least"), F.sum("scans").alias("total"), F.avg("scans").alias("mean"), F.stddev_pop("scans").alias("std")

@@ -6,14 +6,16 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from kinetrace.plans.bouts import numbered_runs, runs, runs_in_slices
-from kinetrace.plans.slices import KEYS, SliceSpec, attach
+from kinetrace.plans.slices import KEYS, SliceSpec, attach, part_of
 
 STATES, PERIOD_US = ("asleep", "restless", "awake"), 60_000_000
 
 
 def counts_efficiency(samples: DataFrame, spec: SliceSpec | None = None) -> DataFrame:
     """Samples of each state; weak efficiency counts restless as sleep, strong doesn't; null without a rated sample."""
-    rows = attach(samples, spec or SliceSpec()).groupBy("person_id", *KEYS).agg(*(F.count_if(F.col("state") == s).alias(s) for s in (*STATES, "unknown")))
+    kinds = (*STATES, "unknown")
+    parts = samples.groupBy("person_id", part_of()).agg(*(F.count_if(F.col("state") == s).alias(s) for s in kinds))
+    rows = attach(parts, spec or SliceSpec()).groupBy("person_id", *KEYS).agg(*(F.sum(s).alias(s) for s in kinds))
     rated = F.col("asleep") + F.col("restless") + F.col("awake")
     return rows.withColumn("weak_efficiency", F.try_divide(F.col("asleep") + F.col("restless"), rated)).withColumn("strong_efficiency", F.try_divide(F.col("asleep"), rated))
 

@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from kinetrace.plans.bouts import numbered_runs, ordered, runs, runs_in_slices
-from kinetrace.plans.slices import KEYS, SliceSpec, attach
+from kinetrace.plans.slices import KEYS, SliceSpec, attach, part_of
 
 BIN_US, FEW = 300_000_000, 10
 
@@ -39,7 +39,8 @@ def step_bouts(bins: DataFrame, at_threshold: str = "active", fill: str = "break
 
 def totals(steps: DataFrame, spec: SliceSpec | None = None) -> DataFrame:
     """Total steps and the most in a five-minute bin."""
-    return attach(five_minute_bins(steps), spec or SliceSpec()).groupBy("person_id", *KEYS).agg(F.sum("steps").alias("total"), F.max("steps").alias("max5"))
+    parts = five_minute_bins(steps).groupBy("person_id", part_of()).agg(F.sum("steps").alias("total"), F.max("steps").alias("max5"))
+    return attach(parts, spec or SliceSpec()).groupBy("person_id", *KEYS).agg(F.sum("total").alias("total"), F.max("max5").alias("max5"))
 
 
 def sliding_max(steps: DataFrame, spec: SliceSpec | None = None) -> DataFrame:

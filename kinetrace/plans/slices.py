@@ -76,6 +76,11 @@ def clipped(bouts: DataFrame, start: str = "start_us", end: str = "end_us") -> D
     return cut.withColumns({"us": us, "to_us": to}).withColumn("minutes", (F.col("to_us") - F.col("us")) / 60e6).drop("_from")
 
 
+def part_of(us: str = "us") -> Column:
+    """Start of the part of a day that a time lies in. Slices consist of such parts, so dense samples are aggregated by them before rows multiply by slices."""
+    return (F.col(us) - F.pmod(F.col(us), F.lit(6 * HOUR))).alias("us")
+
+
 def stretch(us: str = "us") -> Column:
     """Number of the unbroken stretch of a slice that a time lies in: a part of a day is one each day, week days and week ends one each week."""
     at = F.col(us)
