@@ -161,7 +161,7 @@ QUERIES = [
     ("chg_slopes", "person_id:b feature:s n:b slope:d slope_first:d slope_second:d r2:d", lambda s, d: change.slopes(V.weekly_lines(s, d), None), f"SELECT person_id, feature, count(*) AS n, {MOMENTS} FROM (SELECT w.*, m FROM weekly w, (SELECT (min(week) + max(week)) // 2 AS m FROM weekly)) GROUP BY ALL HAVING count(*) >= 3"),
     ("chg_break_free", "person_id:b feature:s breakpoint:b bic:d slope_before:d slope_after:d", lambda s, d: change.breakpoints(V.weekly_lines(s, d), "free"), FREE),
     ("chg_break_f", "person_id:b feature:s breakpoint:b f:d", lambda s, d: change.f_values(V.weekly_lines(s, d)), F_TEST),
-    ("chg_break_joined", "person_id:b feature:s breakpoint:b bic:d slope_before:d slope_after:d", lambda s, d: change.breakpoints(V.weekly_lines(s, d), "joined"), f"SELECT * FROM {Q.joined_breaks('weekly')}"),
+    ("chg_break_joined", "person_id:b feature:s breakpoint:b bic:e slope_before:e slope_after:e", lambda s, d: change.breakpoints(V.weekly_lines(s, d), "joined"), f"SELECT * FROM {Q.joined_breaks('weekly')}"),
     ("chg_all_weekly", "person_id:b feature:s n:b slope:d slope_first:d slope_second:d breakpoint:b slope_before:d slope_after:d", lambda s, d: change.change_features(assemble.weekly_features(s, d), 3),
      f"WITH series AS MATERIALIZED (SELECT person_id, sensor || '.' || feature AS feature, span_id AS week, value FROM ({Q.long(Q.WEEK)})) {Q.change_of('series', 3)}"),
     ("chg_break_naive", "person_id:b feature:s breakpoint:b bic:d slope_before:d slope_after:d", lambda s, d: change.breakpoints_naive(V.weekly_lines(s, d)), FREE),

@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from kinetrace.oracles.base import HALF, columns, sql
+from kinetrace.oracles.base import DIGITS, HALF, columns, sql
 
 
 def _shaped(frame, spec: str):
     from pyspark.sql import functions as F
 
-    kinds = {"b": lambda c: F.col(c).cast("bigint"), "s": lambda c: F.col(c).cast("string"), "d": lambda c: F.floor(F.col(c).cast("double") * 1e6 + HALF).cast("double") / 1e6}
+    kinds = {"b": lambda c: F.col(c).cast("bigint"), "s": lambda c: F.col(c).cast("string")}
+    kinds |= {k: (lambda c, n=10**n: F.floor(F.col(c).cast("double") * float(n) + HALF).cast("double") / float(n)) for k, n in DIGITS.items()}
     return frame.select(*(kinds[k](c).alias(c) for c, k in columns(spec)))
 
 
