@@ -21,6 +21,29 @@ def _round(frame: DataFrame, digits: int = 5) -> DataFrame:
     return frame.select(*(F.round(c, digits).alias(c) if t == "double" else F.col(c).cast("bigint").alias(c) if t in ("int", "bigint") else F.col(c) for c, t in frame.dtypes))
 
 
+def _apart(a: DataFrame, b: DataFrame, keys: list[str], tolerance: float = 1e-6) -> DataFrame:
+    """Rows of both sides that have none with their keys on the other side, or one with other values. Doubles are the same up to the tolerance
+    (of their size, if above 1), since rounding parts equal values that lie on a rounding point, such as 0.234375 at five digits."""
+
+    def same(c: str, kind: str):
+        x, y = F.col(f"a.{c}"), F.col(f"b.{c}")
+        if kind != "double":
+            return x.eqNullSafe(y)
+        return x.eqNullSafe(y) | F.coalesce(F.abs(x - y) <= tolerance * F.greatest(F.lit(1.0), F.abs(x), F.abs(y)), F.lit(False))
+
+    both = F.lit(True)
+    for c, kind in a.dtypes:
+        if c not in keys:
+            both = both & same(c, kind)
+    left, right = a.withColumn("_in", F.lit(1)).alias("a"), b.withColumn("_in", F.lit(1)).alias("b")
+    on = F.lit(True)
+    for k in keys:
+        on = on & (F.col(f"a.{k}") == F.col(f"b.{k}"))
+    sides = F.coalesce(F.col("a._in"), F.lit(0)) + F.coalesce(F.col("b._in"), F.lit(0))
+    rows = left.join(right, on, "full").select(F.when((sides == 2) & both, 0).otherwise(sides).alias("n"))
+    return rows.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("differing"))
+
+
 def neighbours_naive(points: DataFrame, eps_m: float = location.EPS_M) -> DataFrame:
     """All pairs of a person's samples: quadratic."""
     b = points.select("person_id", F.col("us").alias("us2"), F.col("lat").alias("lat2"), F.col("lon").alias("lon2"))
@@ -40,7 +63,7 @@ def dbscan_difference(spark, sf_dir) -> DataFrame:
 def break_difference(spark, sf_dir) -> DataFrame:
     weekly = V.weekly_lines(spark, sf_dir)
     names = ["person_id", "feature", "breakpoint", "slope_before", "slope_after"]
-    return _differing(_round(change.breakpoints(weekly, "free").select(*names)), _round(change.breakpoints_naive(weekly).select(*names)))
+    return _apart(change.breakpoints(weekly, "free").select(*names), change.breakpoints_naive(weekly).select(*names), names[:2])
 
 
 def slices_difference(spark, sf_dir) -> DataFrame:
