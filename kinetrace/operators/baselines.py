@@ -47,7 +47,7 @@ def _apart(a: DataFrame, b: DataFrame, keys: list[str], tolerance: float = 1e-6)
 def neighbours_naive(points: DataFrame, eps_m: float = location.EPS_M) -> DataFrame:
     """All pairs of a person's samples: quadratic."""
     b = points.select("person_id", F.col("us").alias("us2"), F.col("lat").alias("lat2"), F.col("lon").alias("lon2"))
-    near = points.join(b, "person_id").where(haversine_km(F.col("lat"), F.col("lon"), F.col("lat2"), F.col("lon2")) * 1000 <= eps_m)
+    near = points.join(b.hint("merge"), "person_id").where(haversine_km(F.col("lat"), F.col("lon"), F.col("lat2"), F.col("lon2")) * 1000 <= eps_m)
     return near.groupBy("person_id", "us").agg(F.count("*").alias("n"))
 
 

@@ -276,12 +276,19 @@ def home_features(points: DataFrame, spec: SliceSpec | None = None, radii_m: tup
 
 
 def neighbours_by_grid(points: DataFrame, eps_m: float = EPS_M) -> DataFrame:
-    """person_id, us, n: samples within eps of each, by an equi-join on cubes of eps instead of all pairs; cubes are the same size at every latitude."""
+    """person_id, us, n: samples within eps of each, by equi-joins on cubes of eps instead of all pairs; cubes are the same size at every latitude.
+
+    A person's occupied cubes find those beside them first, so samples aren't copied for cubes that hold none. No side is broadcast:
+    Spark takes their sizes from the file and doesn't know by how much they grow."""
     r, p, q = 1000 * RADIUS_KM / eps_m, F.radians("lat"), F.radians("lon")
     axes = {"cx": F.floor(F.cos(p) * F.cos(q) * r), "cy": F.floor(F.cos(p) * F.sin(q) * r), "cz": F.floor(F.sin(p) * r)}
     cell = points.select("person_id", "us", "lat", "lon", *(e.alias(c) for c, e in axes.items()))
-    around = cell.select("person_id", F.col("us").alias("us2"), F.col("lat").alias("lat2"), F.col("lon").alias("lon2"), *axes)
+    cubes = cell.select("person_id", *axes).distinct()
+    beside = cubes.withColumns({f"{c}2": F.col(c) for c in axes})
     for c in axes:
-        around = around.withColumn(c, F.explode(F.sequence(F.col(c) - 1, F.col(c) + 1)))
-    pairs = cell.join(around, ["person_id", *axes]).where(haversine_km(F.col("lat"), F.col("lon"), F.col("lat2"), F.col("lon2")) * 1000 <= eps_m)
+        beside = beside.withColumn(f"{c}2", F.explode(F.sequence(F.col(c) - 1, F.col(c) + 1)))
+    beside = beside.join(cubes.select("person_id", *(F.col(c).alias(f"{c}2") for c in axes)).hint("merge"), ["person_id", *(f"{c}2" for c in axes)])
+    others = cell.select("person_id", F.col("lat").alias("lat2"), F.col("lon").alias("lon2"), *(F.col(c).alias(f"{c}2") for c in axes))
+    pairs = cell.join(beside.hint("merge"), ["person_id", *axes]).join(others.hint("merge"), ["person_id", *(f"{c}2" for c in axes)])
+    pairs = pairs.where(haversine_km(F.col("lat"), F.col("lon"), F.col("lat2"), F.col("lon2")) * 1000 <= eps_m)
     return pairs.groupBy("person_id", "us").agg(F.count("*").alias("n"))

@@ -2,7 +2,8 @@
 
 from pyspark.sql import functions as F
 
-from kinetrace.operators import baselines, change
+from kinetrace.operators import baselines, change, location
+from kinetrace.sources import views
 
 SF = "/root/testdata/sf0.001"
 
@@ -23,3 +24,15 @@ def test_rows_that_differ(spark):
     assert found(a, a) == 0 and found(a, b) == 2 + 1 + 1
     assert found(a.where("person_id = 2"), b.where("person_id = 2").withColumn("x", F.lit(0.0))) == 2
     assert found(a.limit(0), b.limit(0)) == 0
+
+
+def plan(frame):
+    return frame._jdf.queryExecution().executedPlan().toString()
+
+
+def test_neighbours_broadcast_nothing(spark):
+    """Copies of samples for 27 cubes each, or all samples, don't fit a driver, whatever size Spark expects of the file."""
+    points = views.point_events(spark, SF)
+    for frame in (location.neighbours_by_grid(points), baselines.neighbours_naive(points)):
+        assert "Broadcast" not in plan(frame)
+    assert baselines._differing(location.neighbours_by_grid(points), baselines.neighbours_naive(points)).first().differing == 0
