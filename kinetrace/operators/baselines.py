@@ -118,9 +118,12 @@ def interval_difference(spark, sf_dir) -> DataFrame:
 
 def periodogram_direct(points: DataFrame, periods: list[float], origin: int = 19723) -> DataFrame:
     """Two passes: the phase first, then the sums with it."""
-    grid = points.withColumn("period", F.explode(F.array(*map(F.lit, periods)))).withColumn("w", F.lit(2 * math.pi) * (F.col("us") - origin * 86_400_000_000) / 3.6e9 / F.col("period"))
+    w = F.lit(2 * math.pi) * (F.col("us") - origin * 86_400_000_000) / 3.6e9 / F.col("period")
+    grid = points.withColumn("period", F.explode(F.array(*map(F.lit, periods)))).withColumn("w", w)
     phase = grid.groupBy("person_id", "period").agg((F.atan2(F.sum(F.sin(2 * F.col("w"))), F.sum(F.cos(2 * F.col("w")))) / 2).alias("tau"), F.avg("lat").alias("mlat"), F.avg("lon").alias("mlon"))
-    r = grid.join(phase, ["person_id", "period"])
+    # A person's phases are joined as one row, before its samples multiply, and never broadcast: they grow with the persons.
+    phases = phase.groupBy("person_id").agg(F.collect_list(F.struct("period", "tau", "mlat", "mlon")).alias("phases"))
+    r = points.join(phases.hint("merge"), "person_id").select("person_id", "us", "lat", "lon", F.inline("phases")).withColumn("w", w)
     c, s = F.cos(F.col("w") - F.col("tau")), F.sin(F.col("w") - F.col("tau"))
     y, x = F.col("lat") - F.col("mlat"), F.col("lon") - F.col("mlon")
     sums = r.groupBy("person_id", "period").agg(*(F.sum(e).alias(n) for n, e in {"cc": c * c, "ss": s * s, "yc": y * c, "ys": y * s, "xc": x * c, "xs": x * s}.items()))
@@ -130,9 +133,9 @@ def periodogram_direct(points: DataFrame, periods: list[float], origin: int = 19
 
 def circadian_difference(spark, sf_dir) -> DataFrame:
     points = V.point_events(spark, sf_dir)
-    periods = [round(23.5 + 0.1 * i, 6) for i in range(11)] + [float(h) for h in range(6, 49)]
+    periods = sorted({*(round(23.5 + 0.1 * i, 6) for i in range(11)), *(float(h) for h in range(6, 49))})
     fast = location.periodogram(points, periods).select("person_id", "period", "power")
-    return _differing(_round(fast, 8), _round(periodogram_direct(points, periods), 8))
+    return _apart(fast, periodogram_direct(points, periods), ["person_id", "period"], 1e-8)
 
 
 SINGLE_CHANNEL = {"location": ("location.*",), "screen": ("phone.*",), "location_screen": ("location.*", "phone.*")}

@@ -36,3 +36,10 @@ def test_neighbours_broadcast_nothing(spark):
     for frame in (location.neighbours_by_grid(points), baselines.neighbours_naive(points)):
         assert "Broadcast" not in plan(frame)
     assert baselines._differing(location.neighbours_by_grid(points), baselines.neighbours_naive(points)).first().differing == 0
+
+
+def test_phases_are_not_broadcast(spark):
+    """Phases of every person and period don't fit a driver."""
+    points = views.point_events(spark, SF)
+    assert "Broadcast" not in plan(baselines.periodogram_direct(points, [6.0, 24.0, 48.0]))
+    assert baselines.circadian_difference(spark, SF).first().differing == 0
