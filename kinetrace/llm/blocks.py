@@ -14,6 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from kinetrace.llm.memory import releasing
 from kinetrace.llm.storage import written
 
 #: Hot groups that may be broadcast (16 bytes each); more are joined by a shuffle.
@@ -87,4 +88,4 @@ def by_group(rows: DataFrame, run: Callable[[pa.Table], pa.RecordBatch], schema:
         if held is not None and len(held):
             yield run(held)
 
-    return rows.repartition("g").sortWithinPartitions("g").mapInArrow(walk, schema)
+    return rows.repartition("g").sortWithinPartitions("g").mapInArrow(releasing(walk), schema)

@@ -190,9 +190,9 @@ class Encoder:
     def __init__(self, vocabulary: Vocabulary, encode: Callable[[list[bytes]], list[list[int]]] | None = None):
         self.vocabulary = vocabulary
         self.encode = encode or vocabulary.encode_pretokens
-        self._clear()
+        self.forget()
 
-    def _clear(self) -> None:
+    def forget(self) -> None:
         self.slots: dict[int, int] = {}
         self.pool, self.at = np.zeros(1 << 16, np.uint32), np.zeros(1 << 16, np.int64)
         self.count, self.used = 0, 0
@@ -224,7 +224,7 @@ class Encoder:
         listed = keys.tolist()
         new = [i for i, k in enumerate(listed) if k not in self.slots]
         if len(new) + self.count > CACHE:
-            self._clear()
+            self.forget()
             new = [*range(len(listed))]
         if new:
             a, b = starts[where[new]].tolist(), ends[where[new]].tolist()

@@ -24,6 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from kinetrace.llm import codes as C
+from kinetrace.llm.memory import releasing
 from kinetrace.llm.sampling import drawable, remainder, stratified, unit
 
 SLOTS, ROW, UNKNOWN = 1 << 16, 48, "und"
@@ -302,7 +303,7 @@ def accepted(docs: DataFrame, model: Model, least: float = 0.4, text: str = "tex
             langs, scores = label_documents(shared.value, batch.column(at).to_pylist())
             yield batch.filter(pa.array([x != UNKNOWN and s >= least for x, s in zip(langs, scores.tolist(), strict=True)], pa.bool_()))
 
-    return docs.mapInArrow(run, schema)
+    return docs.mapInArrow(releasing(run), schema)
 
 
 def predictions(docs: DataFrame) -> DataFrame:

@@ -30,6 +30,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import LongType
 
 from kinetrace.llm import bpe
+from kinetrace.llm.memory import releasing
 from kinetrace.llm.storage import written
 
 END = 0
@@ -78,10 +79,11 @@ def token_pieces(docs: DataFrame, path: str, capacity: int = 2048) -> DataFrame:
                 [batch.column("doc_id").take(pa.array(row, pa.int64())), pa.array(piece, pa.int32()), *(pa.array(x, pa.int64()) for x in (start, length, crc))],
                 ["doc_id", "piece", "start", "length", "ids_crc32"],
             )
+        encoder.forget()
 
     kept = docs.select("doc_id", F.col("text").cast("string").alias("text"))
     key = kept.schema["doc_id"].dataType.simpleString()
-    return kept.mapInArrow(run, f"doc_id {key}, piece int, start bigint, length bigint, ids_crc32 bigint")
+    return kept.mapInArrow(releasing(run), f"doc_id {key}, piece int, start bigint, length bigint, ids_crc32 bigint")
 
 
 def _worth(sizes: np.ndarray, prices: np.ndarray, capacity: int) -> tuple[np.ndarray, list[int]]:

@@ -27,6 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from kinetrace.llm import codes as C
+from kinetrace.llm.memory import releasing
 from kinetrace.llm.sampling import drawable, remainder, stratified
 
 SLOTS = 1 << 18
@@ -217,7 +218,7 @@ def accepted(docs: DataFrame, model: Scorer, most: float = 0.5, text: str = "tex
         for batch in batches:
             yield batch.filter(pa.array(scores(shared.value, batch.column(at).to_pylist()) < most, pa.bool_()))
 
-    return docs.mapInArrow(run, schema)
+    return docs.mapInArrow(releasing(run), schema)
 
 
 def predictions(docs: DataFrame, labels: DataFrame) -> DataFrame:
