@@ -293,15 +293,18 @@ def identify(docs: DataFrame, model: Model) -> DataFrame:
     return kept.mapInArrow(run, f"doc_id {kept.schema['doc_id'].dataType.simpleString()}, lang_pred string, score double")
 
 
-def accepted(docs: DataFrame, model: Model, least: float = 0.4, text: str = "text") -> DataFrame:
-    """The rows of `docs` whose language is known with a score of at least `least`; their columns don't change."""
+def accepted(docs: DataFrame, model: Model, least: float = 0.4, text: str = "text", into: str | None = None) -> DataFrame:
+    """The rows of `docs` whose language is known with a score of at least `least`; of their columns only `into` changes, if given: it gets the language."""
     shared, schema = docs.sparkSession.sparkContext.broadcast(model), docs.schema
-    at = docs.columns.index(text)
+    at, to = docs.columns.index(text), docs.columns.index(into) if into else None
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             langs, scores = label_documents(shared.value, batch.column(at).to_pylist())
-            yield batch.filter(pa.array([x != UNKNOWN and s >= least for x, s in zip(langs, scores.tolist(), strict=True)], pa.bool_()))
+            stays = pa.array([x != UNKNOWN and s >= least for x, s in zip(langs, scores.tolist(), strict=True)], pa.bool_())
+            if to is not None:
+                batch = batch.set_column(to, batch.schema.field(to), pa.array(langs, batch.schema.field(to).type))
+            yield batch.filter(stays)
 
     return docs.mapInArrow(releasing(run), schema)
 

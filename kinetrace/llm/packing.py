@@ -57,8 +57,9 @@ def _encoder(path: str) -> bpe.Encoder:
     return _ENCODERS[path]
 
 
-def token_pieces(docs: DataFrame, path: str, capacity: int = 2048) -> DataFrame:
-    """A row for each piece of each document: doc_id, piece, start, length, ids_crc32."""
+def token_pieces(docs: DataFrame, path: str, capacity: int = 2048, by: str | None = None) -> DataFrame:
+    """A row for each piece of each document: doc_id, piece, start, length, ids_crc32, and the document's `by`, a column of strings, if given."""
+    more = [by] if by else []
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = _encoder(path)
@@ -76,14 +77,14 @@ def token_pieces(docs: DataFrame, path: str, capacity: int = 2048) -> DataFrame:
                     crc.append(zlib.crc32(ids[at:to].tobytes()))
                     at, k = to, k + 1
             yield pa.RecordBatch.from_arrays(
-                [batch.column("doc_id").take(pa.array(row, pa.int64())), pa.array(piece, pa.int32()), *(pa.array(x, pa.int64()) for x in (start, length, crc))],
-                ["doc_id", "piece", "start", "length", "ids_crc32"],
+                [batch.column("doc_id").take(pa.array(row, pa.int64())), pa.array(piece, pa.int32()), *(pa.array(x, pa.int64()) for x in (start, length, crc)), *(batch.column(c).take(pa.array(row, pa.int64())) for c in more)],
+                ["doc_id", "piece", "start", "length", "ids_crc32", *more],
             )
         encoder.forget()
 
-    kept = docs.select("doc_id", F.col("text").cast("string").alias("text"))
+    kept = docs.select("doc_id", F.col("text").cast("string").alias("text"), *(F.col(c).cast("string").alias(c) for c in more))
     key = kept.schema["doc_id"].dataType.simpleString()
-    return kept.mapInArrow(releasing(run), f"doc_id {key}, piece int, start bigint, length bigint, ids_crc32 bigint")
+    return kept.mapInArrow(releasing(run), f"doc_id {key}, piece int, start bigint, length bigint, ids_crc32 bigint" + "".join(f", `{c}` string" for c in more))
 
 
 def _worth(sizes: np.ndarray, prices: np.ndarray, capacity: int) -> tuple[np.ndarray, list[int]]:
@@ -240,44 +241,55 @@ def places(found: list[tuple[dict[int, int], int]]) -> dict[int, tuple[np.ndarra
     return {s: tuple(np.array(x, np.int64).T) for s, x in table.items()}
 
 
-def ranked(pieces: DataFrame) -> DataFrame:
-    """`pieces` with a rank from 0 within each length; a length's rows are dealt to many groups by a hash."""
+def ranked(pieces: DataFrame, kind: str = "length") -> DataFrame:
+    """`pieces` with a rank from 0 within each length (or kind); its rows are dealt to many groups by a hash."""
     groups = max(GROUPS, -(-pieces.count() // RANKED))
     dealt = pieces.withColumn("_group", F.pmod(F.xxhash64("doc_id", "piece"), F.lit(groups)))
-    before = Window.partitionBy("length").orderBy("_group").rowsBetween(Window.unboundedPreceding, -1)
+    before = Window.partitionBy(kind).orderBy("_group").rowsBetween(Window.unboundedPreceding, -1)
     bases = (
-        dealt.groupBy("length", "_group")
+        dealt.groupBy(kind, "_group")
         .count()
-        .select("length", "_group", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("_base"))
+        .select(kind, "_group", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("_base"))
     )
-    within = Window.partitionBy("length", "_group").orderBy("doc_id", "piece", "start")
+    within = Window.partitionBy(kind, "_group").orderBy("doc_id", "piece", "start")
     numbered = dealt.withColumn("_row", F.row_number().over(within) - 1)
-    return numbered.join(bases, ["length", "_group"]).withColumn("_rank", F.col("_row") + F.col("_base"))
-
-
-def pack_pieces(pieces: DataFrame, capacity: int = 2048) -> DataFrame:
-    """`pieces` (written once: it is read three times) with sequence_id and offset."""
-    histogram = {r["length"]: r["count"] for r in pieces.groupBy("length").count().collect()}
-    table = places(windows(histogram, capacity)) if histogram else {}
-    names = ["doc_id", "piece", "start", "length", "ids_crc32"]
+    return numbered.join(bases, [kind, "_group"]).withColumn("_rank", F.col("_row") + F.col("_base"))
+
+
+def pack_pieces(pieces: DataFrame, capacity: int = 2048, by: str | None = None) -> DataFrame:
+    """`pieces` (written once: it is read three times) with sequence_id and offset; a sequence holds pieces of one value of `by` (null counts as
+    empty), if given. These are few: the driver solves each value's program."""
+    names, wide = ["doc_id", "piece", "start", "length", "ids_crc32", *([by] if by else [])], capacity + 1
+    group = F.coalesce(F.col(by), F.lit("")) if by else F.lit("")
+    histograms: dict[str, dict[int, int]] = {}
+    for r in pieces.groupBy(group.alias("g"), "length").count().collect():
+        histograms.setdefault(r["g"], {})[r["length"]] = r["count"]
+    # A kind is a length of a group: the group's number times `wide`, and the length.
+    table, base, order = {}, 0, sorted(histograms)
+    for number, g in enumerate(order):
+        found = windows(histograms[g], capacity)
+        table |= {number * wide + size: (x[0], x[1] + base, *x[2:]) for size, x in places(found).items()}
+        base += sum(k for _, k in found)
+    numbers = F.create_map(*(F.lit(x) for n, g in enumerate(order) for x in (g, n)))[group] if len(order) > 1 else F.lit(0)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            length, rank = batch.column("length").to_numpy(), batch.column("_rank").to_numpy()
+            kind, rank = batch.column("_kind").to_numpy(), batch.column("_rank").to_numpy()
             sequence, offset = np.zeros(len(rank), np.int64), np.zeros(len(rank), np.int64)
-            for size in np.unique(length).tolist():
-                rows = np.flatnonzero(length == size)
-                first, base, n, at = table[size]
+            for one in np.unique(kind).tolist():
+                rows = np.flatnonzero(kind == one)
+                first, start, n, at = table[one]
                 block = np.searchsorted(first, rank[rows], "right") - 1
                 nth = rank[rows] - first[block]
-                sequence[rows] = base[block] + nth // n[block]
-                offset[rows] = at[block] + nth % n[block] * size
+                sequence[rows] = start[block] + nth // n[block]
+                offset[rows] = at[block] + nth % n[block] * (one % wide)
             yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in names), pa.array(sequence), pa.array(offset)], [*names, "sequence_id", "offset"])
 
     schema = pieces.select(*names).schema.add("sequence_id", LongType()).add("offset", LongType())
-    return ranked(pieces).select(*names, "_rank").mapInArrow(run, schema)
+    kinds = pieces.withColumn("_kind", (numbers * wide + F.col("length")).cast("bigint"))
+    return ranked(kinds, "_kind").select(*names, "_kind", "_rank").mapInArrow(run, schema)
 
 
-def pack(docs: DataFrame, path: str, capacity: int = 2048) -> DataFrame:
-    """Every document's pieces with their place in as few windows of `capacity` tokens as the method finds."""
-    return pack_pieces(written(token_pieces(docs, path, capacity), "pieces"), capacity)
+def pack(docs: DataFrame, path: str, capacity: int = 2048, by: str | None = None) -> DataFrame:
+    """Every document's pieces with their place in as few windows of `capacity` tokens as the method finds, those of each value of `by` by themselves."""
+    return pack_pieces(written(token_pieces(docs, path, capacity, by), "pieces"), capacity, by)
