@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from kinetrace.llm import codes as C
-from kinetrace.llm.memory import releasing
+from kinetrace.llm.memory import released, releasing
 from kinetrace.llm.sampling import drawable, remainder, stratified, unit
 
 SLOTS, ROW, UNKNOWN = 1 << 16, 48, "und"
@@ -61,9 +61,9 @@ def features(w: C.Words) -> tuple[np.ndarray, np.ndarray]:
     return letters, np.stack([_slots(prefix, 3), _slots(suffix, 4), _slots(w.hashes(), 5)], 1)
 
 
-def emissions(model: Model, w: C.Words) -> np.ndarray:
-    """Words x labels, unnormalised log scores."""
-    letters, words = features(w)
+def emissions(model: Model, w: C.Words, found: tuple[np.ndarray, np.ndarray] | None = None) -> np.ndarray:
+    """Words x labels, unnormalised log scores. found: the features, where they are known."""
+    letters, words = found or features(w)
     by_letter = model.weights[letters[:, 0]] + model.weights[letters[:, 1]]
     out = np.add.reduceat(by_letter, w.first, axis=0) if len(w) else np.zeros((0, len(model.labels)), np.float32)
     for k in range(words.shape[1]):
@@ -173,7 +173,7 @@ def fit(texts: list[str], langs: list[str], rounds: int = 25, seed: int = 7, len
     params = [model.weights, model.lexical, model.transition]
     moments = [(np.zeros_like(p, float), np.zeros_like(p, float)) for p in params]
     for turn in range(1, rounds + 1):
-        score = emissions(model, w)[order]
+        score = emissions(model, w, (letters, whole))[order]
         # marginals of words and of adjacent words from the two neighbours' messages
         step = np.exp(model.transition - model.transition.max())
         emit = np.exp(score - score.max(1, keepdims=True))
@@ -198,6 +198,8 @@ def fit(texts: list[str], langs: list[str], rounds: int = 25, seed: int = 7, len
             m += 0.1 * (g - m)
             v += 0.02 * (g * g - v)
             p += (0.1 * (m / (1 - 0.9**turn)) / (np.sqrt(v / (1 - 0.98**turn)) + 1e-8)).astype(p.dtype)
+        del score, emit, left, right, post, joint, gap, error, grads, g  # the driver holds those of one round at a time
+    released()
     return model
 
 
